@@ -3,24 +3,22 @@
 Distance is one minus Jaccard similarity, a metric.  The steps:
 
 1. Every whole text becomes its set of 5-word shingles (hashes).  Equal sets are one point.
-2. Pivots: points that share most of their smallest shingles with a common point take it as
-   pivot; the distance is computed exactly, and points within the radius form the pivot's
-   Voronoi region (they are linked to it).  All other points are regions of their own.
-3. Cells: every region is entered in the cells of its members' first shingles in hash
-   order, as many as any linked partner must share one of.  Two regions that hold a linked
-   pair share at least ``shared_at_least`` cells, so pairs below that are never looked at.
-   Cells of more than ``CROWD`` regions are set aside: pairs are owed that many fewer
-   shared cells, and the regions which could link through crowded cells alone are joined
-   again, recursively, on those cells.
-4. Windows: the pivots' distance d of each remaining pair is computed.  Up to the radius
-   they are linked; beyond radius + both region radii the triangle inequality rules out
-   every pair; between the two, boundary members are compared with the other pivot, and
-   those that the triangle inequality still leaves with one another.
-5. Links are joined to components.
+2. Cells: each point is entered in the cells of its first shingles in hash order, so many that a
+   linked partner shares several.  Points that share too few with all others together have no partner.
+3. The full sets of the rest are entered in cells.  Cells of up to CROWD points give pairs with the
+   exact number of uncrowded shingles they share, which mostly decides the pair; where it
+   and the crowded shingles together leave it open, the distance is computed.
+4. Pairs that share crowded cells alone are between points that are almost wholly crowded.  Of
+   those, the most central one of a cell becomes a pivot, and the points within the radius of it, computed
+   exactly, its Voronoi region: they are linked to it, and no pair inside is looked at.
+5. Windows: pairs of regions that meet in a crowded cell again, among as many as a linked pair
+   must share one of, are judged by the pivots' distance d.  Up to the radius they are linked; beyond radius
+   + both region radii the triangle inequality rules out every pair; between the two, boundary
+   members are compared with the other pivot, and those that it still leaves with one another.
+6. Links are joined to components.
 
 No pair of a dense region is enumerated, and no link between different sets is lost.
-Crowded or hot groups: equal sets meet first in their Arrow batch, so a group of copies is as
-many rows as there are batches, and a dense group enters a cell once for each batch.
+Equal sets meet first in their Arrow batch, so a group of copies is as many rows as there are batches.
 
 Edge cases: null and empty texts have no shingles and are their own component; with fewer
 than five words the whole sequence is the one shingle; rows that share a doc_id are one
@@ -36,7 +34,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .common import WordHashes, as_bytes, drop_suffix, read_documents, scratch, ship, window_hashes
@@ -104,17 +102,6 @@ def _points(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), pa.array(prefixes, pa.binary())], ["doc_id", "n", "digest", "prefix"])
 
 
-def _homes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """The HOMES smallest shingles of each point."""
-    for batch in batches:
-        ids, cells = [], []
-        for rep, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            g = unpack(raw[: _BYTES * HOMES])
-            ids += [rep] * len(g)
-            cells += g.tolist()
-        yield pa.RecordBatch.from_arrays([pa.array(cells, pa.int64()), pa.array(ids, pa.int64())], ["cell", "rep"])
-
-
 def _slots(batches: Iterator[pa.RecordBatch], bits: int) -> Iterator[pa.RecordBatch]:
     flags = np.zeros(bits, bool)
     for batch in batches:
@@ -127,7 +114,7 @@ def _slot(ids: np.ndarray, bits: int) -> np.ndarray:
 
 
 def _sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
-    """(id, grams) of at least the wanted documents: a filter of bounded size spares most of the others."""
+    """(digest, grams) of at least the wanted documents: a filter of bounded size spares most of the others."""
     spark = docs.sparkSession
     bits = min(_FILTER_BITS, max(1 << 16, 1 << int(ids.count() * 16).bit_length()))
     parts = ids.coalesce(4).mapInArrow(lambda b: _slots(b, bits), "flags binary").collect()  # four times the filter's size
@@ -141,10 +128,21 @@ def _sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
         for batch in batches:
             own = batch.column(0).cast(pa.int64())
             mask = wanted[_slot(own.fill_null(0).to_numpy(zero_copy_only=False), bits)] & own.is_valid().to_numpy(zero_copy_only=False)
-            kept = batch.filter(pa.array(mask))
-            yield pa.RecordBatch.from_arrays([kept.column(0).cast(pa.int64()), pa.array([pack(shingles(x)) for x in as_bytes(kept.column(1))], pa.binary())], ["id", "grams"])
+            found = [shingles(x) for x in as_bytes(batch.filter(pa.array(mask)).column(1))]
+            found = [g for g in found if len(g)]
+            yield pa.RecordBatch.from_arrays([pa.array([xxhash.xxh3_128_digest(g.tobytes()) for g in found], pa.binary()), pa.array([pack(g) for g in found], pa.binary())], ["digest", "grams"])
+
+    return drop_suffix(docs, ["doc_id", "text"]).mapInArrow(run, "digest binary, grams binary")
+
 
-    return drop_suffix(docs, ["doc_id", "text"]).mapInArrow(run, "id long, grams binary")
+def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        common, union = [], []
+        for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
+            c, u = distance(unpack(a), unpack(b))
+            common.append(c)
+            union.append(u)
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(common, pa.int64()), pa.array(union, pa.int64())], ["a", "b", "common", "total"])
 
 
 def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -171,144 +169,201 @@ def measured(docs: DataFrame, pairs: DataFrame, name: str) -> DataFrame:
     return scratch(spark, out, name)
 
 
-def shared_at_least(low_p, high_p, low_q, high_q):
-    """The fewest cells that a linked pair of members shares, from the regions' smallest and largest sets (columns).
+def _homes_of(crowd: DataFrame) -> DataFrame:
+    """The HOMES smallest crowded cells of each point."""
+    order = Window.partitionBy("node").orderBy("cell")
+    return crowd.withColumn("place", F.row_number().over(order)).where(F.col("place") <= HOMES).drop("place")
+
+
+def measured(sets: DataFrame, pairs: DataFrame, name: str) -> DataFrame:
+    """(a, b) pairs of points -> (a, b, d, linked), exactly, as a written table.  sets: node, grams."""
+    left = pairs.join(sets.select(F.col("node").alias("a"), F.col("grams").alias("left")), "a")
+    both = left.join(sets.select(F.col("node").alias("b"), F.col("grams").alias("right")), "b").select("a", "b", "left", "right")
+    out = both.mapInArrow(_compare, "a long, b long, common long, total long")
+    out = out.select("a", "b", (1 - F.col("common") / F.col("total")).alias("d"), (F.col("common") * 100 >= F.col("total") * SIMILARITY).alias("linked"))
+    return scratch(pairs.sparkSession, out, name)
+
+
+def _least_overlap(n, m):
+    """The fewest common shingles of a linked pair of sizes n and m (columns)."""
+    return F.ceil((n + m) * SIMILARITY / (100 + SIMILARITY) - 1e-9)
 
-    A pair of sizes s <= l overlaps in at least s + l - (s + l) / (1 + t) shingles, of which
-    those outside the shared cells are at most the shingles after a prefix."""
-    small = F.greatest(F.least(low_p, low_q), F.ceil(F.greatest(low_p, low_q) * SIMILARITY / 100))
-    large = F.least(F.greatest(high_p, high_q), F.floor(small * 100 / SIMILARITY))
-    need = F.ceil((small + large) * SIMILARITY / (100 + SIMILARITY) - 1e-9) - F.ceil(large * SIMILARITY / 100) + 1 + F.floor(large * EXTRA / 100)
-    return F.greatest(need, F.lit(1))
+
+def _possible(n, m):
+    return (n * 100 >= m * SIMILARITY) & (m * 100 >= n * SIMILARITY)
+
+
+def fewest_shared(n):
+    """How many of the entered shingles of a set of n a linked partner shares at least (column): the partner's size may
+    be from t*n to n/t, and what lies beyond a prefix is shared at most once each."""
+    small = F.ceil(n * SIMILARITY / 100)
+    large = F.greatest(F.least(F.floor(n * 100 / SIMILARITY), F.floor(small * 100 / SIMILARITY)), n)
+    need = _least_overlap(small, large) - F.ceil(large * SIMILARITY / 100) + 1 + F.floor(large * EXTRA / 100)
+    return F.greatest(need - 1, F.lit(1))
 
 
 def _dealt(parts: int):
-    """(region, prefix) rows -> for each part one row with all of the batch's (cell, region) entries, each once."""
+    """(node, grams) rows -> for each part one row with all of the batch's (cell, node) entries."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             raws = batch.column(1).to_pylist()
-            cells = unpack(b"".join(raws)) if raws else np.empty(0, np.uint64)
-            regions = np.repeat(batch.column(0).to_numpy(zero_copy_only=False), [len(x) // _BYTES for x in raws]) if raws else np.empty(0, np.int64)
-            entries = np.stack([cells.astype(np.int64), regions], 1) if raws else np.empty((0, 2), np.int64)
-            order = np.lexsort((entries[:, 1], entries[:, 0]))
-            entries = entries[order]
-            if len(entries):
-                entries = entries[np.append(True, (entries[1:] != entries[:-1]).any(1))]
-            part = (entries[:, 0] * 0x9E3779B1 >> 7) % parts
+            if not raws:
+                continue
+            cell = (unpack(b"".join(raws))).astype(np.int64)
+            node = np.repeat(batch.column(0).to_numpy(zero_copy_only=False), [len(x) // _BYTES for x in raws])
+            part = (cell * 0x9E3779B1 >> 7) % parts
             order = np.argsort(part, kind="stable")
-            entries, part = entries[order], part[order]
+            cell, node, part = cell[order], node[order], part[order]
             cut = np.flatnonzero(np.append(True, part[1:] != part[:-1])) if len(part) else np.empty(0, np.int64)
             ends = np.append(cut[1:], len(part))
-            blobs = [np.concatenate([np.frombuffer(pack(entries[a:b, 0].astype(np.uint64) << np.uint64(16)), np.uint8), entries[a:b, 1].astype("<i8").view(np.uint8)]).tobytes() for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
+            blobs = [pack(cell[a:b].astype(np.uint64) << np.uint64(16)) + node[a:b].astype("<i8").tobytes() for a, b in zip(cut.tolist(), ends.tolist(), strict=True)]
             yield pa.RecordBatch.from_arrays([pa.array(part[cut], pa.int64()), pa.array(blobs, pa.binary())], ["part", "entries"])
 
     return run
 
 
-def _meetings(table: pa.Table) -> pa.Table:
-    """All entries of a part -> pairs of regions with the number of cells they share, and the entries of crowded cells."""
-    cells, regions = [], []
+def _entries(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Of a part: (cell, node) in order, each once, with where each cell begins and how many nodes it has."""
+    cells, nodes = [], []
     for raw in table.column("entries").to_pylist():
         n = len(raw) // (_BYTES + 8)
         cells.append(unpack(raw[: n * _BYTES]).astype(np.int64))
-        regions.append(np.frombuffer(raw, "<i8", n, n * _BYTES))
-    cell, region = np.concatenate(cells), np.concatenate(regions)
-    order = np.lexsort((region, cell))
-    cell, region = cell[order], region[order]
-    fresh = np.append(True, (cell[1:] != cell[:-1]) | (region[1:] != region[:-1]))
-    cell, region = cell[fresh], region[fresh]
+        nodes.append(np.frombuffer(raw, "<i8", n, n * _BYTES))
+    cell, node = np.concatenate(cells), np.concatenate(nodes)
+    order = np.lexsort((node, cell))
+    cell, node = cell[order], node[order]
+    fresh = np.append(True, (cell[1:] != cell[:-1]) | (node[1:] != node[:-1]))
+    cell, node = cell[fresh], node[fresh]
     first = np.flatnonzero(np.append(True, cell[1:] != cell[:-1]))
-    size = np.diff(np.append(first, len(cell)))
+    return cell, node, first, np.diff(np.append(first, len(cell)))
+
+
+def _sharing(table: pa.Table) -> pa.Table:
+    """How many of each point's cells in this part have another point too."""
+    _, node, _, size = _entries(table)
+    found, n = np.unique(node[np.repeat(size > 1, size)], return_counts=True)
+    return pa.table({"node": found, "shared": n.astype(np.int64)})
+
+
+def _meetings(table: pa.Table, crowd: int) -> pa.Table:
+    """Pairs of points with the number of uncrowded cells they share, and the entries of crowded cells."""
+    cell, node, first, size = _entries(table)
     a, b = [], []
-    for width in np.unique(size[(size > 1) & (size <= CROWD)]).tolist():
-        block = region[first[size == width][:, None] + np.arange(width)]
+    for width in np.unique(size[(size > 1) & (size <= crowd)]).tolist():
+        block = node[first[size == width][:, None] + np.arange(width)]
         i, j = np.triu_indices(width, 1)
-        pairs = np.stack([block[:, i].ravel(), block[:, j].ravel()], 1)
-        a.append(pairs[:, 0])
-        b.append(pairs[:, 1])
+        a.append(block[:, i].ravel())
+        b.append(block[:, j].ravel())
     a = np.concatenate(a) if a else np.empty(0, np.int64)
     b = np.concatenate(b) if b else np.empty(0, np.int64)
     order = np.lexsort((b, a))
     a, b = a[order], b[order]
     cut = np.flatnonzero(np.append(True, (a[1:] != a[:-1]) | (b[1:] != b[:-1]))) if len(a) else np.empty(0, np.int64)
     shared = np.diff(np.append(cut, len(a)))
-    crowded = np.repeat(size > CROWD, size)
+    crowded = np.repeat(size > crowd, size)
     kinds = np.append(np.zeros(len(cut), np.int32), np.ones(crowded.sum(), np.int32))
-    return pa.table({"crowded": kinds, "a": np.append(a[cut], cell[crowded]), "b": np.append(b[cut], region[crowded]), "shared": np.append(shared, np.ones(crowded.sum(), np.int64)).astype(np.int64)})
-
-
-def _region_pairs(spark: SparkSession, members: DataFrame, spans: DataFrame, entries: int) -> DataFrame:
-    """(a, b): every pair of regions that may hold a link.  members: region, prefix; spans: region, low, high."""
-    parts = max(1, -(-entries // _CELL_ROWS))
-    dealt = members.mapInArrow(_dealt(parts), "part long, entries binary")
-    met = scratch(spark, dealt.groupBy("part").applyInArrow(_meetings, "crowded int, a long, b long, shared long"), "meetings")
-    pairs = met.where("crowded = 0").groupBy("a", "b").agg(F.sum("shared").alias("shared"))
-    crowd = met.where("crowded = 1").select(F.col("a").alias("cell"), F.col("b").alias("region"))
-    owed = crowd.groupBy("region").agg(F.count("*").alias("owed"))
-    known = spans.join(owed, "region", "left").select("region", "low", "high", F.coalesce("owed", F.lit(0)).alias("owed"))
-    p, q = (known.select(*[F.col(c).alias(f"{c}_{s}") for c in known.columns]) for s in "pq")
-    judged = pairs.join(p, F.col("a") == F.col("region_p")).join(q, F.col("b") == F.col("region_q"))
-    least = lambda: shared_at_least(F.col("low_p"), F.col("high_p"), F.col("low_q"), F.col("high_q"))
-    possible = (F.col("high_p") * 100 >= F.col("low_q") * SIMILARITY) & (F.col("high_q") * 100 >= F.col("low_p") * SIMILARITY)
-    cold = judged.where(possible & (F.col("shared") >= least() - F.least("owed_p", "owed_q"))).select("a", "b")
-    # A pair without a common cell that isn't crowded is owed all it must share by both regions; most regions aren't owed
-    # as much as even their least demanding partner asks for.
-    low, high = F.col("low"), F.col("high")
-    partner = shared_at_least(low, high, F.ceil(low * SIMILARITY / 100), F.floor(high * 100 / SIMILARITY))
-    rest = crowd.join(known.where(F.col("owed") >= partner), "region")
-    p, q = (rest.select("cell", *[F.col(c).alias(f"{c}_{s}") for c in known.columns]) for s in "pq")
-    hot = p.join(q, (p["cell"] == q["cell"]) & (F.col("region_p") < F.col("region_q")) & possible & (least() <= F.least("owed_p", "owed_q")))
-    hot = hot.groupBy(F.col("region_p").alias("a"), F.col("region_q").alias("b")).agg(F.count("*").alias("shared"), F.min(least()).alias("least"))
-    hot = hot.where("shared >= least").select("a", "b")
-    return cold.unionByName(hot).distinct()
-
-
-def link_documents(docs: DataFrame) -> DataFrame:
-    """(doc_id, n_shingles, component_id) of every row."""
+    return pa.table({"crowded": kinds, "a": np.append(a[cut], cell[crowded]), "b": np.append(b[cut], node[crowded]), "shared": np.append(shared, np.ones(crowded.sum(), np.int64)).astype(np.int64)})
+
+
+def _parts(entries: int) -> int:
+    return max(1, -(-entries // _CELL_ROWS))
+
+
+def link_documents(docs: DataFrame, crowd_size: int = CROWD) -> DataFrame:
+    """(doc_id, n_shingles, component_id) of every row, the same for any ``crowd_size``."""
     spark = docs.sparkSession
     ship(spark)
     table = scratch(spark, drop_suffix(docs, ["doc_id", "text"]).mapInArrow(_points, "doc_id long, n long, digest binary, prefix binary"), "points")
     named = table.where("n > 0 and doc_id is not null")
-    nodes = scratch(spark, named.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n")), "nodes")
-    points = table.where("prefix is not null").select("digest", "prefix").join(nodes, "digest")
-
-    # Pivots and their regions.
-    homes = points.select("rep", "prefix").mapInArrow(_homes, "cell long, rep long").distinct()
-    centres = homes.groupBy("cell").agg(F.min("rep").alias("pivot"), F.count("*").alias("m")).where("m > 1").drop("m")
-    votes = homes.join(centres, "cell").where("rep <> pivot").groupBy("rep", "pivot").agg(F.count("*").alias("votes"))
-    best = votes.groupBy("rep").agg(F.max(F.struct(F.col("votes"), (-F.col("pivot")).alias("p"))).alias("x")).select("rep", F.col("x.votes").alias("votes"), (-F.col("x.p")).alias("pivot"))
-    stars = best.join(nodes.groupBy("rep").agg(F.max("n").alias("n")), "rep").where(F.col("votes") * 3 >= F.least(F.col("n"), F.lit(HOMES))).select(F.col("rep").alias("a"), F.col("pivot").alias("b"))
-    stars = scratch(spark, stars, "stars")
-    near = measured(docs, stars, "near").where("linked")
-    pivots = near.select(F.col("b").alias("rep")).distinct()
-    satellites = scratch(spark, near.select(F.col("a").alias("rep"), F.col("b").alias("region"), "d").join(pivots, "rep", "left_anti"), "satellites")
-
-    # Cells, entered once for each region and batch.
-    placed = points.join(satellites, "rep", "left").select(F.coalesce("region", "rep").alias("region"), "prefix", "n")
-    spans = placed.groupBy("region").agg(F.min("n").alias("low"), F.max("n").alias("high"))
-    entries = int(nodes.agg(F.coalesce(F.sum(F.lit(1) + F.floor(F.col("n") * (100 - SIMILARITY + EXTRA) / 100)), F.lit(0)).alias("s")).first()["s"])
-    pairs = scratch(spark, _region_pairs(spark, placed.select("region", "prefix"), spans, entries).join(near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti"), "pairs")
+    # A point is named by the smallest doc_id that has it; points that share that id (repeated ids) by a hash below zero.
+    firsts = named.groupBy("digest").agg(F.min("doc_id").alias("rep"), F.max("n").alias("n"))
+    alone = F.count("*").over(Window.partitionBy("rep")) == 1
+    nodes = scratch(spark, firsts.select("digest", "rep", "n", F.when(alone, F.col("rep")).otherwise(-F.abs(F.xxhash64("digest") % (1 << 62)) - 1).alias("node")), "nodes")
 
-    links = [near.select(F.col("a").alias("u"), F.col("b").alias("v"))]
-    links += _windows(spark, docs, pairs, satellites)
-    twice = named.join(nodes.select("digest", "rep"), "digest").where("rep <> doc_id")
-    same = named.groupBy("doc_id").agg(F.count_distinct("digest").alias("m")).where("m > 1").drop("m")
-    links.append(twice.join(same, "doc_id").select(F.col("doc_id").alias("u"), F.col("rep").alias("v")))
+    # Who may have a partner at all.
+    entries = int(nodes.agg(F.coalesce(F.sum(F.lit(1) + F.floor(F.col("n") * (100 - SIMILARITY + EXTRA) / 100)), F.lit(0)).alias("s")).first()["s"])
+    points = table.where("prefix is not null").select("digest", "prefix").join(nodes, "digest").select("node", "prefix")
+    shared = points.mapInArrow(_dealt(_parts(entries)), "part long, entries binary").groupBy("part").applyInArrow(_sharing, "node long, shared long")
+    rest = shared.groupBy("node").agg(F.sum("shared").alias("shared")).join(nodes, "node").where(F.col("shared") >= fewest_shared(F.col("n")))
+    rest = scratch(spark, rest.select("node", "rep", "digest", "n"), "rest")
+    sets = _sets_of(docs, rest.select("rep")).join(rest, "digest").dropDuplicates(["node"]).select("node", "n", "grams")
+    sets = scratch(spark, sets, "sets")
+
+    # Uncrowded cells give pairs, crowded ones regions.
+    total = int(sets.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("s")).first()["s"])
+    dealt = sets.select("node", "grams").mapInArrow(_dealt(_parts(total)), "part long, entries binary")
+    met = scratch(spark, dealt.groupBy("part").applyInArrow(lambda t: _meetings(t, crowd_size), "crowded int, a long, b long, shared long"), "meetings")
+    crowd = met.where("crowded = 1").select(F.col("a").alias("cell"), F.col("b").alias("node"))
+    owed = crowd.groupBy("node").agg(F.count("*").alias("owed"))
+    known = scratch(spark, sets.select("node", "n").join(owed, "node", "left").fillna(0, ["owed"]), "known")
+    links, pairs, satellites, near = _regions(spark, sets, known, crowd)
+    p, q = (known.select(*[F.col(c).alias(f"{c}_{s}") for c in known.columns]) for s in "pq")
+    judged = met.where("crowded = 0").groupBy("a", "b").agg(F.sum("shared").alias("shared")).join(p, F.col("a") == F.col("node_p")).join(q, F.col("b") == F.col("node_q"))
+    enough = _least_overlap(F.col("n_p"), F.col("n_q"))
+    judged = judged.where(_possible(F.col("n_p"), F.col("n_q")) & (F.col("shared") + F.least("owed_p", "owed_q") >= enough))
+    judged = scratch(spark, judged.select("a", "b", (F.col("shared") >= enough).alias("sure")), "judged")
+    links.append(judged.where("sure").select(F.col("a").alias("u"), F.col("b").alias("v")))
+    inside = satellites.select("node", "region")
+    # Two points of one region are linked to its pivot anyway.
+    unsure = judged.where("not sure").join(inside.select(F.col("node").alias("a"), F.col("region").alias("ra")), "a", "left").join(inside.select(F.col("node").alias("b"), F.col("region").alias("rb")), "b", "left")
+    unsure = scratch(spark, unsure.where(~F.coalesce(F.coalesce("ra", "a") == F.coalesce("rb", "b"), F.lit(False))).select("a", "b"), "unsure")
+    if not unsure.isEmpty():
+        links.append(measured(sets, unsure, "decided").where("linked").select(F.col("a").alias("u"), F.col("b").alias("v")))
+    links += _windows(spark, sets, pairs, satellites)
+
+    twice = named.join(nodes.select("digest", "node"), "digest").select("doc_id", "node").distinct()
+    ends = twice.groupBy("doc_id").agg(F.min("node").alias("u"), F.count("*").alias("m")).where("m > 1").drop("m")
+    links.append(twice.join(ends, "doc_id").select("u", F.col("node").alias("v")))
     edges = links[0]
     for more in links[1:]:
         edges = edges.unionByName(more)
     found = components(spark, edges)
-    home = table.select("doc_id", F.col("n").alias("n_shingles"), "digest").join(nodes.select("digest", "rep"), "digest", "left")
-    home = home.join(found, F.col("rep") == F.col("node"), "left")
-    return home.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component", "rep", "doc_id")).alias("component_id"))
-
-
-def _windows(spark: SparkSession, docs: DataFrame, pairs: DataFrame, satellites: DataFrame) -> list[DataFrame]:
+    labels = nodes.join(found, "node", "left").select("digest", "rep", F.coalesce("component", "node").alias("label"))
+    least = labels.groupBy("label").agg(F.min("rep").alias("component_id"))
+    labels = labels.join(least, "label").select("digest", "component_id")
+    home = table.select("doc_id", F.col("n").alias("n_shingles"), "digest").join(labels, "digest", "left")
+    return home.select("doc_id", "n_shingles", F.when(F.col("doc_id").isNotNull(), F.coalesce("component_id", "doc_id")).alias("component_id"))
+
+
+def _regions(spark: SparkSession, sets: DataFrame, known: DataFrame, crowd: DataFrame) -> tuple[list[DataFrame], DataFrame, DataFrame, DataFrame]:
+    """(links to pivots, pairs of regions that may hold a link without an uncrowded cell, satellites (node, region, d), links).
+
+    Such a pair's common cells are all crowded, so both points are almost wholly crowded: central.  The most central
+    point of a cell is its pivot."""
+    central = known.where(F.col("owed") >= F.ceil(F.col("n") * SIMILARITY / 100))
+    inner = scratch(spark, crowd.join(central, "node"), "inner")
+    homes = _homes_of(inner)
+    ratio = F.round(F.col("owed") / F.col("n"), 6)
+    centres = homes.groupBy("cell").agg(F.max(F.struct(ratio.alias("r"), F.col("n").alias("n"), (-F.col("node")).alias("p"))).alias("x")).select("cell", (-F.col("x.p")).alias("pivot"))
+    votes = homes.join(centres, "cell").where("node <> pivot").groupBy("node", "pivot").agg(F.count("*").alias("votes"))
+    best = votes.groupBy("node").agg(F.max(F.struct(F.col("votes"), (-F.col("pivot")).alias("p"))).alias("x"))
+    stars = scratch(spark, best.select(F.col("node").alias("a"), (-F.col("x.p")).alias("b")), "stars")
+    near = measured(sets, stars, "near").where("linked")
+    pivots = near.select(F.col("b").alias("node")).distinct()
+    satellites = scratch(spark, near.select(F.col("a").alias("node"), F.col("b").alias("region"), "d").join(pivots, "node", "left_anti"), "satellites")
+    # As many crowded cells as a central point must share one of.
+    order = Window.partitionBy("node").orderBy("cell")
+    entered = inner.withColumn("place", F.row_number().over(order)).where(F.col("place") <= F.col("owed") - F.ceil(F.col("n") * SIMILARITY / 100) + 1)
+    placed = entered.join(satellites.select("node", "region"), "node", "left").select("cell", F.coalesce("region", "node").alias("region"), "n", "owed")
+    placed = placed.groupBy("cell", "region").agg(F.min("n").alias("low"), F.max("n").alias("high"), F.max("owed").alias("owed"))
+    several = placed.groupBy("cell").agg(F.count("*").alias("m")).where("m > 1").drop("m")
+    placed = scratch(spark, placed.join(several, "cell"), "placed")
+    p, q = (placed.select("cell", *[F.col(c).alias(f"{c}_{s}") for c in ("region", "low", "high", "owed")]) for s in "pq")
+    small = F.greatest(F.least("low_p", "low_q"), F.ceil(F.greatest("low_p", "low_q") * SIMILARITY / 100))
+    fits = (F.col("high_p") * 100 >= F.col("low_q") * SIMILARITY) & (F.col("high_q") * 100 >= F.col("low_p") * SIMILARITY)
+    reach = F.least("owed_p", "owed_q") >= _least_overlap(small, F.greatest(F.col("low_p"), F.col("low_q")))
+    pairs = p.join(q, (p["cell"] == q["cell"]) & (F.col("region_p") < F.col("region_q")) & fits & reach).select(F.col("region_p").alias("a"), F.col("region_q").alias("b")).distinct()
+    done = near.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    pairs = scratch(spark, pairs.join(done, ["a", "b"], "left_anti"), "pairs")
+    return [near.select(F.col("a").alias("u"), F.col("b").alias("v"))], pairs, satellites, near
+
+
+def _windows(spark: SparkSession, sets: DataFrame, pairs: DataFrame, satellites: DataFrame) -> list[DataFrame]:
     """Links among the regions of each pair, by the triangle inequality."""
     if pairs.isEmpty():
         return []
-    centres = measured(docs, pairs, "centres")
+    centres = measured(sets, pairs, "centres")
     edge = lambda f: f.where("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
     out = [edge(centres)]
     radii = satellites.groupBy("region").agg(F.max("d").alias("radius"))
@@ -316,13 +371,13 @@ def _windows(spark: SparkSession, docs: DataFrame, pairs: DataFrame, satellites:
     open_ = open_.fillna(0.0, ["ra", "rb"]).where(f"d <= {RADIUS} + ra + rb + 1e-9 and ra + rb > 0").select("a", "b", "d", "ra", "rb")
     if (open_ := scratch(spark, open_, "open")).isEmpty():
         return out
-    member = satellites.select("region", F.col("rep").alias("x"), F.col("d").alias("dx"))
+    member = satellites.select("region", F.col("node").alias("x"), F.col("d").alias("dx"))
     left = open_.join(member, F.col("a") == F.col("region")).where(f"dx + rb >= d - {RADIUS} - 1e-9").select(F.col("x").alias("m"), F.col("b").alias("c"), F.col("a").alias("own"), F.col("rb").alias("reach"))
     right = open_.join(member, F.col("b") == F.col("region")).where(f"dx + ra >= d - {RADIUS} - 1e-9").select(F.col("x").alias("m"), F.col("a").alias("c"), F.col("b").alias("own"), F.col("ra").alias("reach"))
     boundary = scratch(spark, left.unionByName(right), "boundary")
     if boundary.isEmpty():
         return out
-    seen = measured(docs, boundary.select(F.col("m").alias("a"), F.col("c").alias("b")).distinct(), "seen")
+    seen = measured(sets, boundary.select(F.col("m").alias("a"), F.col("c").alias("b")).distinct(), "seen")
     out.append(edge(seen))
     judged = boundary.join(seen.select(F.col("a").alias("m"), F.col("b").alias("c"), "d", "linked"), ["m", "c"])
     done = judged.where("linked").select(F.least("own", "c").alias("p"), F.greatest("own", "c").alias("q")).distinct()
@@ -330,7 +385,7 @@ def _windows(spark: SparkSession, docs: DataFrame, pairs: DataFrame, satellites:
     left_in = left_in.join(done, ["p", "q"], "left_anti")
     met = left_in.where("first").select("p", "q", F.col("m").alias("a")).join(left_in.where("not first").select("p", "q", F.col("m").alias("b")), ["p", "q"]).select("a", "b").distinct()
     if not (met := scratch(spark, met, "met")).isEmpty():
-        out.append(edge(measured(docs, met, "members")))
+        out.append(edge(measured(sets, met, "members")))
     return out
 
 
