@@ -23,6 +23,7 @@ table gives an empty table.
 from __future__ import annotations
 
 import hashlib
+import itertools
 from collections.abc import Iterator
 
 import ahocorasick
@@ -37,8 +38,8 @@ WINDOW, PHRASE, BLOCK = 35, 8, 18
 _REACH = WINDOW - PHRASE + 1
 BUCKET_BYTES = 8 << 20
 SHARD_BLOCKS = 60_000
-#: Words get one character each in an automaton's alphabet; the surrogates are left out.
-_ALPHABET = 0x10FFFF - 0x800 - 2
+#: A word is three characters of an automaton, each from its own 64, so that nodes have few children and matches start at words.
+_ALPHABET, _ABSENT = 64**3, "\0\0\0"
 DIGEST_SCHEMA = "doc_id long, n_words long, n_removed long, kept_sha256 string"
 TEXT_SCHEMA = "doc_id long, n_words long, n_removed long, kept binary"
 
@@ -124,8 +125,8 @@ def automata(passages: list[list[bytes]]) -> Iterator[tuple[ahocorasick.Automato
             for w in words[at : at + BLOCK]:
                 c = letters.get(w)
                 if c is None:
-                    n = len(letters) + 1
-                    c = letters[w] = chr(n if n < 0xD800 else n + 0x800)
+                    n = len(letters)
+                    c = letters[w] = chr(0x40 + (n & 63)) + chr(0x80 + (n >> 6 & 63)) + chr(0xC0 + (n >> 12))
                 block.append(c)
             blocks.add("".join(block))
     if blocks:
@@ -156,10 +157,10 @@ def locate(texts: list[list[bytes]], hashes: list[np.ndarray], recurring: np.nda
         for n, words in enumerate(texts):
             if len(words) < WINDOW:
                 continue
-            line = "".join([letters.get(w, "\0") for w in words])
+            line = "".join(map(letters.get, words, itertools.repeat(_ABSENT)))
             ends = [e for e, _ in machine.iter(line)]
             if ends:
-                first = np.array(ends) - BLOCK + 1
+                first = np.array(ends) // 3 - BLOCK + 1
                 np.add.at(starts[n], np.clip(first - (WINDOW - BLOCK), 0, len(hashes[n])), 1)
                 np.add.at(starts[n], np.clip(first + 1, 0, len(hashes[n])), -1)
     out = []
