@@ -239,11 +239,21 @@ def _entries(table: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.nd
     return cell, node, first, np.diff(np.append(first, len(cell)))
 
 
-def _sharing(table: pa.Table) -> pa.Table:
-    """How many of each point's cells in this part have another point too."""
+def _sharing(table: pa.Table, count: int) -> pa.Table:
+    """How many of each point's cells in this part have another point too, packed by slices of points."""
     _, node, _, size = _entries(table)
     found, n = np.unique(node[np.repeat(size > 1, size)], return_counts=True)
-    return pa.table({"node": found, "shared": n.astype(np.int64)})
+    which = (found * 0x9E3779B1 >> 9) % count
+    slices = np.unique(which)
+    packed = [np.stack([found[which == s], n[which == s]]).astype("<i8").tobytes() for s in slices.tolist()]
+    return pa.table({"slice": slices.astype(np.int64), "counts": pa.array(packed, pa.binary())})
+
+
+def _added(table: pa.Table) -> pa.Table:
+    """The sums of a slice's counts."""
+    both = np.concatenate([np.frombuffer(raw, "<i8").reshape(2, -1) for raw in table.column("counts").to_pylist()], 1)
+    found, at = np.unique(both[0], return_inverse=True)
+    return pa.table({"node": found, "shared": np.bincount(at, both[1]).astype(np.int64)})
 
 
 def _meetings(table: pa.Table, crowd: int) -> pa.Table:
@@ -284,8 +294,10 @@ def link_documents(docs: DataFrame, crowd_size: int = CROWD) -> DataFrame:
     # Who may have a partner at all.
     entries = int(nodes.agg(F.coalesce(F.sum(F.lit(1) + F.floor(F.col("n") * (100 - SIMILARITY + EXTRA) / 100)), F.lit(0)).alias("s")).first()["s"])
     points = table.where("prefix is not null").select("digest", "prefix").join(nodes, "digest").select("node", "prefix")
-    shared = points.mapInArrow(_dealt(_parts(entries)), "part long, entries binary").groupBy("part").applyInArrow(_sharing, "node long, shared long")
-    rest = shared.groupBy("node").agg(F.sum("shared").alias("shared")).join(nodes, "node").where(F.col("shared") >= fewest_shared(F.col("n")))
+    parts = _parts(entries)
+    shared = points.mapInArrow(_dealt(parts), "part long, entries binary").groupBy("part").applyInArrow(lambda t: _sharing(t, max(16, parts)), "slice long, counts binary")
+    shared = shared.groupBy("slice").applyInArrow(_added, "node long, shared long")
+    rest = shared.join(nodes, "node").where(F.col("shared") >= fewest_shared(F.col("n")))
     rest = scratch(spark, rest.select("node", "rep", "digest", "n"), "rest")
     sets = _sets_of(docs, rest.select("rep")).join(rest, "digest").dropDuplicates(["node"]).select("node", "n", "grams")
     sets = scratch(spark, sets, "sets")
