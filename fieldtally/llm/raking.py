@@ -62,7 +62,7 @@ def _with_targets(cells: DataFrame, column: str, given: DataFrame | None, power:
         cells = cells.join(found, column, "left").withColumn("_raw", F.coalesce("_raw", F.lit(0.0)))
     share = F.col("_raw") / F.count("*").over(value)
     total = F.sum("_share").over(Window.partitionBy(F.lit(1)))
-    return cells.withColumn("_share", share).withColumn(f"_t_{column}", F.col("_raw") / total).drop("_raw", "_share")
+    return cells.withColumn("_share", share).withColumn(f"_t_{column}", F.coalesce(F.try_divide("_raw", total), F.lit(0.0))).drop("_raw", "_share")
 
 
 def fit_cells(cells: DataFrame, targets: dict[str, DataFrame] | None = None, rounds: int = ROUNDS, keep: float = KEEP, powers: dict[str, float] | None = None) -> DataFrame:
