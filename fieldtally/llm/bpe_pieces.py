@@ -98,9 +98,7 @@ class PieceCodec:
         self.find = regex.compile(pattern).findall
         self.cache: dict[str, bytes] = {}
 
-    def _learn(self, tokens: set[str]) -> None:
-        if len(self.cache) + len(tokens) > _CACHE_LIMIT:
-            self.cache.clear()
+    def _learn(self, tokens: list[str]) -> None:
         merge = []
         for token in tokens:
             raw = token.encode("utf-8", "surrogatepass")
@@ -118,11 +116,9 @@ class PieceCodec:
         try:
             return b"".join(map(self.cache.__getitem__, tokens))
         except KeyError:
-            self._learn(set(tokens) - self.cache.keys())
-            if len(self.cache) and all(t in self.cache for t in set(tokens)):
-                return b"".join(map(self.cache.__getitem__, tokens))
-            self.cache.clear()
-            self._learn(set(tokens))
+            if len(self.cache) > _CACHE_LIMIT:
+                self.cache.clear()
+            self._learn([t for t in set(tokens) if t not in self.cache])
             return b"".join(map(self.cache.__getitem__, tokens))
 
     def decode(self, ids: bytes) -> bytes:
