@@ -26,6 +26,7 @@ LEAF_PATTERN = "[^.!?]{1,24}|[.!?]+"
 TAG = 6
 ROWS_PER_BUCKET = 8192
 _QUANTILES = 128
+_BROADCAST_BUCKETS = 1 << 20
 
 
 def tree(text: Column) -> Column:
@@ -67,9 +68,9 @@ def differing_paragraphs(a: Column, b: Column) -> Column:
     return F.filter(marked, lambda i: i.isNotNull())
 
 
-def _ordered_buckets(docs: DataFrame) -> Column:
-    """A bucket number that rises with doc_id and has about ROWS_PER_BUCKET rows: quantiles of the ids,
-    each cut evenly.  Only the id column is read for it."""
+def _ordered_buckets(docs: DataFrame) -> tuple[Column, int]:
+    """(a bucket number that rises with doc_id and has about ROWS_PER_BUCKET rows, how many there are at most):
+    quantiles of the ids, each cut evenly.  Only the id column is read for it."""
     found = docs.agg(F.count("*").alias("n"), F.percentile_approx("doc_id", [i / _QUANTILES for i in range(_QUANTILES + 1)], 2000).alias("q")).first()
     bounds = sorted(set(found["q"] or [0]))
     parts = max(1, -(-found["n"] // (ROWS_PER_BUCKET * max(1, len(bounds) - 1))))
@@ -82,7 +83,7 @@ def _ordered_buckets(docs: DataFrame) -> Column:
     low = F.element_at(edges, at)
     width = F.element_at(F.array(*[F.lit(int(b - a) or 1) for a, b in zip(bounds, [*bounds[1:], bounds[-1] + 1], strict=True)]), at)
     inside = F.least(F.floor((F.col("doc_id") - low) * F.lit(parts) / width), F.lit(parts - 1))
-    return F.coalesce(at * F.lit(parts) + F.greatest(inside, F.lit(0)), F.lit((len(bounds) + 2) * parts)).cast("long")
+    return F.coalesce(at * F.lit(parts) + F.greatest(inside, F.lit(0)), F.lit((len(bounds) + 2) * parts)).cast("long"), (len(bounds) + 2) * parts
 
 
 def with_next(docs: DataFrame, carried: list[str]) -> DataFrame:
@@ -90,15 +91,18 @@ def with_next(docs: DataFrame, carried: list[str]) -> DataFrame:
 
     Rows meet their successor in buckets of neighbouring ids; each bucket also gets a copy
     of the first row after it, so no global sort and no single task sees all rows."""
-    rows = docs.withColumn("bucket", _ordered_buckets(docs)).withColumn("beyond", F.lit(0))
+    bucket, count = _ordered_buckets(docs)
+    # Below the bound the first ids, two numbers for each bucket, are broadcast, and no text moves to find the first rows.
+    small = F.broadcast if count <= _BROADCAST_BUCKETS else lambda f: f
+    rows = docs.withColumn("bucket", bucket).withColumn("beyond", F.lit(0))
     firsts = rows.groupBy("bucket").agg(F.min("doc_id").alias("doc_id"))
     by_bucket = Window.orderBy("bucket")
     # One row for each bucket, and only numbers: a few MB even for a hundred billion documents.
     links = firsts.select(F.col("bucket").alias("source_bucket"), F.lag("bucket").over(by_bucket).alias("before"), F.max("bucket").over(by_bucket.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("final"))
     links = links.select(F.col("source_bucket"), F.coalesce("before", "final").alias("to_bucket"))
-    heads = rows.join(firsts.withColumnRenamed("bucket", "b"), (F.col("bucket") == F.col("b")) & rows["doc_id"].eqNullSafe(firsts["doc_id"]), "left_semi")
+    heads = rows.join(small(firsts.select(F.col("bucket").alias("b"), F.col("doc_id").alias("first"))), (F.col("bucket") == F.col("b")) & F.col("doc_id").eqNullSafe(F.col("first")), "left_semi")
     heads = heads.withColumn("place", F.row_number().over(Window.partitionBy("bucket").orderBy("text"))).where("place = 1").drop("place")
-    extra = heads.join(links, heads["bucket"] == links["source_bucket"]).select(*[c for c in docs.columns], F.col("to_bucket").alias("bucket"), F.lit(1).alias("beyond"))
+    extra = heads.join(small(links), F.col("bucket") == F.col("source_bucket")).select(*[c for c in docs.columns], F.col("to_bucket").alias("bucket"), F.lit(1).alias("beyond"))
     line = Window.partitionBy("bucket").orderBy("beyond", F.col("doc_id").asc_nulls_last(), "text")
     return rows.unionByName(extra).select("*", *[F.lead(c).over(line).alias(f"next_{c}") for c in carried]).where("beyond = 0").drop("bucket", "beyond")
 
@@ -106,11 +110,11 @@ def with_next(docs: DataFrame, carried: list[str]) -> DataFrame:
 def fingerprint_documents(docs: DataFrame) -> DataFrame:
     """Fingerprints of every text, of its edited form, and their likenesses to the edited and the next text."""
     rows = drop_suffix(docs, ["doc_id", "text"]).select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    pairs = with_next(rows.withColumn("fingerprint", fingerprint(F.col("text"))), ["text", "fingerprint"])
+    pairs = with_next(rows, ["text"])
     n = F.char_length("text")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.substring(F.col("next_text"), F.lit(1), half))
-    out = pairs.select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), "fingerprint", "next_fingerprint")
+    out = pairs.select("doc_id", n.cast("long").alias("n_chars"), edited.alias("edited"), fingerprint(F.col("text")).alias("fingerprint"), fingerprint(F.col("next_text")).alias("next_fingerprint"))
     out = out.select("doc_id", "n_chars", F.sha2(F.col("edited").cast("binary"), 256).alias("edited_sha256"), "fingerprint", fingerprint(F.col("edited")).alias("edited_fingerprint"), "next_fingerprint")
     return out.select("doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", likeness(F.col("fingerprint"), F.col("edited_fingerprint")).alias("near_edited"), likeness(F.col("fingerprint"), F.col("next_fingerprint")).alias("near_next"))
 
