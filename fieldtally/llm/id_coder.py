@@ -3,18 +3,17 @@
 Every block of BLOCK ids is reset, coded and checksummed on its own, so a reader can start at any
 block, and all blocks of a shard are coded in lockstep as the lanes of numpy arrays.
 
-For each id, orders 2, 1 and 0 predict one id each: the one last confirmed after the two ids
-before, after the id before, and in the block at large.  Whether the first, second or third
-prediction is right, or none, is a symbol of four whose distribution mixes three adaptive ones,
-chosen by the confidence of each order; the order that did best lately weighs a half.
-When none is right, the id's bit length is coded in two
-halves under distributions of order 0 and 1, and the bits below its highest as they are.  The symbols
-drive a range coder of 48 bits with 16-bit output and carries.  All arithmetic is on integers, so any
-machine decodes what another wrote.
-
-A file (one for each shard): magic, version, number of ids, of blocks, block length; for each block its number of
-ids, its bytes and the CRC-32 of its ids as little-endian 32-bit integers; then the blocks' bytes.  Files are
-rows of a table in the shared folder, next to the doc ids and lengths they hold.
+For each id, orders 2, 1 and 0 predict one id each: the one that most often follows the two ids
+before, the id before, and the most frequent one, from tables in the file's head.  Whether the first, second or third
+prediction is right, or none, is a symbol of four whose distribution mixes two adaptive ones,
+one chosen by how sure the orders are and one by which were right lately, under weights that adapt too.
+When none is right, the id is coded under the file's order-0 frequencies.  Both together are one step of a
+range coder of 48 bits with 16-bit output and carries.  Integers decide everything (the floats of one division are exact),
+so any machine decodes what another wrote.
+
+A file (one for each shard): magic, version, number of ids, of blocks, block length, length of the tables; the tables; for each block
+its number of ids, its bytes and the CRC-32 of its ids as little-endian 32-bit integers; then the blocks' bytes.  Blocks start from
+the tables and nothing else.  Files are rows of a table in the shared folder, next to the doc ids and lengths they hold.
 
 Edge cases: a null or empty text is the end id alone; ids must be below 65,535 (``ValueError``
 otherwise); a damaged block raises ``ValueError``; rows with the same doc_id follow each other, ordered by
@@ -24,9 +23,11 @@ text, and a null doc_id comes first; extra columns are ignored.  An empty table
 from __future__ import annotations
 
 import functools
+import itertools
 import struct
+import unicodedata
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -35,92 +36,165 @@ from pyspark.sql import functions as F
 
 from .common import as_bytes, buckets_for, drop_suffix, env_single_thread, read_documents, scratch, ship, text_bytes
 
-MAGIC, VERSION = b"FTID", 1
+MAGIC, VERSION = b"FTID", 2
 BLOCK = 4096
 LANES = 2048
 END_ID = 2
-_ONE, _TWO = 10, 11  # bits of the order-1 and order-2 tables
+LITERAL = 16  # bits of the order-0 frequencies
+_TWO = 18  # bits of the order-2 table
+_LEAST_TWO = 1 << 15  # ids of a file for which a table of order 2 pays
+_SLICE = 32
 _PARTITION_BYTES = 16 << 20
 _CACHE_LIMIT = 600_000
+_TOGETHER, _GROUP_BYTES = 2000, 4 << 20
+#: ASCII punctuation but the apostrophe, which starts contractions.
+_MARKS = b'!"#$%&()*+,-./:;<=>?@[\\]^_`{|}~'
 
-_U0, _U1, _U2, _U4, _U5, _U14, _U16, _U28, _U32, _U48 = (np.uint64(i) for i in (0, 1, 2, 4, 5, 14, 16, 28, 32, 48))
-_U2_28, _U2_32, _LOW48, _FIELD = np.uint64(1 << 28), np.uint64(1 << 32), np.uint64((1 << 48) - 1), np.uint64(0xFFFF)
+_U1, _U2, _U4, _U5, _U16, _U32, _U48 = (np.uint64(i) for i in (1, 2, 4, 5, 16, 32, 48))
+_BITS, _TOTAL = np.uint64(LITERAL), np.uint64(14 + LITERAL)
+_U2_32, _LOW48, _FIELD = np.uint64(1 << 32), np.uint64((1 << 48) - 1), np.uint64(0xFFFF)
 #: The same value in each of the four 16-bit fields.
 _ONES = np.uint64(0x0001000100010001)
 _EVEN, _FULL = np.uint64(0x1000) * _ONES, np.uint64(1 << 14)
-_HALVES, _QUARTERS, _SHARE4, _SHARE5 = (np.uint64(0xFFFF >> i) * _ONES for i in (1, 2, 4, 5))
+_HALVES, _QUARTERS, _SHARE5 = (np.uint64(0xFFFF >> i) * _ONES for i in (1, 2, 5))
+
+
+class Model:
+    """What the head of a file says about all of its ids: the state to which every block is reset.
+
+    ``frequency`` (they sum to 2^LITERAL) and ``cumulative`` are of order 0; ``one`` and ``two`` hold, for the id
+    before and for a hash of the two before, a guess and above it how sure it is (0 to 3); ``flags`` are the
+    distributions of the guess that is right, by how sure orders 2 and 1 are."""
+
+    def __init__(self, frequency: np.ndarray, one: np.ndarray, two: np.ndarray, flags: np.ndarray):
+        self.frequency, self.one, self.two, self.flags = frequency, one, two, flags
+        self.cumulative = np.cumsum(frequency) - frequency
+        self.zero = int(frequency.argmax())
+        self.symbols = np.repeat(np.arange(len(frequency), dtype=np.int64), frequency)
+
+    @classmethod
+    def of(cls, ids: np.ndarray) -> Model:
+        counts = np.bincount(ids, minlength=1 << 16)
+        frequency = np.where(counts > 0, np.maximum(1, (counts << LITERAL) // max(len(ids), 1)), 0)
+        while (over := int(frequency.sum()) - (1 << LITERAL)) != 0:
+            # The most frequent ids bear what rounding took or gave.
+            if over < 0:
+                frequency[frequency.argmax()] -= over
+            else:
+                top = frequency.argsort()[-min(over, 1 << 10) :]
+                top = top[frequency[top] > 1]
+                frequency[top] -= 1
+        before, earlier = _before(ids, BLOCK)
+        one, two = _guesses(before, ids, 1 << 16), np.full(1 << _TWO, 0xFFFF, np.int64)
+        if len(ids) >= _LEAST_TWO:
+            two = _guesses(_context(before, earlier), ids, 1 << _TWO)
+        model = cls(frequency, one, two, np.full(16, _EVEN, np.uint64))
+        seen = np.ones(64, np.int64)
+        for at in range(0, len(ids), 1 << 16):
+            own = slice(at, at + (1 << 16))
+            certain, flag, _ = model.judge(ids[own], before[own], earlier[own])
+            seen += np.bincount(certain << 2 | flag, minlength=64)
+        seen = seen.reshape(16, 4)
+        share = 64 + seen * ((1 << 14) - 256) // seen.sum(1, keepdims=True)
+        share[:, 3] += (1 << 14) - share.sum(1)
+        model.flags = (share.astype(np.uint64) << (np.arange(4, dtype=np.uint64) << _U4)).sum(1, dtype=np.uint64)
+        return model
+
+    def judge(self, ids: np.ndarray, before: np.ndarray, earlier: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(how sure orders 2 and 1 are, the first order that is right, whether none is) of ids whose context is known."""
+        two, one = self.two.take(_context(before, earlier)), self.one.take(before)
+        flag = np.where((two & 0xFFFF) == ids, 0, np.where((one & 0xFFFF) == ids, 1, np.where(ids == self.zero, 2, 3)))
+        return two >> 16 << 2 | one >> 16, flag, flag == 3
+
+    def pack(self) -> bytes:
+        return zlib.compress(b"".join([_sparse(self.frequency, 0), _sparse(self.one, 0xFFFF), _sparse(self.two, 0xFFFF), self.flags.astype("<u8").tobytes()]))
+
+    @classmethod
+    def unpack(cls, data: bytes) -> Model:
+        try:
+            raw, tables = zlib.decompress(data), []
+            for size, rest in ((1 << 16, 0), (1 << 16, 0xFFFF), (1 << _TWO, 0xFFFF)):
+                n = int.from_bytes(raw[:4], "little")
+                planes = np.frombuffer(raw, np.uint8, 8 * n, 4).reshape(8, n).astype(np.int64)
+                gaps, values = (planes[k] | planes[k + 1] << 8 | planes[k + 2] << 16 | planes[k + 3] << 24 for k in (0, 4))
+                table, raw = np.full(size, rest, np.int64), raw[4 + 8 * n :]
+                table[np.cumsum(gaps)] = values
+                tables.append(table)
+            return cls(*tables, np.frombuffer(raw, "<u8", 16).astype(np.uint64))
+        except (zlib.error, IndexError) as error:
+            raise ValueError("the head is damaged") from error
+
+
+def _sparse(table: np.ndarray, rest: int) -> bytes:
+    """Number, gaps and values of the entries other than ``rest``, byte by byte of all."""
+    at = np.flatnonzero(table != rest)
+    pairs = np.stack([np.diff(at, prepend=0), table[at]]).astype("<u4")
+    return len(at).to_bytes(4, "little") + np.ascontiguousarray(pairs.view(np.uint8).reshape(2, len(at), 4).transpose(0, 2, 1)).tobytes()
+
+
+def _context(before: np.ndarray, earlier: np.ndarray) -> np.ndarray:
+    return (before * 0x3D4D + earlier * 0x51ED) >> 3 & (1 << _TWO) - 1
+
+
+def _before(ids: np.ndarray, block: int) -> tuple[np.ndarray, np.ndarray]:
+    """The id before each and the one before that, zero beyond the start of a block."""
+    before, earlier = np.zeros(len(ids), np.int64), np.zeros(len(ids), np.int64)
+    before[1:], earlier[2:] = ids[:-1], ids[:-2]
+    before[::block] = earlier[::block] = earlier[1::block] = 0
+    return before, earlier
+
+
+def _guesses(context: np.ndarray, ids: np.ndarray, size: int) -> np.ndarray:
+    """For each context the id that follows most often, and above its 16 bits how sure it is; 65,535 is no id."""
+    keys = np.sort(context.astype(np.uint64) << _U16 | ids.astype(np.uint64))
+    first = np.flatnonzero(np.append(True, keys[1:] != keys[:-1])) if len(keys) else np.empty(0, np.int64)
+    times = np.diff(np.append(first, len(keys)))
+    where, what = (keys[first] >> _U16).astype(np.int64), (keys[first] & _FIELD).astype(np.int64)
+    total = np.bincount(context, minlength=size)
+    keep = times >= 3  # rarer ones would cost more in the head than they save
+    where, what, times = where[keep], what[keep], times[keep]
+    order = np.argsort(times, kind="stable")
+    where, what, times = where[order], what[order], times[order]
+    share = times / total[where]
+    out = np.full(size, 0xFFFF, np.int64)
+    out[where] = what | 1 + (share > 0.3).astype(np.int64) + (share > 0.7) << 16
+    return out
 
 
 class _Lanes:
-    """The model's state in n independent lanes; ``narrow`` leaves only the first ones, as views.
+    """What n independent lanes have learnt; ``narrow`` leaves only the first ones, as views.
 
     A distribution over four symbols is one integer of four 16-bit frequencies that sum to
     2^14; prefix sums are a multiplication, and learning a symbol moves a 32nd of each
-    frequency to it."""
-
-    def __init__(self, n: int):
-        self.before, self.earlier, self.zero, self.last_size = (np.zeros(n, np.int64) for _ in range(4))
-        self.one, self.two = np.zeros(n << _ONE, np.int64), np.zeros(n << _TWO, np.int64)
-        self.flags = np.full(3 * n * 4, _EVEN, np.uint64)  # by order, lane and the order's confidence
-        self.scores = np.zeros((3, n), np.int64)
-        self.high = np.full(n * 17, _EVEN, np.uint64)  # by lane and the size before; the last one is of order 0
-        self.lower = np.full(n * 16, _EVEN, np.uint64)  # by lane, the upper half before and the upper half now
-        self.lane = np.arange(n, dtype=np.int64)
-        self.orders = np.stack([(k * n + self.lane) << 2 for k in range(3)])
+    frequency to it.  One distribution is chosen by how sure the orders are, another by the
+    orders that were right at the last two ids; the one that did better lately weighs three quarters."""
+
+    def __init__(self, model: Model, n: int):
+        self.sure, self.past = np.tile(model.flags, n), np.full(n * 16, _EVEN, np.uint64)
+        self.lane, self.history, self.score = np.arange(n, dtype=np.int64) << 4, np.zeros(n, np.int64), np.zeros(n, np.int64)
 
     def narrow(self, n: int) -> None:
-        for name in ("before", "earlier", "zero", "last_size", "lane"):
-            setattr(self, name, getattr(self, name)[:n])
-        self.scores, self.orders = self.scores[:, :n], self.orders[:, :n]
-
-    def predict(self) -> tuple[np.ndarray, np.ndarray]:
-        """The three guesses [order 2, 1, 0] and the mixed distribution of which is right."""
-        b = self.before
-        self.at1 = (self.lane << _ONE) + ((b * 0x9E3B) >> 5 & (1 << _ONE) - 1)
-        self.at2 = (self.lane << _TWO) + ((b * 0x3D4D + self.earlier * 0x51ED) >> 4 & (1 << _TWO) - 1)
-        self.entries = np.stack([self.two.take(self.at2), self.one.take(self.at1), self.zero])
-        self.rows = self.orders + (self.entries >> 16)
-        self.each = self.flags.take(self.rows)
-        # The order that did best lately weighs a half, the others a quarter each.
-        best = self.scores.argmax(0)
-        q = (self.each >> _U2) & _QUARTERS
-        mixed = q[0] + q[1] + q[2] + q[best, self.lane]
+        self.lane, self.history, self.score = self.lane[:n], self.history[:n], self.score[:n]
+
+    def predict(self, certain: np.ndarray) -> np.ndarray:
+        self.row_a, self.row_b = self.lane + certain, self.lane + self.history
+        self.a, self.b = self.sure.take(self.row_a), self.past.take(self.row_b)
+        mixed = ((self.a >> _U2) & _QUARTERS) + ((self.b >> _U2) & _QUARTERS) + ((np.where(self.score >= 0, self.a, self.b) >> _U1) & _HALVES)
         # What flooring took goes to the fourth symbol.
-        return self.entries & 0xFFFF, mixed + ((_FULL - (mixed * _ONES >> _U48)) << _U48)
+        return mixed + ((_FULL - (mixed * _ONES >> _U48)) << _U48)
 
-    def predict_size(self) -> np.ndarray:
-        self.row_h = self.lane * 17 + self.last_size
-        self.row_0 = self.lane * 17 + 16
-        h = ((self.high.take(self.row_h) >> _U1) & _HALVES) + ((self.high.take(self.row_0) >> _U1) & _HALVES)
-        return h + ((_FULL - (h * _ONES >> _U48)) << _U48)
+    def learn(self, flag: np.ndarray) -> None:
+        at = flag.astype(np.uint64) << _U4
+        gain = ((self.a >> at) & _FIELD).astype(np.int64) - ((self.b >> at) & _FIELD).astype(np.int64)
+        self.score += gain - (self.score >> 3)
+        self.sure[self.row_a] = _moved(self.a, at)
+        self.past[self.row_b] = _moved(self.b, at)
+        self.history = (self.history << 2 | flag) & 15
 
-    def predict_lower(self, upper: np.ndarray) -> np.ndarray:
-        self.row_l = (self.lane << 4) + ((self.last_size >> 2) << 2) + upper
-        return self.lower.take(self.row_l)
 
-    def learn(self, ids: np.ndarray, flag: np.ndarray, size: np.ndarray) -> None:
-        at = flag.astype(np.uint64) << _U4
-        self.scores += (((self.each >> at) & _FIELD).astype(np.int64) >> 3) - (self.scores >> 3)
-        self.flags[self.rows] = _moved(self.each, at, _U5)
-        missed = np.flatnonzero(flag == 3)
-        if len(missed):
-            own = size[missed]
-            upper, low = (own >> 2).astype(np.uint64) << _U4, (own & 3).astype(np.uint64) << _U4
-            for rows, table, symbol in ((self.row_h[missed], self.high, upper), (self.row_0[missed], self.high, upper), (self.row_l[missed], self.lower, low)):
-                table[rows] = _moved(table.take(rows), symbol, _U4)
-            self.last_size[missed] = own
-        e = self.entries
-        same = (e & 0xFFFF) == ids
-        raised = np.minimum(e >> 16, 2) + 1 << 16 | ids
-        e = np.where(same, raised, np.where(e >> 16 > 0, e - (1 << 16), ids))
-        self.two[self.at2], self.one[self.at1], self.zero[:] = e[0], e[1], e[2]
-        self.earlier[:] = self.before
-        self.before[:] = ids
-
-
-def _moved(packed: np.ndarray, at: np.ndarray, rate: np.uint64) -> np.ndarray:
-    """A share 2^-rate of every frequency moves to the symbol at bit ``at``; the sum stays, and none reaches zero."""
-    share = (packed >> rate) & (_SHARE5 if rate == _U5 else _SHARE4)
+def _moved(packed: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """A 32nd of every frequency moves to the symbol at bit ``at``; the sum stays, and none reaches zero."""
+    share = (packed >> _U5) & _SHARE5
     return packed - share + ((share * _ONES >> _U48) << at)
 
 
@@ -131,28 +205,19 @@ def _span(packed: np.ndarray, symbol: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return ((packed * _ONES >> at) & _FIELD) - frequency, frequency
 
 
-def _found(packed: np.ndarray, target: np.ndarray, scale: np.ndarray | None = None) -> np.ndarray:
-    """The symbol whose span holds the target (of spans multiplied by ``scale``)."""
-    ends = packed * _ONES
-    bounds = [ends & _FIELD, (ends >> _U16) & _FIELD, (ends >> _U32) & _FIELD]
-    if scale is not None:
-        bounds = [b * scale for b in bounds]
-    return (target >= bounds[0]).astype(np.int64) + (target >= bounds[1]) + (target >= bounds[2])
-
-
 class _Encoder:
     """low < 2^48 and 2^32 <= range <= 2^48; words of 16 bits leave at the top, and a carry is added to those that left."""
 
     def __init__(self, n: int, steps: int):
         self.low, self.range = np.zeros(n, np.uint64), np.full(n, 1 << 48, np.uint64)
-        self.width = 4 * steps + 8
+        self.width = 2 * steps + 8
         self.out, self.at = np.zeros(n * self.width, np.uint16), np.arange(n) * self.width
 
     def narrow(self, n: int) -> None:
         self.low, self.range, self.at = self.low[:n], self.range[:n], self.at[:n]
 
-    def put(self, cumulative: np.ndarray, frequency: np.ndarray, bits, words: int = 1) -> None:
-        part = self.range >> bits
+    def put(self, cumulative: np.ndarray, frequency: np.ndarray) -> None:
+        part = self.range >> _TOTAL
         self.low += cumulative * part
         np.multiply(part, frequency, out=self.range)
         over = self.low >> _U48
@@ -163,7 +228,7 @@ class _Encoder:
             while len(at):
                 self.out[at] += np.uint16(1)
                 at = at[self.out[at] == 0] - 1
-        for _ in range(words):
+        for _ in range(2):
             need = self.range < _U2_32
             shift = need.astype(np.uint64) << _U4
             self.out[self.at] = self.low >> _U32
@@ -193,15 +258,15 @@ class _Decoder:
     def narrow(self, n: int) -> None:
         self.range, self.code, self.at, self.end = self.range[:n], self.code[:n], self.at[:n], self.end[:n]
 
-    def look(self, bits) -> np.ndarray:
-        """Where each lane's code lies in a total of 2^bits."""
-        self.part = self.range >> bits
-        return np.minimum(self.code // self.part, (_U1 << bits) - _U1)
+    def look(self) -> np.ndarray:
+        """Where each lane's code lies in a total of 2^30.  Quotients are below 2^30 and divisors at most 2^18, so floats are exact."""
+        self.part = self.range >> _TOTAL
+        return np.minimum((self.code / self.part).astype(np.int64), (1 << 30) - 1)
 
-    def take(self, cumulative: np.ndarray, frequency: np.ndarray, words: int = 1) -> None:
+    def take(self, cumulative: np.ndarray, frequency: np.ndarray) -> None:
         self.code -= cumulative * self.part
         np.multiply(self.part, frequency, out=self.range)
-        for _ in range(words):
+        for _ in range(2):
             need = self.range < _U2_32
             shift = need.astype(np.uint64) << _U4
             new = self.words.take(np.minimum(self.at, self.end)).astype(np.uint64)
@@ -211,93 +276,99 @@ class _Decoder:
             np.left_shift(self.range, shift, out=self.range)
 
 
-_SIZES = np.array([max(i, 1).bit_length() - 1 for i in range(1 << 16)], np.int64)
-
-
-def encode_lanes(ids: np.ndarray, lengths: list[int]) -> list[bytes]:
+def encode_lanes(model: Model, ids: np.ndarray, lengths: list[int]) -> list[bytes]:
     """The blocks of ids: full ones, of which only the last may be shorter."""
     n, steps = len(lengths), lengths[0]
-    model, coder = _Lanes(n), _Encoder(n, steps)
+    lanes, coder = _Lanes(model, n), _Encoder(n, steps)
     padded = np.zeros(n * steps, np.uint16)
     padded[: len(ids)] = ids
-    columns = np.ascontiguousarray(padded.reshape(n, steps).T)
+    columns = np.zeros((steps + 2, n), np.uint16)  # two rows of zeros first: the context of a block's start
+    columns[2:] = padded.reshape(n, steps).T
     tail = None
-    for t in range(steps):
-        if t == lengths[-1] and tail is None:
-            tail = coder.finish(n - 1)
-            model.narrow(n - 1)
-            coder.narrow(n - 1)
-        now = columns[t, : len(coder.low)].astype(np.int64)
-        guesses, which = model.predict()
-        flag = np.where(guesses[0] == now, 0, np.where(guesses[1] == now, 1, np.where(guesses[2] == now, 2, 3)))
-        coder.put(*_span(which, flag), _U14)
-        missed, size = flag == 3, _SIZES.take(now + 1)
-        upper = size >> 2
-        c, f = _span(model.predict_size(), upper)
-        d, g = _span(model.predict_lower(upper), size & 3)
-        coder.put(np.where(missed, (c << _U14) + f * d, _U0), np.where(missed, f * g, _U2_28), _U28, 2)
-        rest = np.where(missed, size, 0)
-        coder.put(((now + 1 - (1 << rest)) * missed).astype(np.uint64), _U1, rest.astype(np.uint64))
-        model.learn(now, flag, size)
+    for start in range(0, steps, _SLICE):
+        some = columns[start : start + _SLICE + 2].astype(np.int64)
+        now = some[2:]
+        certain, flag, missed = model.judge(now, some[1:-1], some[:-2])
+        cumulative = np.where(missed, model.cumulative.take(now), 0).astype(np.uint64)
+        frequency = np.where(missed, model.frequency.take(now), 1 << LITERAL).astype(np.uint64)
+        for k in range(len(now)):
+            if start + k == lengths[-1] and tail is None:
+                tail = coder.finish(n - 1)
+                lanes.narrow(n - 1)
+                coder.narrow(n - 1)
+            m = len(coder.low)
+            own = flag[k, :m]
+            c, f = _span(lanes.predict(certain[k, :m]), own)
+            coder.put((c << _BITS) + f * cumulative[k, :m], f * frequency[k, :m])
+            lanes.learn(own)
     done = [coder.finish(lane) for lane in range(len(coder.low))]
     return done if tail is None else [*done, tail]
 
 
-def decode_lanes(blocks: list[bytes], lengths: list[int]) -> np.ndarray:
+def decode_lanes(model: Model, blocks: list[bytes], lengths: list[int]) -> np.ndarray:
     n, steps = len(lengths), lengths[0]
-    model, coder = _Lanes(n), _Decoder(blocks)
-    columns, short = np.zeros((steps, n), np.uint16), False
+    lanes, coder = _Lanes(model, n), _Decoder(blocks)
+    columns, before, earlier = np.zeros((steps, n), np.uint16), np.zeros(n, np.int64), np.zeros(n, np.int64)
+    short, whole = False, np.uint64(1 << LITERAL)
+    cumulative, frequency = model.cumulative.astype(np.uint64), model.frequency.astype(np.uint64)
     for t in range(steps):
         if t == lengths[-1] and not short:
             short = True
-            model.narrow(n - 1)
+            before, earlier = before[: n - 1], earlier[: n - 1]
+            lanes.narrow(n - 1)
             coder.narrow(n - 1)
-        guesses, which = model.predict()
-        flag = _found(which, coder.look(_U14))
-        coder.take(*_span(which, flag))
-        missed = flag == 3
-        sizes = model.predict_size()
-        target = coder.look(_U28)
-        upper = np.where(missed, _found(sizes, target >> _U14), 0)
-        c, f = _span(sizes, upper)
-        lowers = model.predict_lower(upper)
-        low = _found(lowers, target - np.minimum(c << _U14, target), f)
-        d, g = _span(lowers, low)
-        coder.take(np.where(missed, (c << _U14) + f * d, _U0), np.where(missed, f * g, _U2_28), 2)
-        size = (upper << 2) + low
-        rest = np.where(missed, size, 0)
-        below = coder.look(rest.astype(np.uint64))
-        coder.take(below, _U1)
-        now = np.where(missed, (1 << rest) + below.astype(np.int64) - 1, np.where(flag == 0, guesses[0], np.where(flag == 1, guesses[1], guesses[2])))
+        two, one = model.two.take(_context(before, earlier)), model.one.take(before)
+        which = lanes.predict(two >> 16 << 2 | one >> 16)
+        target = coder.look()
+        ends, upper = which * _ONES, (target >> LITERAL).astype(np.uint64)
+        flag = (upper >= ends & _FIELD).astype(np.int64) + (upper >= (ends >> _U16) & _FIELD) + (upper >= (ends >> _U32) & _FIELD)
+        c, f = _span(which, flag)
+        now = np.where(flag == 0, two & 0xFFFF, np.where(flag == 1, one & 0xFFFF, model.zero))
+        c, missed = c << _BITS, np.flatnonzero(flag == 3)
+        width = f * whole
+        if len(missed):
+            g = f[missed]
+            symbol = model.symbols.take(((target[missed] - c[missed].astype(np.int64)) / g).astype(np.int64))
+            now[missed] = symbol
+            c[missed] += g * cumulative.take(symbol)
+            width[missed] = g * frequency.take(symbol)
+        coder.take(c, width)
         columns[t, : len(now)] = now
-        model.learn(now, flag, size)
-    lanes = columns.T
-    return np.concatenate([lanes[i, :m] for i, m in enumerate(lengths)]).astype(np.int64)
+        lanes.learn(flag)
+        earlier, before = before, now
+    rows = columns.T
+    return np.concatenate([rows[i, :m] for i, m in enumerate(lengths)]).astype(np.int64)
 
 
 def write_file(ids: np.ndarray) -> bytes:
     """A file that holds the ids."""
     if len(ids) and (int(ids.max()) > 0xFFFE or int(ids.min()) < 0):
         raise ValueError("ids must be from 0 to 65534")
-    blocks, heads = [], []
+    if not len(ids):
+        return MAGIC + struct.pack("<IQIII", VERSION, 0, 0, BLOCK, 0)
+    model, blocks, heads = Model.of(ids), [], []
     for at in range(0, len(ids), BLOCK * LANES):
         own = ids[at : at + BLOCK * LANES]
         lengths = [min(BLOCK, len(own) - b) for b in range(0, len(own), BLOCK)]
-        coded = encode_lanes(own, lengths)
+        coded = encode_lanes(model, own, lengths)
         heads += [struct.pack("<III", m, len(c), zlib.crc32(own[i * BLOCK : i * BLOCK + m].astype("<u4").tobytes())) for i, (m, c) in enumerate(zip(lengths, coded, strict=True))]
         blocks += coded
-    return MAGIC + struct.pack("<IQII", VERSION, len(ids), len(blocks), BLOCK) + b"".join(heads) + b"".join(blocks)
+    packed = model.pack()
+    return MAGIC + struct.pack("<IQIII", VERSION, len(ids), len(blocks), BLOCK, len(packed)) + packed + b"".join(heads) + b"".join(blocks)
 
 
 def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -> np.ndarray:
     """The ids of a file, or of some of its blocks; every block is held against its checksum."""
-    if data[:4] != MAGIC or len(data) < 24:
+    if data[:4] != MAGIC or len(data) < 28:
         raise ValueError("not a file of ids")
-    version, total, count, _ = struct.unpack_from("<IQII", data, 4)
+    version, total, count, _, size = struct.unpack_from("<IQIII", data, 4)
     if version != VERSION:
         raise ValueError(f"version {version} is unknown")
-    heads = [struct.unpack_from("<III", data, 24 + 12 * i) for i in range(count)]
-    at, blocks = 24 + 12 * count, []
+    if not count:
+        return np.empty(0, np.int64)
+    model, at = Model.unpack(data[28 : 28 + size]), 28 + size
+    heads = [struct.unpack_from("<III", data, at + 12 * i) for i in range(count)]
+    at, blocks = at + 12 * count, []
     for _, size, _ in heads:
         blocks.append(data[at : at + size])
         at += size
@@ -305,7 +376,7 @@ def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -
     out = []
     for start in range(wanted.start, wanted.stop, LANES):
         some = range(start, min(start + LANES, wanted.stop))
-        ids = decode_lanes([blocks[i] for i in some], [heads[i][0] for i in some])
+        ids = decode_lanes(model, [blocks[i] for i in some], [heads[i][0] for i in some])
         done = 0
         for i in some:
             own = ids[done : done + heads[i][0]]
@@ -322,7 +393,9 @@ def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -
 class ChunkTokenizer:
     """Encodes texts chunk by chunk (runs without ASCII white space), remembering chunks (bounded).
 
-    The tokenizer folds white space into separators that no token crosses, so a text's ids are its chunks' ids."""
+    The tokenizer folds white space into separators that no token crosses, so a text's ids are its chunks' ids.  A
+    chunk's ASCII punctuation behind a letter is a token of its own, and letters alone are one word, of
+    which the last id is a word's end: so new words are encoded together, and cut at word ends."""
 
     def __init__(self, path: str):
         env_single_thread()
@@ -330,22 +403,66 @@ class ChunkTokenizer:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for token, i in vocabulary.items() if token.endswith("</w>")]] = True
         self.cache: dict[bytes, bytes] = {}
+        self.words: dict[bytes, bytes] = {b"": b""}
 
     def encode(self, text: bytes) -> bytes:
         """Ids as little-endian unsigned 16-bit integers."""
-        chunks = text.split()
-        try:
-            return b"".join(map(self.cache.__getitem__, chunks))
-        except KeyError:
+        return self.encode_all([text])[0]
+
+    def encode_all(self, texts: list[bytes]) -> list[bytes]:
+        cut = [t.split() for t in texts]
+        new = set(itertools.chain.from_iterable(cut)).difference(self.cache)
+        if new:
             if len(self.cache) > _CACHE_LIMIT:
                 self.cache.clear()
-            new = [c for c in set(chunks) if c not in self.cache]
-            for at in range(0, len(new), 50_000):
-                some = new[at : at + 50_000]
-                for c, e in zip(some, self.tokenizer.encode_batch_fast([c.decode("utf-8", "replace") for c in some], add_special_tokens=False), strict=True):
-                    self.cache[c] = np.array(e.ids, "<u2").tobytes()
-            return b"".join(map(self.cache.__getitem__, chunks))
+                new = set(itertools.chain.from_iterable(cut))
+            self._learn(new)
+        known = self.cache.__getitem__
+        return [b"".join(map(known, c)) for c in cut]
+
+    def _learn(self, chunks: Iterable[bytes]) -> None:
+        if len(self.words) > _CACHE_LIMIT:
+            self.words = {b"": b""}
+        words, odd, pairs = self.words, [], []
+        for chunk in chunks:
+            stem = chunk.rstrip(_MARKS)
+            # Only A-Z: other letters' lower case is the tokenizer's own affair.
+            word = stem.lower()
+            if stem.isalpha() or not stem.isascii() and _is_word(word):
+                pairs.append((chunk, word, chunk[len(stem) :]))
+            else:
+                odd.append(chunk)
+        fresh = [*{w for _, w, _ in pairs}.difference(words)]
+        for at in range(0, len(fresh), _TOGETHER):
+            some = fresh[at : at + _TOGETHER]
+            ids = np.array(self.tokenizer.encode(b" ".join(some).decode(), add_special_tokens=False).ids, "<u2")
+            ends = (np.flatnonzero(self.ends[ids]) + 1) * 2
+            if len(ends) == len(some):
+                raw, ends = ids.tobytes(), ends.tolist()
+                words.update(zip(some, (raw[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)), strict=True))
+            else:  # the tokenizer knows other letters than Python does
+                words.update(zip(some, self._plain(some), strict=True))
+        tails = [*{t for _, _, t in pairs}.difference(words)]
+        words.update(zip(tails, self._plain(tails), strict=True))
+        self.cache.update((chunk, words[word] + words[tail]) for chunk, word, tail in pairs)
+        for at in range(0, len(odd), 50_000):
+            some = odd[at : at + 50_000]
+            self.cache.update(zip(some, self._plain(some), strict=True))
+
+    def _plain(self, texts: list[bytes]) -> list[bytes]:
+        return [np.array(e.ids, "<u2").tobytes() for e in self.tokenizer.encode_batch_fast([t.decode("utf-8", "replace") for t in texts], add_special_tokens=False)]
+
+
+def _is_word(word: bytes) -> bool:
+    try:
+        text = word.decode()
+    except UnicodeDecodeError:
+        return False
+    return text.isalpha() and unicodedata.is_normalized("NFC", text)
 
 
 @functools.lru_cache(maxsize=2)
@@ -353,6 +470,18 @@ def tokenizer(path: str) -> ChunkTokenizer:
     return ChunkTokenizer(path)
 
 
+def _groups(texts: list[bytes]) -> Iterator[tuple[int, int]]:
+    """Spans of texts that are encoded together: of _GROUP_BYTES, or one text."""
+    start, size = 0, 0
+    for at, text in enumerate(texts):
+        if size and size + len(text) > _GROUP_BYTES:
+            yield start, at
+            start, size = at, 0
+        size += len(text)
+    if texts:
+        yield start, len(texts)
+
+
 FILE_SCHEMA = "part int, shard int, n_tokens long, file binary, doc_ids binary, lengths binary"
 
 
@@ -374,14 +503,15 @@ def _written(path: str, end_id: int):
             return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([shard], pa.int32()), pa.array([len(body)], pa.int64()), pa.array([write_file(body)], pa.binary()), pa.array([marks.tobytes()], pa.binary()), pa.array([lengths.tobytes()], pa.binary())], [f.split()[0] for f in FILE_SCHEMA.split(", ")])
 
         for batch in batches:
-            for doc, text in zip(batch.column(0).to_pylist(), as_bytes(batch.column(1)), strict=True):
-                own = coder.encode(text) + end
-                ids.append(own)
-                owners.append(doc)
-                size += len(own) // 2
-                if size >= BLOCK * LANES:
-                    yield flush()
-                    ids, owners, size, shard = [], [], 0, shard + 1
+            texts, docs = as_bytes(batch.column(1)), batch.column(0).to_pylist()
+            for a, b in _groups(texts):
+                for doc, body in zip(docs[a:b], coder.encode_all(texts[a:b]), strict=True):
+                    ids.append(body + end)
+                    owners.append(doc)
+                    size += len(body) // 2 + 1
+                    if size >= BLOCK * LANES:
+                        yield flush()
+                        ids, owners, size, shard = [], [], 0, shard + 1
         if ids:
             yield flush()
 
