@@ -48,6 +48,25 @@ def test_id_files(spark):
         id_coder.write_file(np.array([70000]))
 
 
+def test_id_files_of_full_tables():
+    ids = np.random.RandomState(2).zipf(1.4, 50_000) % 3000
+    data = id_coder.write_file(ids)
+    assert (id_coder.read_file(data) == ids).all() and (id_coder.read_file(data, 3, 5) == ids[3 * 4096 : 5 * 4096]).all()
+    broken = bytearray(data)
+    broken[60] ^= 255
+    with pytest.raises(ValueError):
+        id_coder.read_file(bytes(broken))
+
+
+def test_chunks_have_the_ids_of_the_whole_text():
+    import public_tokenizers
+
+    coder = id_coder.tokenizer(public_tokenizers.path("word_bpe_49k.json"))
+    odd = "I\u0307a it's IT'S. e\u0301t\u00e9, \u0130x \u0958a \u01c5abc\u00b2. \u2168 x\u2026.. a--b <|endoftext|> !!! \u1e9eA \ufb01n, K\u212a. \u03a3\u0391\u03a3. e\u0301. \u0e01\u0e33 don't. 'tis x_y 3.14, A9b! l'\u00c9t\u00e9;"
+    for text in (odd, "", " \n\t", "word " * 3000, ".,;", odd.upper(), odd.replace(" ", "\u00a0")):
+        assert np.frombuffer(coder.encode(text.encode()), "<u2").tolist() == coder.tokenizer.encode(text, add_special_tokens=False).ids
+
+
 def test_ids_of_documents(spark):
     import public_tokenizers
     from tokenizers import Tokenizer
