@@ -15,9 +15,10 @@ Distance is one minus Jaccard similarity, a metric.  The steps:
    must share one of, are judged by the pivots' distance d.  Up to the radius they are linked; beyond radius
    + both region radii the triangle inequality rules out every pair; between the two, boundary
    members are compared with the other pivot, and those that it still leaves with one another.
+   Two regions that other links already join to one component have nothing to add and are left out.
 6. Links are joined to components.
 
-No pair of a dense region is enumerated, and no link between different sets is lost.
+No pair of a dense region is enumerated, and no component misses a link between different sets.
 Equal sets meet first in their Arrow batch, so a group of copies is as many rows as there are batches.
 
 Edge cases: null and empty texts have no shingles and are their own component; with fewer
@@ -145,30 +146,6 @@ def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(common, pa.int64()), pa.array(union, pa.int64())], ["a", "b", "common", "total"])
 
 
-def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        common, union = [], []
-        for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-            c, u = distance(unpack(a), unpack(b))
-            common.append(c)
-            union.append(u)
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(common, pa.int64()), pa.array(union, pa.int64())], ["a", "b", "common", "total"])
-
-
-def measured(docs: DataFrame, pairs: DataFrame, name: str) -> DataFrame:
-    """(a, b) pairs of document ids -> (a, b, common, total, d, linked), exactly, as a written table."""
-    spark = docs.sparkSession
-    ids = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    sets = _sets_of(docs, ids)
-    left = pairs.join(sets.select(F.col("id").alias("a"), F.col("grams").alias("left")), "a")
-    both = left.join(sets.select(F.col("id").alias("b"), F.col("grams").alias("right")), "b").select("a", "b", "left", "right")
-    out = both.mapInArrow(_compare, "a long, b long, common long, total long")
-    # Rows that share a doc_id bring several sets; the nearest pair counts.
-    out = out.groupBy("a", "b").agg(F.max_by("common", F.col("common") / F.col("total")).alias("common"), F.max_by("total", F.col("common") / F.col("total")).alias("total"))
-    out = out.withColumn("d", 1 - F.col("common") / F.col("total")).withColumn("linked", F.col("common") * 100 >= F.col("total") * SIMILARITY)
-    return scratch(spark, out, name)
-
-
 def _homes_of(crowd: DataFrame) -> DataFrame:
     """The HOMES smallest crowded cells of each point."""
     order = Window.partitionBy("node").orderBy("cell")
@@ -322,16 +299,17 @@ def link_documents(docs: DataFrame, crowd_size: int = CROWD) -> DataFrame:
     unsure = scratch(spark, unsure.where(~F.coalesce(F.coalesce("ra", "a") == F.coalesce("rb", "b"), F.lit(False))).select("a", "b"), "unsure")
     if not unsure.isEmpty():
         links.append(measured(sets, unsure, "decided").where("linked").select(F.col("a").alias("u"), F.col("b").alias("v")))
-    links += _windows(spark, sets, pairs, satellites)
+    centres = None if pairs.isEmpty() else measured(sets, pairs, "centres")
+    if centres is not None:
+        links.append(_edges(centres))
 
     twice = named.join(nodes.select("digest", "node"), "digest").select("doc_id", "node").distinct()
     ends = twice.groupBy("doc_id").agg(F.min("node").alias("u"), F.count("*").alias("m")).where("m > 1").drop("m")
     links.append(twice.join(ends, "doc_id").select("u", F.col("node").alias("v")))
-    edges = links[0]
-    for more in links[1:]:
-        edges = edges.unionByName(more)
-    found = components(spark, edges)
+    found = components(spark, _union(links))
     labels = nodes.join(found, "node", "left").select("digest", "rep", F.coalesce("component", "node").alias("label"))
+    if centres is not None and (more := _windows(spark, sets, centres, satellites, found)):
+        labels = _merged(spark, labels, found, _union(more))
     least = labels.groupBy("label").agg(F.min("rep").alias("component_id"))
     labels = labels.join(least, "label").select("digest", "component_id")
     home = table.select("doc_id", F.col("n").alias("n_shingles"), "digest").join(labels, "digest", "left")
@@ -371,16 +349,37 @@ def _regions(spark: SparkSession, sets: DataFrame, known: DataFrame, crowd: Data
     return [near.select(F.col("a").alias("u"), F.col("b").alias("v"))], pairs, satellites, near
 
 
-def _windows(spark: SparkSession, sets: DataFrame, pairs: DataFrame, satellites: DataFrame) -> list[DataFrame]:
-    """Links among the regions of each pair, by the triangle inequality."""
-    if pairs.isEmpty():
-        return []
-    centres = measured(sets, pairs, "centres")
-    edge = lambda f: f.where("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
-    out = [edge(centres)]
+def _edges(measured_pairs: DataFrame) -> DataFrame:
+    return measured_pairs.where("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
+
+
+def _union(frames: list[DataFrame]) -> DataFrame:
+    out = frames[0]
+    for more in frames[1:]:
+        out = out.unionByName(more)
+    return out
+
+
+def _labelled(frame: DataFrame, found: DataFrame, column: str, label: str) -> DataFrame:
+    """The component of a column's points so far; a point without any link is its own."""
+    known = found.select(F.col("node").alias(column), F.col("component").alias("_component"))
+    return frame.join(known, column, "left").withColumn(label, F.coalesce("_component", column)).drop("_component")
+
+
+def _merged(spark: SparkSession, labels: DataFrame, found: DataFrame, edges: DataFrame) -> DataFrame:
+    """The labels after further links, as components of components."""
+    joined = _labelled(_labelled(edges, found, "u", "cu"), found, "v", "cv").select(F.col("cu").alias("u"), F.col("cv").alias("v"))
+    above = components(spark, joined).select(F.col("node").alias("label"), "component")
+    return labels.join(above, "label", "left").select("digest", "rep", F.coalesce("component", "label").alias("label"))
+
+
+def _windows(spark: SparkSession, sets: DataFrame, centres: DataFrame, satellites: DataFrame, found: DataFrame) -> list[DataFrame]:
+    """Links among the regions of each pair, by the triangle inequality, where they aren't in one component by other links."""
+    out = []
     radii = satellites.groupBy("region").agg(F.max("d").alias("radius"))
     open_ = centres.where("not linked").join(radii.select(F.col("region").alias("a"), F.col("radius").alias("ra")), "a", "left").join(radii.select(F.col("region").alias("b"), F.col("radius").alias("rb")), "b", "left")
     open_ = open_.fillna(0.0, ["ra", "rb"]).where(f"d <= {RADIUS} + ra + rb + 1e-9 and ra + rb > 0").select("a", "b", "d", "ra", "rb")
+    open_ = _labelled(_labelled(open_, found, "a", "ca"), found, "b", "cb").where("ca <> cb").drop("ca", "cb")
     if (open_ := scratch(spark, open_, "open")).isEmpty():
         return out
     member = satellites.select("region", F.col("node").alias("x"), F.col("d").alias("dx"))
@@ -390,14 +389,14 @@ def _windows(spark: SparkSession, sets: DataFrame, pairs: DataFrame, satellites:
     if boundary.isEmpty():
         return out
     seen = measured(sets, boundary.select(F.col("m").alias("a"), F.col("c").alias("b")).distinct(), "seen")
-    out.append(edge(seen))
+    out.append(_edges(seen))
     judged = boundary.join(seen.select(F.col("a").alias("m"), F.col("b").alias("c"), "d", "linked"), ["m", "c"])
     done = judged.where("linked").select(F.least("own", "c").alias("p"), F.greatest("own", "c").alias("q")).distinct()
     left_in = judged.where(f"not linked and d <= {RADIUS} + reach + 1e-9").select("m", F.least("own", "c").alias("p"), F.greatest("own", "c").alias("q"), (F.col("own") < F.col("c")).alias("first"))
     left_in = left_in.join(done, ["p", "q"], "left_anti")
     met = left_in.where("first").select("p", "q", F.col("m").alias("a")).join(left_in.where("not first").select("p", "q", F.col("m").alias("b")), ["p", "q"]).select("a", "b").distinct()
     if not (met := scratch(spark, met, "met")).isEmpty():
-        out.append(edge(measured(sets, met, "members")))
+        out.append(_edges(measured(sets, met, "members")))
     return out
 
 
