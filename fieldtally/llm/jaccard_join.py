@@ -47,6 +47,8 @@ RADIUS = 1 - SIMILARITY / 100
 EXTRA = 5  # percent
 CROWD = 64
 HOMES = 8
+#: Pairs that are compared in one task at a time; their sets are its memory.
+BUCKET_PAIRS = 1024
 _BYTES = 6
 #: Bits of the filter that keeps the texts of points that aren't compared from being shuffled; a fixed bound.
 _FILTER_BITS = 1 << 27
@@ -136,14 +138,12 @@ def _sets_of(docs: DataFrame, ids: DataFrame) -> DataFrame:
     return drop_suffix(docs, ["doc_id", "text"]).mapInArrow(run, "digest binary, grams binary")
 
 
-def _compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        common, union = [], []
-        for a, b in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-            c, u = distance(unpack(a), unpack(b))
-            common.append(c)
-            union.append(u)
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(common, pa.int64()), pa.array(union, pa.int64())], ["a", "b", "common", "total"])
+def _compare(key: tuple, pairs: pa.Table, sets: pa.Table) -> pa.Table:
+    """The pairs of a bucket, each measured; sets has every end once."""
+    grams = dict(zip(sets.column("node").to_pylist(), map(unpack, sets.column("grams").to_pylist()), strict=True))
+    found = [distance(grams[a], grams[b]) for a, b in zip(pairs.column("a").to_pylist(), pairs.column("b").to_pylist(), strict=True)]
+    common, union = np.array(found, np.int64).reshape(-1, 2).T
+    return pa.table({"a": pairs.column("a"), "b": pairs.column("b"), "common": common, "total": union})
 
 
 def _homes_of(crowd: DataFrame) -> DataFrame:
@@ -153,10 +153,15 @@ def _homes_of(crowd: DataFrame) -> DataFrame:
 
 
 def measured(sets: DataFrame, pairs: DataFrame, name: str) -> DataFrame:
-    """(a, b) pairs of points -> (a, b, d, linked), exactly, as a written table.  sets: node, grams."""
-    left = pairs.join(sets.select(F.col("node").alias("a"), F.col("grams").alias("left")), "a")
-    both = left.join(sets.select(F.col("node").alias("b"), F.col("grams").alias("right")), "b").select("a", "b", "left", "right")
-    out = both.mapInArrow(_compare, "a long, b long, common long, total long")
+    """(a, b) pairs of points -> (a, b, d, linked), exactly, as a written table.  sets: node, grams; pairs: a written table.
+
+    Pairs are dealt to buckets of about BUCKET_PAIRS by both ends, so that a point of many pairs is spread, and its set
+    is shuffled once for each bucket that needs it."""
+    buckets = max(1, -(-pairs.count() // BUCKET_PAIRS))
+    dealt = pairs.select("a", "b", F.pmod(F.xxhash64("a", "b"), F.lit(buckets)).alias("bucket"))
+    ends = dealt.select(F.col("bucket").alias("place"), F.explode(F.array("a", "b")).alias("node")).distinct()
+    wanted = ends.join(sets.select("node", "grams"), "node").select("place", "node", "grams")
+    out = dealt.groupBy("bucket").cogroup(wanted.groupBy("place")).applyInArrow(_compare, "a long, b long, common long, total long")
     out = out.select("a", "b", (1 - F.col("common") / F.col("total")).alias("d"), (F.col("common") * 100 >= F.col("total") * SIMILARITY).alias("linked"))
     return scratch(pairs.sparkSession, out, name)
 
@@ -388,7 +393,8 @@ def _windows(spark: SparkSession, sets: DataFrame, centres: DataFrame, satellite
     boundary = scratch(spark, left.unionByName(right), "boundary")
     if boundary.isEmpty():
         return out
-    seen = measured(sets, boundary.select(F.col("m").alias("a"), F.col("c").alias("b")).distinct(), "seen")
+    asked = scratch(spark, boundary.select(F.col("m").alias("a"), F.col("c").alias("b")).distinct(), "asked")
+    seen = measured(sets, asked, "seen")
     out.append(_edges(seen))
     judged = boundary.join(seen.select(F.col("a").alias("m"), F.col("b").alias("c"), "d", "linked"), ["m", "c"])
     done = judged.where("linked").select(F.least("own", "c").alias("p"), F.greatest("own", "c").alias("q")).distinct()
