@@ -6,181 +6,221 @@ p(w | h) = (c(h, w) + k * u(w)) / (c(h) + k) and u(w) = (c(w) + 1) / (n + V), in
 A document's score is its mean loss under the target model less that under the
 background model; the lower, the more it is like the target.
 
-Bounds: the vocabulary is the ``vocabulary`` most frequent words of both tables together
-(ties by hash), everything else one unknown word; bigram counts live in ``slots`` hashed
-places, so that two models are 2 * slots numbers whatever the corpus.  All counts are over
-whole texts of all rows.  What a scan gathers is one count table for each task, merged by slices.
+The vocabulary is every word of both tables and one unknown word (V counts it), and every
+bigram has its own count.  Steps:
+
+1. Texts become chunks of word numbers; a chunk's distinct words and bigrams, counted, are dealt to
+   buckets by hash.  So a key comes at most once from a chunk, however frequent it is.
+2. A bucket adds up its keys over all chunks and answers each chunk with the totals of the keys it sent.
+3. A chunk's documents are scored by the answers to it.
+
+What is counted grows with the corpus; a task holds one chunk or one bucket.
 
 Edge cases: null and empty texts have no tokens and a null score; words are matched as they are;
 repeated rows count as often as they occur; extra columns are ignored; with an empty target
-table its model is uniform.  An empty table gives an empty table.
+table its model is uniform.  An empty table gives an empty table.  Words and bigrams are compared as 64-bit hashes.
 """
 
 from __future__ import annotations
 
-import zlib
-from collections import Counter
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import WordHashes, as_bytes, read_documents, ship
+from .common import as_bytes, buckets_for, mix64, read_documents, scratch, ship, text_bytes
 
-VOCABULARY, SLOTS, SMOOTHING = 65_000, 1 << 21, 10.0
-_SLICES = 32
+SMOOTHING = 10.0
+CHUNK_TOKENS, CHUNK_ROWS = 1 << 20, 1 << 17
+BUCKET_BYTES = 8 << 20
+_PAIR = np.uint64(0x9E3779B97F4A7C15)
 SCHEMA = "doc_id long, n_tokens long, target_loss double, background_loss double, difference double"
+_CHUNKS = "chunk long, role int, answered boolean, ids array<long>, lengths array<long>, words binary, tokens binary"
+#: What no answer is wanted to has no chunk.
+_SENT = "chunk long, bucket int, role int, keys binary, counts binary"
+_ANSWERS = "chunk long, bucket int, totals binary, n_words long, n_background long, n_target long"
+BACKGROUND, TARGET, SCORED = range(3)
 
-_SEEN = WordHashes()
 
+class Numbers(dict):
+    """word bytes -> its number in the chunk, by first occurrence; the start mark is 0."""
 
-def _text_only(frame: DataFrame) -> DataFrame:
-    return frame.select(F.coalesce("text", F.lit("")).alias("text"))
+    def __init__(self):
+        self[b""] = 0
 
+    def __missing__(self, word: bytes) -> int:
+        self[word] = at = len(self)
+        return at
 
-def _word_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        counts: Counter[bytes] = Counter()
-        for text in as_bytes(batch.column(0)):
-            counts.update(text.split())
-        keys = _SEEN.of(list(counts)).view(np.int64)
-        yield pa.RecordBatch.from_arrays([pa.array(keys), pa.array(list(counts.values()), pa.int64())], ["word", "n"])
 
+def _pack(values: np.ndarray, kind: str = "<u8") -> bytes:
+    """Byte planes, of which the high ones are mostly zeros, compressed behind their length."""
+    planes = np.ascontiguousarray(values.astype(kind).reshape(-1, 1).view(np.uint8).T).tobytes()
+    return len(planes).to_bytes(8, "little") + pa.compress(planes, "zstd", asbytes=True)
 
-class Indexer(dict):
-    """word bytes -> place in the vocabulary, or its size for unknown words (bounded memory)."""
 
-    def __init__(self, keys: np.ndarray):
-        self.places = {int(k): i for i, k in enumerate(keys)}
-        self.hashes = WordHashes()
+def _unpack(raw: bytes, kind: str = "<u8") -> np.ndarray:
+    planes = pa.decompress(raw[8:], int.from_bytes(raw[:8], "little"), "zstd", asbytes=True)
+    return np.ascontiguousarray(np.frombuffer(planes, np.uint8).reshape(np.dtype(kind).itemsize, -1).T).view(kind)[:, 0]
 
-    def __missing__(self, word: bytes) -> int:
-        place = self.places.get(int(np.uint64(self.hashes[word]).view(np.int64)), len(self.places))
-        if len(self) > 500_000:
-            self.clear()
-        self[word] = place
-        return place
 
-    def of(self, text: bytes) -> np.ndarray:
-        words = text.split()
-        return np.fromiter(map(self.__getitem__, words), np.int64, len(words))
+def bigrams(tokens: np.ndarray, lengths: np.ndarray, keys: np.ndarray):
+    """Distinct bigrams of a chunk: numbers of both words, how often, hash, and which one each token ends."""
+    before = np.concatenate([[0], tokens[:-1]]) if len(tokens) else tokens
+    before[(np.cumsum(lengths) - lengths)[lengths > 0]] = 0
+    found, at, times = np.unique(before * len(keys) + tokens, return_inverse=True, return_counts=True)
+    first, second = np.divmod(found, len(keys))
+    return first, second, times, mix64(keys[first] * _PAIR + keys[second]), at, before
 
 
-def slot(before: np.ndarray, word: np.ndarray, slots: int) -> np.ndarray:
-    """The place of a bigram's count."""
-    h = before.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + word.astype(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F)
-    return ((h ^ (h >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9) >> np.uint64(40)).astype(np.int64) & (slots - 1)
+def _dealt(keys: np.ndarray, counts: list[np.ndarray], buckets: int) -> Iterator[tuple[int, bytes, bytes]]:
+    """(bucket, keys, counts), by ascending key."""
+    order = np.argsort(keys, kind="stable")
+    keys, counts = keys[order], [c[order] for c in counts]
+    bounds = np.searchsorted((keys >> np.uint64(32)) * np.uint64(buckets) >> np.uint64(32), np.arange(buckets + 1, dtype=np.uint64))
+    for b in np.flatnonzero(np.diff(bounds)).tolist():
+        part = slice(bounds[b], bounds[b + 1])
+        yield b, _pack(np.diff(keys[part], prepend=np.uint64(0))), _pack(np.concatenate([c[part] for c in counts]))
 
 
-def contexts(ids: np.ndarray, start: int) -> np.ndarray:
-    """What stands before each token: the start mark, then the token before."""
-    return np.concatenate([[start], ids[:-1]]) if len(ids) else ids
+def _read(role: int, answered: bool):
+    """Texts to chunks of word numbers."""
+    names = [f.split()[0] for f in _CHUNKS.split(", ")]
 
+    def packed(chunk: int, ids: list, tokens: list[np.ndarray], numbers: Numbers) -> pa.RecordBatch:
+        keys = np.fromiter(map(xxhash.xxh3_64_intdigest, numbers), np.uint64, len(numbers))
+        row = [pa.array([chunk]), pa.array([role], pa.int32()), pa.array([answered]), *[pa.array([x], pa.list_(pa.int64())) for x in (ids, [len(t) for t in tokens])]]
+        return pa.RecordBatch.from_arrays([*row, *[pa.array([x], pa.binary()) for x in (_pack(keys), _pack(np.concatenate(tokens), "<u4"))]], names)
 
-def _tables(shared, slots: int):
-    """Sliced counts of one task: contexts (with the start mark) and words, then bigrams."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        chunk = TaskContext.get().partitionId() << 32
+        ids, tokens, size, numbers = [], [], 0, Numbers()
+        for batch in batches:
+            for doc_id, text in zip(batch.column(0).to_pylist(), as_bytes(batch.column(1)), strict=True):
+                words = text.split()
+                ids.append(doc_id)
+                tokens.append(np.fromiter(map(numbers.__getitem__, words), np.uint32, len(words)))
+                size += len(words)
+                if size >= CHUNK_TOKENS or len(ids) >= CHUNK_ROWS:
+                    yield packed(chunk, ids, tokens, numbers)
+                    chunk, ids, tokens, size, numbers = chunk + 1, [], [], 0, Numbers()
+        if ids:
+            yield packed(chunk, ids, tokens, numbers)
+
+    return run
+
+
+def _send(buckets: int):
+    """Chunks to what they send to each bucket."""
+    names = [f.split()[0] for f in _SENT.split(", ")]
+    types = [pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary()]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index = Indexer(shared.value)
-        size = len(shared.value) + 1
-        words, befores, pairs = np.zeros(size, np.int64), np.zeros(size + 1, np.int64), np.zeros(slots, np.int64)
         for batch in batches:
-            ids = [index.of(t) for t in as_bytes(batch.column(0))]
-            flat = np.concatenate(ids) if ids else np.empty(0, np.int64)
-            before = np.concatenate([contexts(x, size) for x in ids]) if ids else flat
-            words += np.bincount(flat, minlength=size)
-            befores += np.bincount(before, minlength=size + 1)
-            pairs += np.bincount(slot(before, flat, slots), minlength=slots)
-        whole = np.concatenate([words, befores, pairs])
-        parts = np.array_split(whole, _SLICES)
-        yield pa.RecordBatch.from_arrays([pa.array(range(_SLICES), pa.int32()), pa.array([zlib.compress(p.astype("<i8").tobytes(), 1) for p in parts], pa.binary())], ["slice", "counts"])
+            for chunk, role, answered, lengths, words, tokens in zip(*batch.columns, strict=True):
+                keys, flat = _unpack(words.as_py()), _unpack(tokens.as_py(), "<u4").astype(np.int64)
+                _, _, times, hashes, _, before = bigrams(flat, lengths.values.to_numpy(), keys)
+                of_words = [np.bincount(x, minlength=len(keys)) for x in (flat, before)]
+                rows = []
+                for start, k, counts in ((0, keys, of_words), (buckets, hashes, [times])) if len(flat) else ():
+                    rows += [(chunk.as_py() if answered.as_py() else None, start + b, role.as_py(), sent, c) for b, sent, c in _dealt(k, counts, buckets)]
+                yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], t) for i, t in enumerate(types)], names)
+
+    return run
+
+
+def _add_up(buckets: int):
+    """A bucket's totals in both models, for each chunk in the order it sent; and a row of what they sum to."""
+
+    def run(key: tuple, sent: pa.Table) -> pa.Table:
+        bucket = key[0].as_py()
+        columns = 2 if bucket < buckets else 1
+        keys = [np.cumsum(_unpack(k)) for k in as_bytes(sent.column("keys"))]
+        _, at = np.unique(np.concatenate(keys), return_inverse=True)
+        ends = np.cumsum([len(k) for k in keys])
+        total = np.zeros((2, columns, at.max() + 1), np.int64)
+        places = np.split(at, ends[:-1])
+        for role, where, raw in zip(sent.column("role").to_pylist(), places, as_bytes(sent.column("counts")), strict=True):
+            if role != SCORED:
+                # Two words of one hash may stand in one row.
+                for row, c in zip(total[role], _unpack(raw).astype(np.int64).reshape(columns, -1), strict=True):
+                    np.add.at(row, where, c)
+        out = [(c, bucket, _pack(total[:, :, where].ravel()), 0, 0, 0) for c, where in zip(sent.column("chunk").to_pylist(), places, strict=True) if c is not None]
+        if columns == 2:
+            out.append((None, bucket, None, int((total[:, 0].sum(axis=0) > 0).sum()), int(total[BACKGROUND, 0].sum()), int(total[TARGET, 0].sum())))
+        types = [pa.int64(), pa.int32(), pa.binary(), *[pa.int64()] * 3]
+        return pa.Table.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(types)], [f.split()[0] for f in _ANSWERS.split(", ")])
 
     return run
 
 
-def _merged(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Adds up tables slice by slice, as they come: memory for one table at most."""
-    total: dict[int, np.ndarray] = {}
-    for batch in batches:
-        for k, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            own = np.frombuffer(zlib.decompress(raw), "<i8")
-            total[k] = own + total[k] if k in total else own
-    keys = sorted(total)
-    yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int32()), pa.array([zlib.compress(total[k].tobytes(), 1) for k in keys], pa.binary())], ["slice", "counts"])
+def _in_order(raws: list[bytes], columns: int, keys: np.ndarray) -> np.ndarray:
+    """Answers, by bucket, as (model, column, key)."""
+    out = np.zeros((2, columns, len(keys)))
+    if raws:
+        out[:, :, np.argsort(keys, kind="stable")] = np.concatenate([_unpack(r).reshape(2, columns, -1) for r in raws], axis=2)
+    return out
+
+
+def _judge(buckets: int, size: int, totals: tuple[int, int], smoothing: float):
+    def run(key: tuple, chunk: pa.Table, answers: pa.Table) -> pa.Table:
+        row = {name: chunk.column(name)[0] for name in ("ids", "lengths", "words", "tokens")}
+        lengths, keys = np.array(row["lengths"].as_py(), np.int64), _unpack(row["words"].as_py())
+        tokens = _unpack(row["tokens"].as_py(), "<u4").astype(np.int64)
+        first, second, _, hashes, at, _ = bigrams(tokens, lengths, keys)
+        found = sorted(zip(answers.column("bucket").to_pylist(), as_bytes(answers.column("totals")), strict=True))
+        words = _in_order([r for b, r in found if b < buckets], 2, keys)
+        pairs = _in_order([r for b, r in found if b >= buckets], 1, hashes)
+        document = np.repeat(np.arange(len(lengths)), lengths)
+        losses = {}
+        for model in (TARGET, BACKGROUND):
+            unigram = (words[model, 0] + 1) / (totals[model] + size)
+            p = (pairs[model, 0] + smoothing * unigram[second]) / (words[model, 1][first] + smoothing)
+            summed = np.bincount(document, weights=-np.log(p)[at], minlength=len(lengths))
+            losses[model] = [round(s / n, 9) if n else None for s, n in zip(summed.tolist(), lengths.tolist(), strict=True)]
+        difference = [None if t is None else round(t - b, 9) for t, b in zip(losses[TARGET], losses[BACKGROUND], strict=True)]
+        return pa.table({"doc_id": row["ids"].values, "n_tokens": lengths, "target_loss": pa.array(losses[TARGET], pa.float64()), "background_loss": pa.array(losses[BACKGROUND], pa.float64()), "difference": pa.array(difference, pa.float64())})
+
+    return run
 
 
+@dataclass
 class Models:
-    """Both models' counts; unpickled once in each worker."""
-
-    def __init__(self, keys: np.ndarray, target: np.ndarray, background: np.ndarray, slots: int, smoothing: float):
-        self.keys, self.slots, self.smoothing = keys, slots, smoothing
-        # Counts below 2^24 are exact in half the memory.
-        self.tables = [t.astype(np.float32 if t.max(initial=0) < 1 << 24 else np.float64) for t in (target, background)]
-        self.totals = [int(t[: len(keys) + 1].sum()) for t in (target, background)]
-
-    def losses(self, ids: np.ndarray) -> list[float]:
-        """Mean loss of the tokens under the target and under the background model."""
-        size = len(self.keys) + 1
-        before = contexts(ids, size)
-        places = slot(before, ids, self.slots) + 2 * size + 1
-        out = []
-        for table, total in zip(self.tables, self.totals, strict=True):
-            unigram = (table[ids].astype(np.float64) + 1) / (total + size)
-            p = (table[places] + self.smoothing * unigram) / (table[size + before] + self.smoothing)
-            out.append(float(-np.log(p).mean()))
-        return out
-
-
-def vocabulary(frames: list[DataFrame], size: int = VOCABULARY) -> np.ndarray:
-    """Hashes of the most frequent words: at most ``size`` numbers come to the driver."""
-    rows = frames[0].mapInArrow(_word_rows, "word long, n long")
-    for f in frames[1:]:
-        rows = rows.unionByName(f.mapInArrow(_word_rows, "word long, n long"))
-    top = rows.groupBy("word").agg(F.sum("n").alias("n")).orderBy(F.desc("n"), "word").limit(size)
-    return np.array([r["word"] for r in top.collect()], np.int64)
-
-
-def count_tables(frame: DataFrame, keys: np.ndarray, slots: int = SLOTS) -> np.ndarray:
-    """Counts of words, contexts and bigrams over all rows: an array of bounded length."""
-    spark = frame.sparkSession
-    shared = spark.sparkContext.broadcast(keys)
-    parts = frame.mapInArrow(_tables(shared, slots), "slice int, counts binary")
-    merged = parts.repartition(_SLICES, "slice").mapInArrow(_merged, "slice int, counts binary").collect()
-    size = len(keys) + 1
-    out = np.array_split(np.zeros(2 * size + 1 + slots, np.int64), _SLICES)
-    for row in merged:
-        out[row["slice"]] = np.frombuffer(zlib.decompress(bytes(row["counts"])), "<i8")
-    return np.concatenate(out)
-
-
-def build(documents: DataFrame, target: DataFrame, size: int = VOCABULARY, slots: int = SLOTS, smoothing: float = SMOOTHING) -> Models:
-    ship(documents.sparkSession)
-    background, wanted = _text_only(documents), _text_only(target)
-    keys = vocabulary([background, wanted], size)
-    return Models(keys, count_tables(wanted, keys, slots), count_tables(background, keys, slots), slots, smoothing)
+    """What both models are counted over; :func:`score` counts."""
+
+    documents: DataFrame
+    target: DataFrame
+    smoothing: float
+
+
+def build(documents: DataFrame, target: DataFrame, slots: int | None = None, smoothing: float = SMOOTHING) -> Models:
+    """``slots`` has no effect: every bigram has its own count."""
+    return Models(documents, target, smoothing)
 
 
 def score(docs: DataFrame, models: Models) -> DataFrame:
     """doc_id, n_tokens, both losses and their difference, of every row."""
     spark = docs.sparkSession
     ship(spark)
-    shared = spark.sparkContext.broadcast(models)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own = shared.value
-        index = Indexer(own.keys)
-        for batch in batches:
-            n, losses = [], []
-            for text in as_bytes(batch.column(1)):
-                ids = index.of(text)
-                n.append(len(ids))
-                losses.append([round(x, 9) for x in own.losses(ids)] if len(ids) else [None, None])
-            difference = [None if t is None else round(t - b, 9) for t, b in losses]
-            yield pa.RecordBatch.from_arrays([batch.column(0).cast(pa.int64()), pa.array(n, pa.int64()), pa.array([x[0] for x in losses], pa.float64()), pa.array([x[1] for x in losses], pa.float64()), pa.array(difference, pa.float64())], [f.split()[0] for f in SCHEMA.split(", ")])
-
-    return docs.select("doc_id", "text").mapInArrow(run, SCHEMA)
+    same = docs is models.documents
+    inputs = [(docs, BACKGROUND if same else SCORED, True), (models.target, TARGET, False)] + [(models.documents, BACKGROUND, False)] * (not same)
+    buckets = buckets_for(sum(text_bytes(frame) for frame, _, _ in inputs), BUCKET_BYTES, 8)
+    chunks = None
+    for frame, role, answered in inputs:
+        rows = frame.select((F.col("doc_id") if answered else F.lit(None)).cast("long").alias("doc_id"), "text").mapInArrow(_read(role, answered), _CHUNKS)
+        chunks = rows if chunks is None else chunks.unionByName(rows)
+    chunks = scratch(spark, chunks, "chunks")
+    sent = chunks.select("chunk", "role", "answered", "lengths", "words", "tokens").mapInArrow(_send(buckets), _SENT)
+    answers = scratch(spark, sent.groupBy("bucket").applyInArrow(_add_up(buckets), _ANSWERS), "answers")
+    size, *totals = (x or 0 for x in answers.where("chunk is null").agg(F.sum("n_words"), F.sum("n_background"), F.sum("n_target")).first())
+    wanted = chunks.where("answered").select("chunk", "ids", "lengths", "words", "tokens")
+    found = answers.where("chunk is not null").select("chunk", "bucket", "totals")
+    return wanted.groupBy("chunk").cogroup(found.groupBy("chunk")).applyInArrow(_judge(buckets, size + 1, tuple(totals), models.smoothing), SCHEMA)
 
 
 def op3_cross_entropy(spark: SparkSession, sf_dir: str) -> DataFrame:

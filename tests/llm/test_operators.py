@@ -147,6 +147,31 @@ def test_cross_entropy(spark):
     assert got[2]["difference"] is None and got[1]["difference"] < got[3]["difference"]
 
 
+def test_cross_entropy_counts_every_word_and_bigram(spark):
+    words = [f"w{i}" for i in range(70_000)]
+    docs = [(1, " ".join(words)), (2, " ".join(words[::-1])), (None, " ".join(words[::3])), (4, ""), (5, None)]
+    frame = texts(spark, docs).repartition(3)
+    target = spark.createDataFrame([(" ".join(words[:2000]),)], "text string")
+    got = {r["doc_id"]: r for r in cross_entropy.score(frame, cross_entropy.build(frame, target)).collect()}
+    corpora = [[words[:2000]], [(t or "").split() for _, t in docs]]
+    for model, name in enumerate(["target_loss", "background_loss"]):
+        one, ctx, two = collections.Counter(), collections.Counter(), collections.Counter()
+        for t in corpora[model]:
+            one.update(t)
+            ctx.update(["^", *t][:-1] if t else [])
+            two.update(zip(["^", *t], t))
+        n, size = sum(one.values()), len(words) + 1
+        for doc_id, text in docs[:3]:
+            t = text.split()
+            p = [(two[h, w] + 10 * (one[w] + 1) / (n + size)) / (ctx[h] + 10) for h, w in zip(["^", *t], t)]
+            assert max(p) <= 1 and got[doc_id][name] == pytest.approx(-np.log(p).mean(), abs=1e-7)
+    assert got[4]["difference"] is None and got[5]["n_tokens"] == 0 and len(got) == len(docs)
+    # The same scores whether the documents are those the models are counted over, or others.
+    whole = sorted(tuple(r) for r in cross_entropy.score(texts(spark, prose(60)), cross_entropy.build(texts(spark, prose(60)), target)).collect())
+    frame = texts(spark, prose(60))
+    assert sorted(tuple(r) for r in cross_entropy.score(frame, cross_entropy.build(frame, target)).collect()) == whole
+
+
 def test_pii_base_and_tagger(spark):
     text = "é mail a.b@c.de, 10.0.0.1 and 999.1.1.1; card 4111 1111 1111 1111 tel +49 (30) 123-4567 x@@y @z.q 1.2.3.4.5"
     spans = [(k, text[a:b]) for k, a, b in pii_tagger.base_spans(text)]
