@@ -407,11 +407,11 @@ def _windows(spark: SparkSession, sets: DataFrame, centres: DataFrame, satellite
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The rows, unchanged, whose doc_id is their component's smallest; of repeated rows one stays."""
+    """The rows, unchanged, whose doc_id is their component's smallest, one of each id, and all without an id."""
     found = link_documents(docs).where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(found, "doc_id", "left_semi")
-    loose = docs.where("doc_id is null")
-    return kept.unionByName(loose).select(*docs.columns).dropDuplicates(["doc_id"]) if "doc_id" in docs.columns else kept
+    kept = docs.join(found, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
+    # A null id is linked with nothing and equals no other.
+    return kept.unionByName(docs.where("doc_id is null"))
 
 
 def op2_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

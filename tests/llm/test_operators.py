@@ -273,3 +273,10 @@ def test_pipeline_keeps_columns(spark):
         assert docs.columns == ["doc_id", "text", "lang", "source", "n_chars"]
     n = docs.count()
     assert 0 < n < 200 and corpus_pipeline.byte_pairs(spark, docs, "/root/testdata/sf0.001").count() == n
+
+
+def test_keep_first_keeps_all_rows_without_an_id(spark):
+    rows = [(None, "one two three four five six"), (None, "other words"), (None, None), (1, "a b c d e f"), (1, "a b c d e f"), (2, "a b c d e f"), (3, "x y")]
+    got = jaccard_join.keep_first(texts(spark, rows))
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in got.collect()) == [(0, ""), (0, "one two three four five six"), (0, "other words"), (1, "a b c d e f"), (3, "x y")]
+    assert got.columns == texts(spark, []).columns
