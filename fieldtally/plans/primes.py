@@ -50,11 +50,11 @@ def pool_by_power_mean(power_mean: float, eps: float) -> list[int]:
     return pool_by_mean(power_mean, eps)
 
 
-def pool_wide(linf: float, eps: float, limit: int = 20_000) -> list[int]:
-    """The range of the earlier estimator: primes from D to D^3, D = log2(linf) / eps (cut at ``limit`` primes)."""
+def pool_wide(linf: float, eps: float) -> list[int]:
+    """The range of the earlier estimator: all primes from D to D^3, D = log2(linf) / eps."""
     d = max(2.0, math.log2(max(2.0, linf)) / eps)
-    found = first_primes(limit, d)
-    return [p for p in found if p <= d**3] or found[:1]
+    found = primes_up_to(int(d**3))
+    return found[found >= d].tolist()
 
 
 def discounted(pool, bound: float, eps: float) -> list[int]:

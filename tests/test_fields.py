@@ -65,3 +65,10 @@ def test_plans():
         SketchPlan(2, field_of_order(2))
     assert SketchPlan(64, field_of_order(2)).fingerprint != SketchPlan(64, field_of_order(3)).fingerprint
     assert SketchPlan(64, field_of_order(101)).memory_bits == 64 * 48 * 7
+
+
+@pytest.mark.parametrize("eps, size", [(0.15, 25_466), (0.05, 534_597)])
+def test_the_wide_pool_is_the_whole_range(eps, size):
+    pool, d = primes.pool_wide(1000, eps), math.log2(1000) / eps
+    assert len(pool) == size and d <= pool[0] < 2 * d and d**3 * 0.99 < pool[-1] <= d**3
+    assert primes.pool_wide(1, 0.5) == [2, 3, 5, 7]
