@@ -1,19 +1,22 @@
 """Token ids in a compressed file format: an adaptive context-mixing range coder over blocks.
 
-Every block of BLOCK ids is reset, coded and checksummed on its own, so a reader can start at any
-block, and all blocks of a shard are coded in lockstep as the lanes of numpy arrays.
+Every block of BLOCK ids is reset, coded and checksummed on its own: nothing but its own bytes is needed
+to decode it, so a reader can start at any block.  All blocks of a shard are coded in lockstep as the lanes of
+numpy arrays.
 
-For each id, orders 2, 1 and 0 predict one id each: the one that most often follows the two ids
-before, the id before, and the most frequent one, from tables in the file's head.  Whether the first, second or third
-prediction is right, or none, is a symbol of four whose distribution mixes two adaptive ones,
-one chosen by how sure the orders are and one by which were right lately, under weights that adapt too.
-When none is right, the id is coded under the file's order-0 frequencies.  Both together are one step of a
-range coder of 48 bits with 16-bit output and carries.  Integers decide everything (the floats of one division are exact),
-so any machine decodes what another wrote.
+In a block, orders 2 and 1 each guess one id: what last followed the two ids before, or the id before, and how
+often in a row that was right.  Order 0 has the last id of each of 2^RECENT hashes.  Which order holds the id (2, 1,
+0, or none: a new id) is a symbol of four whose distribution mixes two adaptive ones, one chosen by how
+sure the orders are and one by which were right at the last two ids; the one that did better lately weighs three
+quarters.  An id of order 0 is coded by its hash, a new one as it is.  Both symbols together are one
+step of a range coder of 64 bits with 32-bit output and carries.  What a block has taught is taken up at the ends
+of slices (:func:`slices`) and forgotten at the block's end.  Integers decide everything, so any machine decodes what another wrote.
 
-A file (one for each shard): magic, version, number of ids, of blocks, block length, length of the tables; the tables; for each block
-its number of ids, its bytes and the CRC-32 of its ids as little-endian 32-bit integers; then the blocks' bytes.  Blocks start from
-the tables and nothing else.  Files are rows of a table in the shared folder, next to the doc ids and lengths they hold.
+A file (one for each shard): magic, version, number of ids, of blocks, block length; for each block its number of
+ids, its bytes and the CRC-32 of its ids as little-endian 32-bit integers; then the blocks' bytes.  Files are rows of a
+table in the shared folder, next to the doc ids and lengths they hold.
+
+Texts are encoded by the tokenizers library, special tokens in them as the library takes them.
 
 Edge cases: a null or empty text is the end id alone; ids must be below 65,535 (``ValueError``
 otherwise); a damaged block raises ``ValueError``; rows with the same doc_id follow each other, ordered by
@@ -25,177 +28,115 @@ from __future__ import annotations
 import functools
 import itertools
 import struct
-import unicodedata
 import zlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import as_bytes, buckets_for, drop_suffix, env_single_thread, read_documents, scratch, ship, text_bytes
+from .common import buckets_for, drop_suffix, env_single_thread, read_documents, scratch, ship, text_bytes
 
-MAGIC, VERSION = b"FTID", 2
-BLOCK = 4096
-LANES = 2048
+MAGIC, VERSION = b"FTID", 3
+BLOCK = 8192
+LANES = 1024
 END_ID = 2
-LITERAL = 16  # bits of the order-0 frequencies
-_TWO = 18  # bits of the order-2 table
-_LEAST_TWO = 1 << 15  # ids of a file for which a table of order 2 pays
-_SLICE = 32
+NO_ID = 0xFFFF
+PAYLOAD = 16  # bits of the second symbol
+SLICE, RECENT = 128, 9
+_SLOTS = 9  # bits of a block's table of one order
 _PARTITION_BYTES = 16 << 20
-_CACHE_LIMIT = 600_000
-_TOGETHER, _GROUP_BYTES = 2000, 4 << 20
-#: ASCII punctuation but the apostrophe, which starts contractions.
-_MARKS = b'!"#$%&()*+,-./:;<=>?@[\\]^_`{|}~'
-
-_U1, _U2, _U4, _U5, _U16, _U32, _U48 = (np.uint64(i) for i in (1, 2, 4, 5, 16, 32, 48))
-_BITS, _TOTAL = np.uint64(LITERAL), np.uint64(14 + LITERAL)
-_U2_32, _LOW48, _FIELD = np.uint64(1 << 32), np.uint64((1 << 48) - 1), np.uint64(0xFFFF)
+_CACHE_LIMIT = 800_000
+_GROUP_BYTES = 16 << 20
+
+_U1, _U2, _U4, _U16, _U32, _U48 = (np.uint64(i) for i in (1, 2, 4, 16, 32, 48))
+_BITS, _TOTAL = np.uint64(PAYLOAD), np.uint64(14 + PAYLOAD)
+#: Bits of the share of 2^PAYLOAD that each symbol of four leaves to the second one's value.
+_SPARE, _U_SPARE, _WIDTHS = np.uint32(PAYLOAD - RECENT), np.uint64(PAYLOAD - RECENT), np.array([PAYLOAD, PAYLOAD, PAYLOAD - RECENT, 0], np.uint64)
+_LEFT = np.array([((1 << PAYLOAD) - 1) >> int(w) << int(w) for w in _WIDTHS], np.uint64)
+_U2_32, _FIELD, _MASK = np.uint64(1 << 32), np.uint64(0xFFFF), np.uint64((1 << 14 + PAYLOAD) - 1)
 #: The same value in each of the four 16-bit fields.
 _ONES = np.uint64(0x0001000100010001)
-_EVEN, _FULL = np.uint64(0x1000) * _ONES, np.uint64(1 << 14)
-_HALVES, _QUARTERS, _SHARE5 = (np.uint64(0xFFFF >> i) * _ONES for i in (1, 2, 5))
-
-
-class Model:
-    """What the head of a file says about all of its ids: the state to which every block is reset.
-
-    ``frequency`` (they sum to 2^LITERAL) and ``cumulative`` are of order 0; ``one`` and ``two`` hold, for the id
-    before and for a hash of the two before, a guess and above it how sure it is (0 to 3); ``flags`` are the
-    distributions of the guess that is right, by how sure orders 2 and 1 are."""
-
-    def __init__(self, frequency: np.ndarray, one: np.ndarray, two: np.ndarray, flags: np.ndarray):
-        self.frequency, self.one, self.two, self.flags = frequency, one, two, flags
-        self.cumulative = np.cumsum(frequency) - frequency
-        self.zero = int(frequency.argmax())
-        self.symbols = np.repeat(np.arange(len(frequency), dtype=np.int64), frequency)
-
-    @classmethod
-    def of(cls, ids: np.ndarray) -> Model:
-        counts = np.bincount(ids, minlength=1 << 16)
-        frequency = np.where(counts > 0, np.maximum(1, (counts << LITERAL) // max(len(ids), 1)), 0)
-        while (over := int(frequency.sum()) - (1 << LITERAL)) != 0:
-            # The most frequent ids bear what rounding took or gave.
-            if over < 0:
-                frequency[frequency.argmax()] -= over
-            else:
-                top = frequency.argsort()[-min(over, 1 << 10) :]
-                top = top[frequency[top] > 1]
-                frequency[top] -= 1
-        before, earlier = _before(ids, BLOCK)
-        one, two = _guesses(before, ids, 1 << 16), np.full(1 << _TWO, 0xFFFF, np.int64)
-        if len(ids) >= _LEAST_TWO:
-            two = _guesses(_context(before, earlier), ids, 1 << _TWO)
-        model = cls(frequency, one, two, np.full(16, _EVEN, np.uint64))
-        seen = np.ones(64, np.int64)
-        for at in range(0, len(ids), 1 << 16):
-            own = slice(at, at + (1 << 16))
-            certain, flag, _ = model.judge(ids[own], before[own], earlier[own])
-            seen += np.bincount(certain << 2 | flag, minlength=64)
-        seen = seen.reshape(16, 4)
-        share = 64 + seen * ((1 << 14) - 256) // seen.sum(1, keepdims=True)
-        share[:, 3] += (1 << 14) - share.sum(1)
-        model.flags = (share.astype(np.uint64) << (np.arange(4, dtype=np.uint64) << _U4)).sum(1, dtype=np.uint64)
-        return model
-
-    def judge(self, ids: np.ndarray, before: np.ndarray, earlier: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(how sure orders 2 and 1 are, the first order that is right, whether none is) of ids whose context is known."""
-        two, one = self.two.take(_context(before, earlier)), self.one.take(before)
-        flag = np.where((two & 0xFFFF) == ids, 0, np.where((one & 0xFFFF) == ids, 1, np.where(ids == self.zero, 2, 3)))
-        return two >> 16 << 2 | one >> 16, flag, flag == 3
-
-    def pack(self) -> bytes:
-        return zlib.compress(b"".join([_sparse(self.frequency, 0), _sparse(self.one, 0xFFFF), _sparse(self.two, 0xFFFF), self.flags.astype("<u8").tobytes()]))
-
-    @classmethod
-    def unpack(cls, data: bytes) -> Model:
-        try:
-            raw, tables = zlib.decompress(data), []
-            for size, rest in ((1 << 16, 0), (1 << 16, 0xFFFF), (1 << _TWO, 0xFFFF)):
-                n = int.from_bytes(raw[:4], "little")
-                planes = np.frombuffer(raw, np.uint8, 8 * n, 4).reshape(8, n).astype(np.int64)
-                gaps, values = (planes[k] | planes[k + 1] << 8 | planes[k + 2] << 16 | planes[k + 3] << 24 for k in (0, 4))
-                table, raw = np.full(size, rest, np.int64), raw[4 + 8 * n :]
-                table[np.cumsum(gaps)] = values
-                tables.append(table)
-            return cls(*tables, np.frombuffer(raw, "<u8", 16).astype(np.uint64))
-        except (zlib.error, IndexError) as error:
-            raise ValueError("the head is damaged") from error
-
-
-def _sparse(table: np.ndarray, rest: int) -> bytes:
-    """Number, gaps and values of the entries other than ``rest``, byte by byte of all."""
-    at = np.flatnonzero(table != rest)
-    pairs = np.stack([np.diff(at, prepend=0), table[at]]).astype("<u4")
-    return len(at).to_bytes(4, "little") + np.ascontiguousarray(pairs.view(np.uint8).reshape(2, len(at), 4).transpose(0, 2, 1)).tobytes()
-
-
-def _context(before: np.ndarray, earlier: np.ndarray) -> np.ndarray:
-    return (before * 0x3D4D + earlier * 0x51ED) >> 3 & (1 << _TWO) - 1
-
-
-def _before(ids: np.ndarray, block: int) -> tuple[np.ndarray, np.ndarray]:
-    """The id before each and the one before that, zero beyond the start of a block."""
-    before, earlier = np.zeros(len(ids), np.int64), np.zeros(len(ids), np.int64)
-    before[1:], earlier[2:] = ids[:-1], ids[:-2]
-    before[::block] = earlier[::block] = earlier[1::block] = 0
-    return before, earlier
-
-
-def _guesses(context: np.ndarray, ids: np.ndarray, size: int) -> np.ndarray:
-    """For each context the id that follows most often, and above its 16 bits how sure it is; 65,535 is no id."""
-    keys = np.sort(context.astype(np.uint64) << _U16 | ids.astype(np.uint64))
-    first = np.flatnonzero(np.append(True, keys[1:] != keys[:-1])) if len(keys) else np.empty(0, np.int64)
-    times = np.diff(np.append(first, len(keys)))
-    where, what = (keys[first] >> _U16).astype(np.int64), (keys[first] & _FIELD).astype(np.int64)
-    total = np.bincount(context, minlength=size)
-    keep = times >= 3  # rarer ones would cost more in the head than they save
-    where, what, times = where[keep], what[keep], times[keep]
-    order = np.argsort(times, kind="stable")
-    where, what, times = where[order], what[order], times[order]
-    share = times / total[where]
-    out = np.full(size, 0xFFFF, np.int64)
-    out[where] = what | 1 + (share > 0.3).astype(np.int64) + (share > 0.7) << 16
-    return out
-
+_FULL = np.uint64(1 << 14)
+_HALVES, _QUARTERS = (np.uint64(0xFFFF >> i) * _ONES for i in (1, 2))
+_SPREAD, _SHIFT, _RARE, _NO_ID, _SUREST, _HIGH = (np.uint32(i) for i in (0x9E3779B1, 32 - _SLOTS, 32 - RECENT, NO_ID, 3, 16))
 
-class _Lanes:
-    """What n independent lanes have learnt; ``narrow`` leaves only the first ones, as views.
 
-    A distribution over four symbols is one integer of four 16-bit frequencies that sum to
-    2^14; prefix sums are a multiplication, and learning a symbol moves a 32nd of each
-    frequency to it.  One distribution is chosen by how sure the orders are, another by the
-    orders that were right at the last two ids; the one that did better lately weighs three quarters."""
+def slices(steps: int) -> list[tuple[int, int]]:
+    """(start, end) of a block's slices: short ones first."""
+    early = itertools.takewhile(lambda t: t < min(SLICE, steps), (16 << i for i in itertools.count()))
+    return list(itertools.pairwise([0, *early, *range(SLICE, steps, SLICE), steps]))
 
-    def __init__(self, model: Model, n: int):
-        self.sure, self.past = np.tile(model.flags, n), np.full(n * 16, _EVEN, np.uint64)
-        self.lane, self.history, self.score = np.arange(n, dtype=np.int64) << 4, np.zeros(n, np.int64), np.zeros(n, np.int64)
 
-    def narrow(self, n: int) -> None:
-        self.lane, self.history, self.score = self.lane[:n], self.history[:n], self.score[:n]
+def _packed(counts: np.ndarray) -> np.ndarray:
+    """Counts of four symbols as one integer of four 16-bit frequencies, 64 at least, that sum to 2^14."""
+    share = 64 + counts * ((1 << 14) - 256) // counts.sum(1, keepdims=True)
+    share[:, 3] += (1 << 14) - share.sum(1)
+    return (share.astype(np.uint64) << (np.arange(4, dtype=np.uint64) << _U4)).sum(1, dtype=np.uint64)
 
-    def predict(self, certain: np.ndarray) -> np.ndarray:
-        self.row_a, self.row_b = self.lane + certain, self.lane + self.history
-        self.a, self.b = self.sure.take(self.row_a), self.past.take(self.row_b)
-        mixed = ((self.a >> _U2) & _QUARTERS) + ((self.b >> _U2) & _QUARTERS) + ((np.where(self.score >= 0, self.a, self.b) >> _U1) & _HALVES)
-        # What flooring took goes to the fourth symbol.
-        return mixed + ((_FULL - (mixed * _ONES >> _U48)) << _U48)
 
-    def learn(self, flag: np.ndarray) -> None:
-        at = flag.astype(np.uint64) << _U4
-        gain = ((self.a >> at) & _FIELD).astype(np.int64) - ((self.b >> at) & _FIELD).astype(np.int64)
-        self.score += gain - (self.score >> 3)
-        self.sure[self.row_a] = _moved(self.a, at)
-        self.past[self.row_b] = _moved(self.b, at)
-        self.history = (self.history << 2 | flag) & 15
+def _hashed(context: np.ndarray) -> np.ndarray:
+    return context * _SPREAD >> _SHIFT
 
 
-def _moved(packed: np.ndarray, at: np.ndarray) -> np.ndarray:
-    """A 32nd of every frequency moves to the symbol at bit ``at``; the sum stays, and none reaches zero."""
-    share = (packed >> _U5) & _SHARE5
-    return packed - share + ((share * _ONES >> _U48) << at)
+class _Lanes:
+    """What n independent blocks have taught so far; the rows of arrays are lanes."""
+
+    def __init__(self, n: int):
+        #: for each lane and hashed context an id and, above its 16 bits, how sure it is (0: none yet, to 3)
+        self.two, self.one = (np.full(n << _SLOTS, NO_ID, np.uint32) for _ in range(2))
+        self.zero, self.recent = np.full(n << RECENT, NO_ID, np.uint16), np.arange(n, dtype=np.uint32) << RECENT
+        self.base, self.lane = np.arange(n, dtype=np.uint32) << _SLOTS, np.arange(n, dtype=np.int64) << 4
+        self.counts = [np.ones((n * 16, 4), np.int64) for _ in range(2)]
+        self.sure, self.past = (_packed(c) for c in self.counts)
+        self.score, self.better = np.zeros(n, np.int64), np.ones(n, bool)
+        self.before, self.earlier = (np.zeros(n, np.uint32) for _ in range(2))
+        self.history = np.zeros(n, np.int64)
+
+    def places(self, before: np.ndarray, earlier: np.ndarray, base: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        return _hashed(before << _HIGH | earlier) + base, _hashed(before) + base
+
+    def mixed(self, a: np.ndarray, b: np.ndarray, better: np.ndarray) -> np.ndarray:
+        out = ((a >> _U2) & _QUARTERS) + ((b >> _U2) & _QUARTERS) + ((np.where(better, a, b) >> _U1) & _HALVES)
+        # What flooring took goes to the fourth symbol.
+        return out + ((_FULL - (out * _ONES >> _U48)) << _U48)
+
+    def judged(self, now: np.ndarray, flag: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(flag, distribution, hash) of a slice of ids, which is then learnt.  flag: if it is known already."""
+        before = np.concatenate([self.before[:, None], now[:, :-1]], 1)
+        earlier = np.concatenate([self.earlier[:, None], before[:, :-1]], 1)
+        at_two, at_one = self.places(before, earlier, self.base[:, None])
+        two, one = self.two.take(at_two), self.one.take(at_one)
+        right_two, right_one = (two & _NO_ID) == now, (one & _NO_ID) == now
+        slot = now * _SPREAD >> _RARE
+        at_zero = slot + self.recent[:, None]
+        if flag is None:
+            flag = np.where(right_two, 0, np.where(right_one, 1, np.where(self.zero.take(at_zero) == now, 2, 3)))
+        self.zero[at_zero.ravel()] = now.ravel()
+        sure_two, sure_one = two >> _HIGH, one >> _HIGH
+        row_a = (sure_two << 2 | sure_one) + self.lane[:, None]
+        last = np.concatenate([self.history[:, None] & 3, flag[:, :-1]], 1)
+        row_b = (np.concatenate([self.history[:, None] >> 2, last[:, :-1]], 1) << 2 | last) + self.lane[:, None]
+        a, b = self.sure.take(row_a), self.past.take(row_b)
+        out = self.mixed(a, b, self.better[:, None])
+        at = flag.astype(np.uint64) << _U4
+        gain = ((a >> at) & _FIELD).astype(np.int64) - ((b >> at) & _FIELD).astype(np.int64)
+        self.score += gain.sum(1) - (self.score >> 1)
+        self.better = self.score >= 0
+        for table, place, sure, right in ((self.two, at_two, sure_two, right_two), (self.one, at_one, sure_one, right_one)):
+            # Of a place that occurs twice the last entry stays.
+            table[place.ravel()] = (np.minimum(sure * right + np.uint32(1), _SUREST) << _HIGH | now).ravel()
+        for counts, row in zip(self.counts, (row_a, row_b), strict=True):
+            counts += 4 * np.bincount((row << 2 | flag).ravel(), minlength=counts.size).reshape(counts.shape)
+            counts[counts.sum(1) > 4096] >>= 1
+            counts += counts == 0
+        self.sure, self.past = (_packed(c) for c in self.counts)
+        ends = np.concatenate([self.earlier[:, None], self.before[:, None], now], 1)
+        self.earlier, self.before = ends[:, -2].copy(), ends[:, -1].copy()
+        self.history = (np.concatenate([self.history[:, None] & 3, flag], 1)[:, -2] << 2) | flag[:, -1]
+        return flag, out, slot
 
 
 def _span(packed: np.ndarray, symbol: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -206,169 +147,148 @@ def _span(packed: np.ndarray, symbol: np.ndarray) -> tuple[np.ndarray, np.ndarra
 
 
 class _Encoder:
-    """low < 2^48 and 2^32 <= range <= 2^48; words of 16 bits leave at the top, and a carry is added to those that left."""
+    """low < 2^64 and 2^32 <= range < 2^64; words of 32 bits leave at the top, and a carry is added to those that left.
+
+    Words lie by place and then lane: lanes fill up alike, so what is written at a time lies together."""
 
     def __init__(self, n: int, steps: int):
-        self.low, self.range = np.zeros(n, np.uint64), np.full(n, 1 << 48, np.uint64)
-        self.width = 2 * steps + 8
-        self.out, self.at = np.zeros(n * self.width, np.uint16), np.arange(n) * self.width
+        self.low, self.range = np.zeros(n, np.uint64), np.full(n, (1 << 64) - 1, np.uint64)
+        self.n, self.out, self.at = n, np.zeros(n * (steps + 4), np.uint32), np.arange(n)
 
     def narrow(self, n: int) -> None:
         self.low, self.range, self.at = self.low[:n], self.range[:n], self.at[:n]
 
     def put(self, cumulative: np.ndarray, frequency: np.ndarray) -> None:
         part = self.range >> _TOTAL
-        self.low += cumulative * part
-        np.multiply(part, frequency, out=self.range)
-        over = self.low >> _U48
-        if over.any():
-            lanes = np.flatnonzero(over)
-            self.low[lanes] &= _LOW48
-            at = self.at[lanes] - 1
+        gone = cumulative * part
+        self.low += gone
+        over = np.flatnonzero(self.low < gone)
+        if len(over):
+            at = self.at[over] - self.n
             while len(at):
-                self.out[at] += np.uint16(1)
-                at = at[self.out[at] == 0] - 1
-        for _ in range(2):
-            need = self.range < _U2_32
-            shift = need.astype(np.uint64) << _U4
-            self.out[self.at] = self.low >> _U32
-            self.at += need
-            np.left_shift(self.low, shift, out=self.low)
-            self.low &= _LOW48
-            np.left_shift(self.range, shift, out=self.range)
+                self.out[at] += np.uint32(1)
+                at = at[self.out[at] == 0] - self.n
+        np.multiply(part, frequency, out=self.range)
+        need = np.flatnonzero(self.range < _U2_32)
+        low = self.low.take(need)
+        self.out[self.at.take(need)] = low >> _U32
+        self.at[need] += self.n
+        self.low[need] = low << _U32
+        self.range[need] <<= _U32
 
     def finish(self, lane: int) -> bytes:
-        first, n = lane * self.width, int(self.at[lane])
-        self.out[n : n + 3] = [int(self.low[lane]) >> s & 0xFFFF for s in (32, 16, 0)]
-        return self.out[first : n + 3].astype("<u2").tobytes()
+        n = (int(self.at[lane]) - lane) // self.n
+        body = self.out[lane :: self.n][: n + 2].copy()
+        body[n:] = [int(self.low[lane]) >> 32, int(self.low[lane]) & 0xFFFFFFFF]
+        return body.astype("<u4").tobytes()
 
 
 class _Decoder:
     def __init__(self, blocks: list[bytes]):
-        n = len(blocks)
-        self.range = np.full(n, 1 << 48, np.uint64)
-        width = max(len(b) for b in blocks) // 2 + 8
-        words = np.zeros((n, width), np.uint16)
+        n = self.n = len(blocks)
+        self.range = np.full(n, (1 << 64) - 1, np.uint64)
+        width = max(len(b) for b in blocks) // 4 + 4
+        words = np.zeros((n, width), np.uint32)
         for i, b in enumerate(blocks):
-            words[i, : len(b) // 2] = np.frombuffer(b, "<u2", len(b) // 2)
-        first = words[:, :3].astype(np.uint64)
-        self.code = first[:, 0] << _U32 | first[:, 1] << _U16 | first[:, 2]
-        self.words, self.at, self.end = words.ravel(), np.arange(n) * width + 3, np.arange(1, n + 1) * width - 1
-
-    def narrow(self, n: int) -> None:
-        self.range, self.code, self.at, self.end = self.range[:n], self.code[:n], self.at[:n], self.end[:n]
+            words[i, : len(b) // 4] = np.frombuffer(b, "<u4", len(b) // 4)
+        self.code = words[:, 0].astype(np.uint64) << _U32 | words[:, 1]
+        self.words, self.at, self.last = words.T.ravel(), np.arange(n) + 2 * n, (width - 1) * n
 
     def look(self) -> np.ndarray:
-        """Where each lane's code lies in a total of 2^30.  Quotients are below 2^30 and divisors at most 2^18, so floats are exact."""
+        """Where each lane's code lies in a total of 2^30."""
         self.part = self.range >> _TOTAL
-        return np.minimum((self.code / self.part).astype(np.int64), (1 << 30) - 1)
+        return np.minimum(self.code // self.part, _MASK)
 
     def take(self, cumulative: np.ndarray, frequency: np.ndarray) -> None:
         self.code -= cumulative * self.part
         np.multiply(self.part, frequency, out=self.range)
-        for _ in range(2):
-            need = self.range < _U2_32
-            shift = need.astype(np.uint64) << _U4
-            new = self.words.take(np.minimum(self.at, self.end)).astype(np.uint64)
-            np.left_shift(self.code, shift, out=self.code)
-            self.code |= new * need
-            self.at += need
-            np.left_shift(self.range, shift, out=self.range)
+        need = np.flatnonzero(self.range < _U2_32)
+        at = self.at.take(need)
+        self.code[need] = self.code.take(need) << _U32 | self.words.take(np.where(at < self.last, at, need))
+        self.at[need] = at + self.n
+        self.range[need] <<= _U32
 
 
-def encode_lanes(model: Model, ids: np.ndarray, lengths: list[int]) -> list[bytes]:
+def encode_lanes(ids: np.ndarray, lengths: list[int]) -> list[bytes]:
     """The blocks of ids: full ones, of which only the last may be shorter."""
     n, steps = len(lengths), lengths[0]
-    lanes, coder = _Lanes(model, n), _Encoder(n, steps)
+    lanes, coder = _Lanes(n), _Encoder(n, steps)
     padded = np.zeros(n * steps, np.uint16)
     padded[: len(ids)] = ids
-    columns = np.zeros((steps + 2, n), np.uint16)  # two rows of zeros first: the context of a block's start
-    columns[2:] = padded.reshape(n, steps).T
-    tail = None
-    for start in range(0, steps, _SLICE):
-        some = columns[start : start + _SLICE + 2].astype(np.int64)
-        now = some[2:]
-        certain, flag, missed = model.judge(now, some[1:-1], some[:-2])
-        cumulative = np.where(missed, model.cumulative.take(now), 0).astype(np.uint64)
-        frequency = np.where(missed, model.frequency.take(now), 1 << LITERAL).astype(np.uint64)
-        for k in range(len(now)):
+    rows, tail = padded.reshape(n, steps), None
+    for start, end in slices(steps):
+        now = rows[:, start:end].astype(np.uint32)
+        flag, mixed, slot = lanes.judged(now)
+        # Behind a guess there is nothing more to say.
+        low = np.where(flag == 2, slot << _SPARE, np.where(flag == 3, now, np.uint32(0)))
+        c, f = _span(mixed, flag)
+        low, width = np.ascontiguousarray(((c << _BITS) + f * low).T), np.ascontiguousarray((f << _WIDTHS.take(flag)).T)
+        for k in range(end - start):
             if start + k == lengths[-1] and tail is None:
                 tail = coder.finish(n - 1)
-                lanes.narrow(n - 1)
                 coder.narrow(n - 1)
-            m = len(coder.low)
-            own = flag[k, :m]
-            c, f = _span(lanes.predict(certain[k, :m]), own)
-            coder.put((c << _BITS) + f * cumulative[k, :m], f * frequency[k, :m])
-            lanes.learn(own)
+            coder.put(low[k, : len(coder.low)], width[k, : len(coder.low)])
     done = [coder.finish(lane) for lane in range(len(coder.low))]
     return done if tail is None else [*done, tail]
 
 
-def decode_lanes(model: Model, blocks: list[bytes], lengths: list[int]) -> np.ndarray:
+def decode_lanes(blocks: list[bytes], lengths: list[int]) -> np.ndarray:
     n, steps = len(lengths), lengths[0]
-    lanes, coder = _Lanes(model, n), _Decoder(blocks)
-    columns, before, earlier = np.zeros((steps, n), np.uint16), np.zeros(n, np.int64), np.zeros(n, np.int64)
-    short, whole = False, np.uint64(1 << LITERAL)
-    cumulative, frequency = model.cumulative.astype(np.uint64), model.frequency.astype(np.uint64)
-    for t in range(steps):
-        if t == lengths[-1] and not short:
-            short = True
-            before, earlier = before[: n - 1], earlier[: n - 1]
-            lanes.narrow(n - 1)
-            coder.narrow(n - 1)
-        two, one = model.two.take(_context(before, earlier)), model.one.take(before)
-        which = lanes.predict(two >> 16 << 2 | one >> 16)
-        target = coder.look()
-        ends, upper = which * _ONES, (target >> LITERAL).astype(np.uint64)
-        flag = (upper >= ends & _FIELD).astype(np.int64) + (upper >= (ends >> _U16) & _FIELD) + (upper >= (ends >> _U32) & _FIELD)
-        c, f = _span(which, flag)
-        now = np.where(flag == 0, two & 0xFFFF, np.where(flag == 1, one & 0xFFFF, model.zero))
-        c, missed = c << _BITS, np.flatnonzero(flag == 3)
-        width = f * whole
-        if len(missed):
-            g = f[missed]
-            symbol = model.symbols.take(((target[missed] - c[missed].astype(np.int64)) / g).astype(np.int64))
-            now[missed] = symbol
-            c[missed] += g * cumulative.take(symbol)
-            width[missed] = g * frequency.take(symbol)
-        coder.take(c, width)
-        columns[t, : len(now)] = now
-        lanes.learn(flag)
-        earlier, before = before, now
-    rows = columns.T
+    lanes, coder = _Lanes(n), _Decoder(blocks)
+    rows = np.zeros((n, steps), np.uint16)
+    # A short last block goes on beyond its end, over nothing; what it gives there is cut off.
+    for start, end in slices(steps):
+        columns, flags = np.zeros((end - start, n), np.uint32), np.zeros((end - start, n), np.int64)
+        before, earlier, history = lanes.before, lanes.earlier, lanes.history
+        for k in range(end - start):
+            at_two, at_one = lanes.places(before, earlier, lanes.base)
+            two, one = lanes.two.take(at_two), lanes.one.take(at_one)
+            a, b = lanes.sure.take((two >> _HIGH << 2 | one >> _HIGH) + lanes.lane), lanes.past.take(history + lanes.lane)
+            which, target = lanes.mixed(a, b, lanes.better), coder.look()
+            ends, upper = which * _ONES, target >> _BITS
+            flag = (upper >= ends & _FIELD).astype(np.int64) + (upper >= (ends >> _U16) & _FIELD) + (upper >= (ends >> _U32) & _FIELD)
+            c, f = _span(which, flag)
+            c <<= _BITS
+            low = (target - c) // f
+            drawn = lanes.zero.take((low >> _U_SPARE).astype(np.int64) + lanes.recent)
+            now = np.where(flag < 2, np.where(flag == 0, two, one) & _NO_ID, np.where(flag == 2, drawn, low)).astype(np.uint32)
+            low &= _LEFT.take(flag)
+            c += f * low
+            f <<= _WIDTHS.take(flag)
+            coder.take(c, f)
+            columns[k], flags[k] = now, flag
+            history = (history << 2 | flag) & 15
+            earlier, before = before, now
+        rows[:, start:end] = columns.T
+        lanes.judged(np.ascontiguousarray(columns.T), np.ascontiguousarray(flags.T))
     return np.concatenate([rows[i, :m] for i, m in enumerate(lengths)]).astype(np.int64)
 
 
 def write_file(ids: np.ndarray) -> bytes:
     """A file that holds the ids."""
-    if len(ids) and (int(ids.max()) > 0xFFFE or int(ids.min()) < 0):
+    if len(ids) and (int(ids.max()) >= NO_ID or int(ids.min()) < 0):
         raise ValueError("ids must be from 0 to 65534")
-    if not len(ids):
-        return MAGIC + struct.pack("<IQIII", VERSION, 0, 0, BLOCK, 0)
-    model, blocks, heads = Model.of(ids), [], []
+    blocks, heads = [], []
     for at in range(0, len(ids), BLOCK * LANES):
         own = ids[at : at + BLOCK * LANES]
         lengths = [min(BLOCK, len(own) - b) for b in range(0, len(own), BLOCK)]
-        coded = encode_lanes(model, own, lengths)
+        coded = encode_lanes(own, lengths)
         heads += [struct.pack("<III", m, len(c), zlib.crc32(own[i * BLOCK : i * BLOCK + m].astype("<u4").tobytes())) for i, (m, c) in enumerate(zip(lengths, coded, strict=True))]
         blocks += coded
-    packed = model.pack()
-    return MAGIC + struct.pack("<IQIII", VERSION, len(ids), len(blocks), BLOCK, len(packed)) + packed + b"".join(heads) + b"".join(blocks)
+    return MAGIC + struct.pack("<IQII", VERSION, len(ids), len(blocks), BLOCK) + b"".join(heads) + b"".join(blocks)
 
 
 def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -> np.ndarray:
     """The ids of a file, or of some of its blocks; every block is held against its checksum."""
-    if data[:4] != MAGIC or len(data) < 28:
+    if data[:4] != MAGIC or len(data) < 24:
         raise ValueError("not a file of ids")
-    version, total, count, _, size = struct.unpack_from("<IQIII", data, 4)
+    version, total, count, _ = struct.unpack_from("<IQII", data, 4)
     if version != VERSION:
         raise ValueError(f"version {version} is unknown")
-    if not count:
-        return np.empty(0, np.int64)
-    model, at = Model.unpack(data[28 : 28 + size]), 28 + size
-    heads = [struct.unpack_from("<III", data, at + 12 * i) for i in range(count)]
-    at, blocks = at + 12 * count, []
+    if len(data) < 24 + 12 * count:
+        raise ValueError("the file is cut off")
+    heads = [struct.unpack_from("<III", data, 24 + 12 * i) for i in range(count)]
+    at, blocks = 24 + 12 * count, []
     for _, size, _ in heads:
         blocks.append(data[at : at + size])
         at += size
@@ -376,7 +296,10 @@ def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -
     out = []
     for start in range(wanted.start, wanted.stop, LANES):
         some = range(start, min(start + LANES, wanted.stop))
-        ids = decode_lanes(model, [blocks[i] for i in some], [heads[i][0] for i in some])
+        lengths = [heads[i][0] for i in some]
+        if any(len(blocks[i]) != heads[i][1] or not 0 < m <= BLOCK for i, m in zip(some, lengths, strict=True)) or any(m != lengths[0] for m in lengths[:-1]) or lengths[-1] > lengths[0]:
+            raise ValueError("the heads of blocks are damaged")
+        ids = decode_lanes([blocks[i] for i in some], lengths)
         done = 0
         for i in some:
             own = ids[done : done + heads[i][0]]
@@ -390,79 +313,111 @@ def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -
     return ids
 
 
+#: Chunks that are a word of ASCII and lower-case Latin-1 letters, one piece to the tokenizer, and marks behind it.
+#: The apostrophe isn't among them: it starts contractions.
+_PLAIN = r"^(?P<word>[A-Za-zß-öø-ÿ]+)(?P<marks>[!-&(-/:-@\[-`{-~]*)$"
+#: The byte-level alphabet's letters for those bytes of such words that don't stand for themselves there.
+_LETTERS = {chr(b): chr(256 + i) for i, b in enumerate(b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or b >= 174)) if b > 127}
+
+
+def _bytes_of(column: pa.Array) -> list[bytes]:
+    return column.cast(pa.large_binary() if pa.types.is_large_string(column.type) else pa.binary()).to_numpy(zero_copy_only=False).tolist()
+
+
+class _Store:
+    """Ids of numbered pieces, one after the other; a piece's number is remembered by its bytes (bounded)."""
+
+    def __init__(self):
+        self.clear()
+
+    def clear(self) -> None:
+        self.number: dict[bytes, int] = {}
+        self.parts, self.sizes = [np.empty(0, np.uint16)], [np.empty(0, np.int64)]
+
+    def numbers(self, pieces: list[bytes], split) -> np.ndarray:
+        """The pieces' numbers; ``split`` gives (ids, sizes) of those that are new."""
+        known = self.number
+        fresh = [*dict.fromkeys(p for p in pieces if p not in known)]
+        if fresh:
+            ids, sizes = split(fresh)
+            self.parts.append(ids)
+            self.sizes.append(sizes)
+            known.update(zip(fresh, range(len(known), len(known) + len(fresh)), strict=True))
+        return np.fromiter(map(known.__getitem__, pieces), np.int64, len(pieces))
+
+    def table(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(ids, where each number's ids begin, how many they are)."""
+        self.parts, self.sizes = [np.concatenate(self.parts)], [np.concatenate(self.sizes)]
+        return self.parts[0], np.cumsum(self.sizes[0]) - self.sizes[0], self.sizes[0]
+
+
 class ChunkTokenizer:
-    """Encodes texts chunk by chunk (runs without ASCII white space), remembering chunks (bounded).
+    """Encodes texts chunk by chunk (runs without ASCII white space), remembering pieces (bounded).
 
     The tokenizer folds white space into separators that no token crosses, so a text's ids are its chunks' ids.  A
-    chunk's ASCII punctuation behind a letter is a token of its own, and letters alone are one word, of
-    which the last id is a word's end: so new words are encoded together, and cut at word ends."""
+    chunk's ASCII punctuation behind a word is a piece of its own, and a word of plain letters is one piece, which the library's
+    model splits.  Every other chunk goes through the whole library call, special tokens included."""
 
     def __init__(self, path: str):
         env_single_thread()
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
-        vocabulary = self.tokenizer.get_vocab()
-        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
-        self.ends[[i for token, i in vocabulary.items() if token.endswith("</w>")]] = True
-        self.cache: dict[bytes, bytes] = {}
-        self.words: dict[bytes, bytes] = {b"": b""}
-
-    def encode(self, text: bytes) -> bytes:
-        """Ids as little-endian unsigned 16-bit integers."""
-        return self.encode_all([text])[0]
-
-    def encode_all(self, texts: list[bytes]) -> list[bytes]:
-        cut = [t.split() for t in texts]
-        new = set(itertools.chain.from_iterable(cut)).difference(self.cache)
-        if new:
-            if len(self.cache) > _CACHE_LIMIT:
-                self.cache.clear()
-                new = set(itertools.chain.from_iterable(cut))
-            self._learn(new)
-        known = self.cache.__getitem__
-        return [b"".join(map(known, c)) for c in cut]
-
-    def _learn(self, chunks: Iterable[bytes]) -> None:
-        if len(self.words) > _CACHE_LIMIT:
-            self.words = {b"": b""}
-        words, odd, pairs = self.words, [], []
-        for chunk in chunks:
-            stem = chunk.rstrip(_MARKS)
-            # Only A-Z: other letters' lower case is the tokenizer's own affair.
-            word = stem.lower()
-            if stem.isalpha() or not stem.isascii() and _is_word(word):
-                pairs.append((chunk, word, chunk[len(stem) :]))
-            else:
-                odd.append(chunk)
-        fresh = [*{w for _, w, _ in pairs}.difference(words)]
-        for at in range(0, len(fresh), _TOGETHER):
-            some = fresh[at : at + _TOGETHER]
-            ids = np.array(self.tokenizer.encode(b" ".join(some).decode(), add_special_tokens=False).ids, "<u2")
-            ends = (np.flatnonzero(self.ends[ids]) + 1) * 2
-            if len(ends) == len(some):
-                raw, ends = ids.tobytes(), ends.tolist()
-                words.update(zip(some, (raw[a:b] for a, b in zip([0, *ends[:-1]], ends, strict=True)), strict=True))
-            else:  # the tokenizer knows other letters than Python does
-                words.update(zip(some, self._plain(some), strict=True))
-        tails = [*{t for _, _, t in pairs}.difference(words)]
-        words.update(zip(tails, self._plain(tails), strict=True))
-        self.cache.update((chunk, words[word] + words[tail]) for chunk, word, tail in pairs)
-        for at in range(0, len(odd), 50_000):
-            some = odd[at : at + 50_000]
-            self.cache.update(zip(some, self._plain(some), strict=True))
-
-    def _plain(self, texts: list[bytes]) -> list[bytes]:
-        return [np.array(e.ids, "<u2").tobytes() for e in self.tokenizer.encode_batch_fast([t.decode("utf-8", "replace") for t in texts], add_special_tokens=False)]
-
-
-def _is_word(word: bytes) -> bool:
-    try:
-        text = word.decode()
-    except UnicodeDecodeError:
-        return False
-    return text.isalpha() and unicodedata.is_normalized("NFC", text)
+        self.words, self.others = _Store(), _Store()
+
+    def encode(self, text: bytes) -> list[int]:
+        return self.encode_all(pa.array([text], pa.binary()).view(pa.string()))[0].tolist()
+
+    def encode_all(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all texts, how many each has).  Arrow splits and numbers; only distinct pieces are looked up."""
+        for store in (self.words, self.others):
+            if len(store.number) > _CACHE_LIMIT:
+                store.clear()
+        cut = pc.ascii_split_whitespace(texts)
+        coded = pc.list_flatten(cut).dictionary_encode()
+        chunks = coded.dictionary
+        cuts = pc.extract_regex(chunks, _PLAIN)
+        plain = np.asarray(pc.is_valid(cuts))
+        word = pc.struct_field(cuts, "word").filter(pa.array(plain))
+        stems = pc.ascii_lower(word).dictionary_encode()
+        marks = pc.struct_field(cuts, "marks").filter(pa.array(plain)).dictionary_encode()
+        # Of each distinct chunk its word and marks, or the whole of it and nothing.
+        first, second = np.zeros(len(chunks), np.int64), np.zeros(len(chunks), np.int64)
+        at = self.words.numbers(_bytes_of(stems.dictionary), self._split)
+        other = self.others.numbers([b"", *_bytes_of(marks.dictionary), *_bytes_of(chunks.filter(pa.array(~plain)))], self._whole)
+        ids, starts, sizes = self.words.table()
+        more, more_starts, more_sizes = self.others.table()
+        n, m = len(sizes), len(marks.dictionary)
+        first[plain], second[plain] = at[np.asarray(stems.indices)], n + other[1 + np.asarray(marks.indices)]
+        first[~plain], second[~plain] = n + other[1 + m :], n + other[0]
+        ids, starts, sizes = np.concatenate([ids, more]), np.concatenate([starts, len(ids) + more_starts]), np.concatenate([sizes, more_sizes])
+        return _gathered(ids, starts, sizes, np.stack([first, second], 1)[np.asarray(coded.indices)].ravel(), 2 * (np.asarray(cut.offsets) - cut.offsets[0].as_py()))
+
+    def _split(self, words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """Words of plain letters by the library's model, in its byte-level alphabet."""
+        split, ids, sizes = self.tokenizer.model.tokenize, [], []
+        for at in range(0, len(words), 20_000):
+            text = b" ".join(words[at : at + 20_000]).decode("latin-1")
+            for byte, letter in _LETTERS.items():
+                text = text.replace(byte, letter)
+            for word in text.split(" "):
+                found = split(word)
+                sizes.append(len(found))
+                ids += [t.id for t in found]
+        return np.array(ids, np.uint16), np.array(sizes, np.int64)
+
+    def _whole(self, texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        out = [np.empty(0, np.uint16)]
+        for at in range(0, len(texts), 50_000):
+            out += [np.array(e.ids, np.uint16) for e in self.tokenizer.encode_batch_fast([t.decode("utf-8", "replace") for t in texts[at : at + 50_000]], add_special_tokens=False)]
+        return np.concatenate(out), np.array([len(x) for x in out[1:]], np.int64)
+
+
+def _gathered(ids: np.ndarray, starts: np.ndarray, sizes: np.ndarray, pieces: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(the ids of numbered pieces in order, how many of them lie between the bounds)."""
+    each = sizes[pieces]
+    ends = np.append(0, np.cumsum(each))
+    return ids[np.repeat(starts[pieces] - ends[:-1], each) + np.arange(ends[-1])], np.diff(ends[bounds])
 
 
 @functools.lru_cache(maxsize=2)
@@ -470,16 +425,16 @@ def tokenizer(path: str) -> ChunkTokenizer:
     return ChunkTokenizer(path)
 
 
-def _groups(texts: list[bytes]) -> Iterator[tuple[int, int]]:
+def _groups(sizes: list[int]) -> Iterator[tuple[int, int]]:
     """Spans of texts that are encoded together: of _GROUP_BYTES, or one text."""
     start, size = 0, 0
-    for at, text in enumerate(texts):
-        if size and size + len(text) > _GROUP_BYTES:
+    for at, more in enumerate(sizes):
+        if size and size + more > _GROUP_BYTES:
             yield start, at
             start, size = at, 0
-        size += len(text)
-    if texts:
-        yield start, len(texts)
+        size += more
+    if sizes:
+        yield start, len(sizes)
 
 
 FILE_SCHEMA = "part int, shard int, n_tokens long, file binary, doc_ids binary, lengths binary"
@@ -490,28 +445,27 @@ def _written(path: str, end_id: int):
         from pyspark import TaskContext
 
         part, shard, coder = TaskContext.get().partitionId(), 0, tokenizer(path)
-        end = struct.pack("<H", end_id)
-        ids: list[bytes] = []
-        owners: list[int | None] = []
+        ids: list[np.ndarray] = []
+        lengths: list[np.ndarray] = []
+        owners: list[pa.Array] = []
         size = 0
 
         def flush():
-            lengths = np.array([len(x) // 2 for x in ids], "<i8")
-            body = np.frombuffer(b"".join(ids), "<u2").astype(np.int64)
-            names = pa.array(owners, pa.int64())
+            names, body = pa.concat_arrays(owners), np.concatenate(ids)
             marks = np.stack([names.is_valid().to_numpy(zero_copy_only=False).astype("<i8"), names.fill_null(0).to_numpy(zero_copy_only=False)], 1)
-            return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([shard], pa.int32()), pa.array([len(body)], pa.int64()), pa.array([write_file(body)], pa.binary()), pa.array([marks.tobytes()], pa.binary()), pa.array([lengths.tobytes()], pa.binary())], [f.split()[0] for f in FILE_SCHEMA.split(", ")])
+            return pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([shard], pa.int32()), pa.array([len(body)], pa.int64()), pa.array([write_file(body)], pa.binary()), pa.array([marks.tobytes()], pa.binary()), pa.array([np.concatenate(lengths).astype("<i8").tobytes()], pa.binary())], [f.split()[0] for f in FILE_SCHEMA.split(", ")])
 
         for batch in batches:
-            texts, docs = as_bytes(batch.column(1)), batch.column(0).to_pylist()
-            for a, b in _groups(texts):
-                for doc, body in zip(docs[a:b], coder.encode_all(texts[a:b]), strict=True):
-                    ids.append(body + end)
-                    owners.append(doc)
-                    size += len(body) // 2 + 1
-                    if size >= BLOCK * LANES:
-                        yield flush()
-                        ids, owners, size, shard = [], [], 0, shard + 1
+            docs, texts = batch.column(0).cast(pa.int64()), batch.column(1).cast(pa.large_string()).fill_null("")
+            for a, b in _groups(pc.binary_length(texts).to_pylist()):
+                own, each = coder.encode_all(texts[a:b])
+                ids.append(np.insert(own, np.cumsum(each), end_id))
+                lengths.append(each + 1)
+                owners.append(docs[a:b])
+                size += len(ids[-1])
+                if size >= BLOCK * LANES:
+                    yield flush()
+                    ids, lengths, owners, size, shard = [], [], [], 0, shard + 1
         if ids:
             yield flush()
 

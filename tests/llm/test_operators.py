@@ -34,37 +34,38 @@ def test_edge_rows_and_empty_tables(spark, run):
     assert run(texts(spark, [])).count() == 0
 
 
-def test_id_files(spark):
-    r = np.random.RandomState(1)
-    for ids in (np.zeros(0, np.int64), r.randint(0, 65535, 9000), np.repeat(r.randint(0, 500, 900), 7)):
+def test_id_files():
+    r, block = np.random.RandomState(1), id_coder.BLOCK
+    zipf = np.minimum(r.zipf(1.3, 2 * block + 900), 40_000)
+    for ids in (np.zeros(0, np.int64), np.arange(5), r.randint(0, 65535, block), np.repeat(r.randint(0, 500, 900), 40), zipf):
         data = id_coder.write_file(ids)
         assert (id_coder.read_file(data) == ids).all()
-    assert (id_coder.read_file(data, 1, 2) == ids[4096:6300]).all() and len(data) < len(ids)
+    assert (id_coder.read_file(data, 1, 3) == ids[block:]).all() and len(data) < 1.3 * len(ids)
     broken = bytearray(data)
-    broken[-30] ^= 255
-    with pytest.raises(ValueError):
-        id_coder.read_file(bytes(broken))
+    for at in (9, 30, -30):
+        broken[at] ^= 255
+        with pytest.raises(ValueError):
+            id_coder.read_file(bytes(broken))
     with pytest.raises(ValueError):
         id_coder.write_file(np.array([70000]))
 
 
-def test_id_files_of_full_tables():
-    ids = np.random.RandomState(2).zipf(1.4, 50_000) % 3000
-    data = id_coder.write_file(ids)
-    assert (id_coder.read_file(data) == ids).all() and (id_coder.read_file(data, 3, 5) == ids[3 * 4096 : 5 * 4096]).all()
-    broken = bytearray(data)
-    broken[60] ^= 255
-    with pytest.raises(ValueError):
-        id_coder.read_file(bytes(broken))
+def test_a_block_needs_its_own_bytes_alone():
+    block = id_coder.BLOCK
+    one, two = np.random.RandomState(2).randint(0, 300, (2, block))
+    together, alone = (id_coder.write_file(ids) for ids in (np.concatenate([one, two]), two))
+    assert together.endswith(alone[24 + 12 :])
 
 
 def test_chunks_have_the_ids_of_the_whole_text():
     import public_tokenizers
+    from tokenizers import Tokenizer
 
-    coder = id_coder.tokenizer(public_tokenizers.path("word_bpe_49k.json"))
+    path = public_tokenizers.path("word_bpe_49k.json")
+    coder, plain = id_coder.tokenizer(path), Tokenizer.from_file(path)
     odd = "I\u0307a it's IT'S. e\u0301t\u00e9, \u0130x \u0958a \u01c5abc\u00b2. \u2168 x\u2026.. a--b <|endoftext|> !!! \u1e9eA \ufb01n, K\u212a. \u03a3\u0391\u03a3. e\u0301. \u0e01\u0e33 don't. 'tis x_y 3.14, A9b! l'\u00c9t\u00e9;"
-    for text in (odd, "", " \n\t", "word " * 3000, ".,;", odd.upper(), odd.replace(" ", "\u00a0")):
-        assert np.frombuffer(coder.encode(text.encode()), "<u2").tolist() == coder.tokenizer.encode(text, add_special_tokens=False).ids
+    for text in (odd, "", " \n\t", "word " * 3000, ".,;", odd.upper(), odd.replace(" ", "\u00a0"), "hello <|endoftext|> world<|startoftext|>x <|END|> <|endoftext|", "\x1c a\x85b ab\x00c"):
+        assert coder.encode(text.encode()) == plain.encode(text, add_special_tokens=False).ids
 
 
 def test_ids_of_documents(spark):
