@@ -45,7 +45,7 @@ LANES = 1024
 END_ID = 2
 NO_ID = 0xFFFF
 PAYLOAD = 16  # bits of the second symbol
-SLICE, RECENT = 128, 9
+SLICE, RECENT = 32, 9
 _SLOTS = 9  # bits of a block's table of one order
 _PARTITION_BYTES = 16 << 20
 _CACHE_LIMIT = 800_000
