@@ -8,7 +8,6 @@ Orders that aren't prime powers are refused when the field is made.
 from __future__ import annotations
 
 import functools
-import itertools
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -18,19 +17,33 @@ from pyspark.sql import functions as F
 TABLE_LIMIT = 4096
 
 
+#: Witnesses that decide primality of all numbers below 3.3 * 10^24 (fixed values: the first thirteen primes).
+_WITNESSES = (2, 3, 5, 7, 11, 13, 17, 19, 23, 29, 31, 37, 41)
+#: Prime fields are below this, so that a product of two residues fits DECIMAL(38).
+PRIME_LIMIT = 1 << 62
+
+
 def is_prime(n: int) -> bool:
-    return n > 1 and all(n % d for d in itertools.takewhile(lambda d: d * d <= n, itertools.chain((2,), itertools.count(3, 2))))
+    """Strong-pseudoprime test to enough bases to be exact."""
+    if n < 2 or any(n % w == 0 for w in _WITNESSES):
+        return n in _WITNESSES
+    odd = (n - 1) // ((n - 1) & (1 - n))
+    for w in _WITNESSES:
+        x, e = pow(w, odd, n), odd
+        while x not in (1, n - 1) and 2 * e < n - 1:
+            x, e = x * x % n, e * 2
+        if x != n - 1 and (x != 1 or e != odd):
+            return False
+    return True
 
 
 def prime_power(q: int) -> tuple[int, int]:
     """(p, k) with q = p^k, or ValueError."""
-    if q > 1:
-        p = q if is_prime(q) else next(d for d in itertools.count(2) if q % d == 0) if q < 1 << 24 else 2
-        k, rest = 0, q
-        while rest % p == 0:
-            rest, k = rest // p, k + 1
-        if rest == 1:
-            return p, k
+    for k in range(1, max(q, 1).bit_length() + 1):
+        root = round(q ** (1 / k)) if k > 1 else q
+        for p in (root - 1, root, root + 1) if k > 1 else (root,):
+            if p**k == q and is_prime(p):
+                return p, k
     raise ValueError(f"{q} is not the order of a field")
 
 
@@ -114,6 +127,11 @@ class FieldSpec:
     def bits(self) -> int:
         return (self.order - 1).bit_length()
 
+    @property
+    def chained(self) -> bool:
+        """Whether products are a chain of k projections (large binary fields)."""
+        return self.p == 2 and self.order > TABLE_LIMIT
+
     def add(self, a: int, b: int) -> int:
         return sum((x + y) % self.p * self.p**i for i, (x, y) in enumerate(zip(_digits(a, self.p, self.k), _digits(b, self.p, self.k), strict=True)))
 
@@ -145,8 +163,8 @@ def _log_tables(p: int, k: int) -> tuple[list[int], list[int]]:
 def prime_field(p: int) -> FieldSpec:
     if not is_prime(p):
         raise ValueError(f"{p} is not prime")
-    if p >= 1 << 31:
-        raise ValueError("primes must be below 2^31 for products to fit a LONG")
+    if p >= PRIME_LIMIT:
+        raise ValueError("primes must be below 2^62 for products to fit DECIMAL(38)")
     return FieldSpec(p, 1)
 
 
@@ -166,10 +184,15 @@ def field_of_order(q: int) -> FieldSpec:
     return extension_field(*prime_power(q))
 
 
-def embed(delta: Column, field: FieldSpec) -> Column:
-    """A delta as an element: the residue in a prime field, else the value as it is encoded."""
-    delta = delta.cast("long")
-    return F.pmod(delta, F.lit(field.p)) if field.k == 1 else delta
+def _wide(value: Column) -> Column:
+    return value.cast("decimal(38,0)")
+
+
+def embed(delta: Column, field: FieldSpec, wide: bool = False) -> Column:
+    """A delta as an element: the residue in a prime field, else the value as it is encoded.  wide: deltas beyond LONG."""
+    if field.k > 1:
+        return delta.cast("long")
+    return F.pmod(_wide(delta), _wide(F.lit(field.p))).cast("long") if wide else F.pmod(delta.cast("long"), F.lit(field.p))
 
 
 def with_product(frame: DataFrame, a: str, b: str, out: str, field: FieldSpec) -> DataFrame:
@@ -178,7 +201,9 @@ def with_product(frame: DataFrame, a: str, b: str, out: str, field: FieldSpec) -
     if field.order == 2:
         return frame.withColumn(out, x.bitwiseAND(y))
     if field.k == 1:
-        return frame.withColumn(out, F.pmod(x * y, F.lit(field.p)))
+        # A product of residues of 2^31 and more is beyond LONG.
+        product = x * y if field.p <= 1 << 31 else (_wide(x) * _wide(y)).cast("decimal(38,0)")
+        return frame.withColumn(out, F.pmod(product, F.lit(field.p) if field.p <= 1 << 31 else _wide(F.lit(field.p))).cast("long"))
     if field.order <= TABLE_LIMIT:
         logs, powers = field.tables()
         log = F.array(*[F.lit(v) for v in logs])
@@ -200,9 +225,10 @@ def fold(value: Column, field: FieldSpec) -> Column:
     """Aggregate: the field's sum.  Sums of large residues are taken in DECIMAL, which 10^20 rows don't overflow."""
     if field.p == 2:
         return F.bit_xor(value)
-    wide = (lambda c: c.cast("decimal(38,0)")) if field.p > 1 << 20 else (lambda c: c)
+    if field.k == 1 and field.p > 1 << 20:
+        return F.pmod(F.sum(_wide(value)), _wide(F.lit(field.p))).cast("long")
     if field.k == 1:
-        return F.pmod(F.sum(wide(value)), F.lit(field.p).cast("decimal(38,0)") if field.p > 1 << 20 else F.lit(field.p)).cast("long")
+        return F.pmod(F.sum(value), F.lit(field.p)).cast("long")
     total = None
     for i in range(field.k):
         digit = F.pmod(F.sum(F.pmod(F.floor(value / F.lit(field.p**i)), F.lit(field.p))), F.lit(field.p)) * F.lit(field.p**i)
@@ -228,7 +254,7 @@ def sql_product(a: str, b: str, field: FieldSpec) -> str:
     if field.order == 2:
         return f"({a} & {b})"
     if field.k == 1:
-        return f"({a} * {b} % {field.p})"
+        return f"({a}::HUGEINT * {b}::HUGEINT % {field.p})::BIGINT" if field.p > 1 << 31 else f"({a} * {b} % {field.p})"
     logs, powers = field.tables()
     return f"CASE WHEN {a} = 0 OR {b} = 0 THEN 0 ELSE ({powers})[({logs})[{a} + 1] + ({logs})[{b} + 1] + 1] END"
 

@@ -39,18 +39,27 @@ def level_of(h: Column, plan: SketchPlan) -> Column:
 
 
 def placed(frame: DataFrame, keys: list[str], plan: SketchPlan, seed: Column | None = None) -> DataFrame:
-    """Adds row, level and coef; drops what falls beyond the level cap or is thinned away by its row's offset."""
+    """Adds row, level and coef; drops what is thinned away by its row's offset.  Levels beyond the cap are the caller's to drop, behind its aggregation."""
     out = frame.withColumns({
         "row": F.pmod(_hash("row", keys, plan, seed), F.lit(plan.rows)).cast("int"),
         "level": level_of(_hash("lev", keys, plan, seed), plan).cast("int"),
         "coef": F.pmod(_hash("coef", keys, plan, seed), F.lit(plan.field.order)).cast("long"),
-    }).where(F.col("level") <= plan.levels)
+    })
     if plan.offsets:
         kept = F.get(F.array(*[F.lit(t).cast("long") for t in plan.thresholds()]), F.col("row"))
         out = out.where(_hash("thin", keys, plan, seed).bitwiseAND(F.lit((1 << 52) - 1)) < kept)
     return out
 
 
+def hash_parts(frame: DataFrame, keys: list[str], plan: SketchPlan, seed: Column | None = None) -> DataFrame:
+    """Adds row_hash, level and coef_hash: what a row and a coefficient are the remainders of, for several sizes and fields at once."""
+    return frame.withColumns({
+        "row_hash": _hash("row", keys, plan, seed),
+        "level": level_of(_hash("lev", keys, plan, seed), plan).cast("int"),
+        "coef_hash": _hash("coef", keys, plan, seed),
+    })
+
+
 def sql_placed(source: str, keys: list[str], plan: SketchPlan, carried: str = "", seed: str | None = None) -> str:
     """The same for DuckDB, over a subquery ``source`` with the keys, delta and the carried columns."""
     if plan.hash != "portable":

@@ -37,17 +37,21 @@ def sketch(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan, by
     check_updates(updates, keys, delta)
     by = by or []
     names = [f"_k{i}" for i in range(len(keys))]
-    rows = updates.select(*by, *[F.col(k).alias(n) for k, n in zip(keys, names, strict=True)], embed(F.col(delta), plan.field).alias("_delta"))
+    rows = updates.select(*by, *[F.col(k).alias(n) for k, n in zip(keys, names, strict=True)], embed(F.col(delta), plan.field, isinstance(updates.schema[delta].dataType, T.DecimalType)).alias("_delta"))
     present = F.col("_delta") != 0
     for n in names:
         present = present & F.col(n).isNotNull()
     rows = with_product(placed(rows.where(present), names, plan, seed), "_delta", "coef", "_val", plan.field)
-    return folded(rows.where("_val <> 0").select(*by, "row", "level", F.col("_val").alias("val")), plan, by)
+    # Pushed into a chain of projections, a condition on its end would be written out with 2^k terms; folded() drops zeros too.
+    rows = rows if plan.field.chained else rows.where("_val <> 0")
+    return folded(rows.select(*by, "row", "level", F.col("_val").alias("val")), plan, by)
 
 
 def folded(cells: DataFrame, plan: SketchPlan, by: list[str] | None = None) -> DataFrame:
     by = by or []
-    return cells.groupBy(*by, "row", "level").agg(fold(F.col("val"), plan.field).alias("val")).where("val <> 0")
+    added = cells.groupBy(*by, "row", "level").agg(fold(F.col("val"), plan.field).alias("val"))
+    # One condition on both, lest the cap alone be pushed below the hashes and have them computed twice.
+    return added.where(F.when(F.col("level") <= plan.levels, F.col("val")).otherwise(0) != 0)
 
 
 def merge(a: DataFrame, b: DataFrame, plan: SketchPlan, by: list[str] | None = None) -> DataFrame:
@@ -67,8 +71,11 @@ def difference(a: DataFrame, b: DataFrame, plan: SketchPlan, by: list[str] | Non
 def scale(cells: DataFrame, factor: int, plan: SketchPlan) -> DataFrame:
     """Every state times a field element; a non-zero one leaves the pattern of live cells as it is."""
     kept = [c for c in cells.columns if c != "val"]
+    if factor == 0:
+        return cells.where(F.lit(False))
+    # A field has no zero divisors.
     out = with_product(cells.withColumn("_c", F.lit(factor).cast("long")), "val", "_c", "_product", plan.field)
-    return out.where("_product <> 0").select(*kept, F.col("_product").alias("val"))
+    return out.select(*kept, F.col("_product").alias("val"))
 
 
 def roll_up(cells: DataFrame, plan: SketchPlan, by: list[str] | None = None) -> DataFrame:
@@ -104,3 +111,28 @@ def save(cells: DataFrame, plan: SketchPlan, path: str, mode: str = "append", **
 def load(spark: SparkSession, plan: SketchPlan, path: str) -> DataFrame:
     """The saved cells of this plan only; other plans' partitions aren't read."""
     return spark.read.parquet(path).where(F.col("plan") == plan.fingerprint).drop("plan")
+
+
+def pack_bits(cells: DataFrame, plan: SketchPlan, by: list[str] | None = None) -> DataFrame:
+    """(by..., bits): each sketch as BINARY, rows * levels registers of as many bits as an element needs, row by row."""
+    by, width = by or [], plan.field.bits
+    known = cells.groupBy(*by, "row").agg(F.map_from_entries(F.collect_list(F.struct("level", "val"))).alias("_m"))
+    register = lambda v: F.lpad(F.conv(F.coalesce(v, F.lit(0)).cast("string"), 10, 2), width, "0")
+    line = F.array_join(F.transform(F.sequence(F.lit(1), F.lit(plan.levels)), lambda i: register(F.element_at("_m", i))), "")
+    lines = known.select(*by, F.struct(F.col("row").alias("row"), line.alias("line")).alias("_l")).groupBy(*by).agg(F.map_from_entries(F.collect_list("_l")).alias("_l"))
+    blank = F.lit("0" * (plan.levels * width))
+    text = F.array_join(F.transform(F.sequence(F.lit(0), F.lit(plan.rows - 1)), lambda r: F.coalesce(F.element_at("_l", r), blank)), "")
+    size = -(-plan.memory_bits // 8)
+    text = F.rpad(text, size * 8, "0")
+    octets = F.transform(F.sequence(F.lit(0), F.lit(size - 1)), lambda i: F.lpad(F.conv(F.substring(text, i * 8 + 1, F.lit(8)), 2, 16), 2, "0"))
+    return lines.select(*by, F.unhex(F.array_join(octets, "")).alias("bits"))
+
+
+def unpack_bits(packed: DataFrame, plan: SketchPlan) -> DataFrame:
+    """The live cells of :func:`pack_bits`."""
+    kept, width = [c for c in packed.columns if c != "bits"], plan.field.bits
+    octets = F.transform(F.sequence(F.lit(0), F.length("bits") - 1), lambda i: F.lpad(F.conv(F.substring(F.hex("bits"), i * 2 + 1, F.lit(2)), 16, 2), 8, "0"))
+    text = packed.select(*kept, F.array_join(octets, "").alias("_t"))
+    places = text.select(*kept, "_t", F.explode(F.sequence(F.lit(0), F.lit(plan.rows * plan.levels - 1))).alias("_i"))
+    value = F.conv(F.substring(F.col("_t"), F.col("_i") * width + 1, F.lit(width)), 2, 10).cast("long")
+    return places.select(*kept, F.floor(F.col("_i") / plan.levels).cast("int").alias("row"), (F.col("_i") % plan.levels + 1).cast("int").alias("level"), value.alias("val")).where("val <> 0")

@@ -2,20 +2,34 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.algebra import FieldSpec, embed, fold
 from .cells import check_updates
 
+#: Bits by which magnitudes of one power of two are classed further.
+_FINE = 6
+
+def _total(updates: DataFrame, delta: str) -> Column:
+    """Aggregate: the integer sum of deltas, which can't overflow.  LONG deltas are summed as two halves in LONG,
+    which 2^31 rows of a key don't overflow, and put together once for each key."""
+    kind = dict(updates.dtypes)[delta]
+    if kind.startswith("decimal"):
+        return F.sum(F.col(delta).cast("decimal(38,0)"))
+    if kind != "bigint":
+        return F.sum(delta).cast("decimal(38,0)")
+    high, low = F.sum(F.shiftright(delta, 32)), F.sum(F.col(delta).bitwiseAND(F.lit((1 << 32) - 1)))
+    return (high.cast("decimal(28,0)") * F.lit(1 << 32).cast("decimal(10,0)") + low).cast("decimal(38,0)")
+
 
 def states(updates: DataFrame, keys: list[str], delta: str, field: FieldSpec | None = None, by: list[str] | None = None) -> DataFrame:
-    """(by..., keys..., x): the sum of a key's deltas, in the integers or a field.  Null keys and deltas are no updates."""
+    """(by..., keys..., x): the sum of a key's deltas, in the integers (DECIMAL) or a field (LONG).  Null keys and deltas are no updates."""
     check_updates(updates, keys, delta)
     present = F.col(delta).isNotNull()
     for k in keys:
         present = present & F.col(k).isNotNull()
-    x = F.sum(delta) if field is None else fold(embed(F.col(delta), field), field)
+    x = _total(updates, delta) if field is None else fold(embed(F.col(delta), field, dict(updates.dtypes)[delta].startswith("decimal")), field)
     return updates.where(present).groupBy(*(by or []), *keys).agg(x.alias("x"))
 
 
@@ -26,10 +40,10 @@ def exact_support(updates: DataFrame, keys: list[str], delta: str, field: FieldS
 
 
 def exact_norms(updates: DataFrame, keys: list[str], delta: str) -> DataFrame:
-    """(n_keys, l0, l1, linf, mean): mean is l1 / l0."""
+    """(n_keys, l0, l1, linf, mean): mean is l1 / l0; l1 and linf are DECIMAL."""
     size = F.abs("x")
     out = states(updates, keys, delta).agg(F.count("*").alias("n_keys"), F.count_if(F.col("x") != 0).alias("l0"), F.coalesce(F.sum(size), F.lit(0)).alias("l1"), F.coalesce(F.max(size), F.lit(0)).alias("linf"))
-    return out.withColumn("mean", F.round(F.col("l1") / F.nullif(F.col("l0"), F.lit(0)), 6))
+    return out.withColumn("mean", F.round(F.col("l1").cast("double") / F.nullif(F.col("l0"), F.lit(0)), 6))
 
 
 def power_mean(updates: DataFrame, keys: list[str], delta: str, exponent: float) -> DataFrame:
@@ -43,20 +57,26 @@ def power_mean(updates: DataFrame, keys: list[str], delta: str, exponent: float)
 def discounted_norms(updates: DataFrame, keys: list[str], delta: str, eps: float) -> DataFrame:
     """(cut, l0, l1, linf) without the floor(eps * l0 / 2) entries of largest magnitude.
 
-    No global sort: magnitudes are counted, and the cut falls inside the histogram of magnitudes."""
+    No global sort, and no task that sees all magnitudes: they are counted; the counts of their classes (a
+    power of two and the next _FINE bits) tell in which class the cut falls; and only that class is ranked."""
     sizes = states(updates, keys, delta).where("x <> 0").groupBy(F.abs("x").alias("size")).agg(F.count("*").alias("n"))
-    whole = sizes.agg(F.sum("n").alias("all"))
-    # One row for each distinct magnitude.
-    above = Window.orderBy(F.col("size").desc()).rowsBetween(Window.unboundedPreceding, -1)
-    left = sizes.join(F.broadcast(whole)).withColumn("cut", F.floor(F.col("all") * F.lit(eps) / 2))
-    left = left.withColumn("kept", F.greatest(F.lit(0), F.least(F.col("n"), F.col("n") + F.coalesce(F.sum("n").over(above), F.lit(0)) - F.col("cut"))))
-    return left.agg(F.max("cut").alias("cut"), F.sum("kept").alias("l0"), F.sum(F.col("kept") * F.col("size")).alias("l1"), F.max(F.when(F.col("kept") > 0, F.col("size"))).alias("linf"))
+    power = F.floor(F.log2(F.col("size").cast("double")))
+    sizes = sizes.withColumn("class", power * F.lit(1 << _FINE) + F.floor((F.col("size").cast("double") / F.pow(F.lit(2.0), power) - 1) * F.lit(1 << _FINE)))
+    # At most 126 * 2^_FINE classes.
+    above = Window.orderBy(F.col("class").desc()).rowsBetween(Window.unboundedPreceding, -1)
+    classes = sizes.groupBy("class").agg(F.sum("n").alias("_n")).withColumn("_above", F.coalesce(F.sum("_n").over(above), F.lit(0)))
+    classes = classes.withColumn("cut", F.floor(F.sum("_n").over(Window.partitionBy(F.lit(1))) * F.lit(eps) / 2)).withColumn("_split", (F.col("_above") < F.col("cut")) & (F.col("_above") + F.col("_n") > F.col("cut")))
+    marked = sizes.join(F.broadcast(classes), "class")
+    ranked = marked.where("_split").withColumn("_above", F.col("_above") + F.coalesce(F.sum("n").over(Window.partitionBy("class").orderBy(F.col("size").desc()).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
+    whole = marked.where("not _split").withColumn("n", F.when(F.col("_above") >= F.col("cut"), F.col("n")).otherwise(0)).withColumn("_above", F.col("cut"))
+    left = ranked.unionByName(whole).withColumn("kept", F.greatest(F.lit(0), F.least(F.col("n"), F.col("n") + F.col("_above") - F.col("cut"))))
+    return left.agg(F.max("cut").alias("cut"), F.sum("kept").alias("l0"), F.sum(F.col("kept") * F.col("size")).cast("decimal(38,0)").alias("l1"), F.max(F.when(F.col("kept") > 0, F.col("size"))).alias("linf"))
 
 
 def residue_support(updates: DataFrame, keys: list[str], delta: str, primes: list[int]) -> DataFrame:
     """(l0, l0_mod_<p>...): live elements, and those whose state the prime doesn't divide: never more."""
     found = states(updates, keys, delta)
-    return found.agg(F.count_if(F.col("x") != 0).alias("l0"), *[F.count_if(F.pmod("x", F.lit(p)) != 0).alias(f"l0_mod_{p}") for p in primes])
+    return found.agg(F.count_if(F.col("x") != 0).alias("l0"), *[F.count_if(F.pmod("x", F.lit(p).cast("decimal(20,0)")) != 0).alias(f"l0_mod_{p}") for p in primes])
 
 
 def gap_table(updates: DataFrame, keys: list[str], delta: str, pool: list[int], eps: float) -> DataFrame:
@@ -67,7 +87,7 @@ def gap_table(updates: DataFrame, keys: list[str], delta: str, pool: list[int],
     sizes = states(updates, keys, delta).where("x <> 0").groupBy(F.abs("x").alias("size")).agg(F.count("*").alias("n"))
     primes = spark.createDataFrame([(int(p),) for p in pool], "p long")
     pairs = sizes.crossJoin(F.broadcast(primes))
-    out = pairs.groupBy("p").agg(F.sum("n").alias("l0"), F.sum(F.when(F.pmod("size", "p") != 0, F.col("n")).otherwise(0)).alias("l0_mod"))
+    out = pairs.groupBy("p").agg(F.sum("n").alias("l0"), F.sum(F.when(F.pmod(F.col("size"), F.col("p").cast("decimal(20,0)")) != 0, F.col("n")).otherwise(0)).alias("l0_mod"))
     out = out.withColumn("gap", F.round((F.col("l0") - F.col("l0_mod")) / F.col("l0"), 9))
     return out.withColumn("bad", ((F.col("l0") - F.col("l0_mod")) > F.lit(eps) * F.col("l0")).cast("int"))
 

@@ -13,6 +13,7 @@ from ..plans import primes
 from ..plans.sketch_plan import SketchPlan, space_bound
 from .cells import sketch
 from .estimate import estimate
+from .exact import states
 
 #: Of the failure probability 1/3, a tenth goes to the draw of the prime and the rest to the sketch.
 DRAW_FAILURE, SKETCH_FAILURE = 0.1, 1 / 3 - 0.1
@@ -32,7 +33,7 @@ class Choice:
 
 def bounds(updates: DataFrame, delta: str = "delta") -> float:
     """Sum of |delta|: bounds l1 and linf from above, in one scan without a shuffle of keys."""
-    return float(updates.agg(F.coalesce(F.sum(F.abs(delta)), F.lit(0)).alias("s")).first()["s"])
+    return float(updates.agg(F.coalesce(F.sum(F.abs(F.col(delta).cast("decimal(38,0)"))), F.lit(0)).alias("s")).first()["s"])
 
 
 def choose(scheme: str, eps: float, seed: int, linf: float | None = None, mean: float | None = None, power_mean: float | None = None, rows: int | None = None) -> Choice:
@@ -45,14 +46,18 @@ def choose(scheme: str, eps: float, seed: int, linf: float | None = None, mean:
         "above_max": lambda: [primes.above_max(int(linf))],
         "above_mean": lambda: primes.pool_by_mean(mean, part),
         "above_power_mean": lambda: primes.pool_by_power_mean(power_mean, part),
-        "wide": lambda: primes.pool_wide(linf, part),
+        "wide": lambda: range(*primes.wide_range(linf, part)),
         "toggle": lambda: [2],
     }
     if base not in pools:
         raise ValueError(f"no scheme {scheme!r}")
     pool = pools[base]()
-    prime = primes.draw(pool, seed)
-    return Choice(scheme, prime, len(pool), rows or calibrate.rows_for(half, prime, SKETCH_FAILURE), half, half)
+    if base == "wide":
+        # A range is drawn from, its primes are only counted.
+        prime, size = primes.draw_between(pool.start, pool.stop, seed), primes.count_between(pool.start, pool.stop)
+    else:
+        prime, size = primes.draw(pool, seed), len(pool)
+    return Choice(scheme, prime, size, rows or calibrate.rows_for(half, prime, SKETCH_FAILURE), half, half)
 
 
 def l0_estimate(updates: DataFrame, keys: list[str], delta: str, choice: Choice, seed: int = 0, hash: str = "fast", by: list[str] | None = None) -> DataFrame:
@@ -70,9 +75,12 @@ def two_pass(updates: DataFrame, keys: list[str], delta: str, eps: float, seed:
 
 
 def replicated(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan, replicates: int, by: list[str] | None = None) -> DataFrame:
-    """(by..., replicate, row, level, val): sketches under several seeds in one pass."""
-    spread = updates.withColumn("replicate", F.explode(F.sequence(F.lit(1), F.lit(replicates))))
-    return sketch(spread, keys, delta, plan, [*(by or []), "replicate"], seed=F.col("replicate"))
+    """(by..., replicate, row, level, val): sketches under several seeds in one pass.
+
+    States are summed first, as sketches are linear in them, so that a key is hashed once for each seed and not each update."""
+    state = states(updates, keys, delta, plan.field, by).where("x <> 0")
+    spread = state.withColumn("replicate", F.explode(F.sequence(F.lit(1), F.lit(replicates))))
+    return sketch(spread, keys, "x", plan, [*(by or []), "replicate"], seed=F.col("replicate"))
 
 
 def median_estimate(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan, replicates: int = 9) -> DataFrame:
@@ -81,4 +89,15 @@ def median_estimate(updates: DataFrame, keys: list[str], delta: str, plan: Sketc
     return found.agg(F.median("estimate").alias("estimate"), F.count("*").alias("replicates"))
 
 
-__all__ = ["Choice", "bounds", "choose", "l0_estimate", "median_estimate", "replicated", "space_bound", "two_pass"]
+def guarantee(updates: DataFrame, keys: list[str], delta: str, choices: list[Choice], hash: str = "fast") -> DataFrame:
+    """(draw, prime, estimate, l0) for several draws of a scheme, each with its own prime and hash seed.  States are summed once."""
+    state = states(updates, keys, delta).where("x <> 0")
+    truth = state.agg(F.count("*").alias("l0"))
+    out = None
+    for n, choice in enumerate(choices, 1):
+        one = l0_estimate(state, keys, "x", choice, seed=n, hash=hash).select(F.lit(n).alias("draw"), F.col("prime").cast("long").alias("prime"), "estimate")
+        out = one if out is None else out.unionByName(one)
+    return out.join(F.broadcast(truth))
+
+
+__all__ = ["Choice", "bounds", "choose", "guarantee", "l0_estimate", "median_estimate", "replicated", "space_bound", "two_pass"]

@@ -4,46 +4,98 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import calibrate
 from ..functions.algebra import field_of_order
-from ..functions.hashing import placed
+from ..functions.hashing import hash_parts, placed
 from ..plans.sketch_plan import SketchPlan
 from .cells import sketch
-from .estimate import estimate
+from .estimate import empty_value, estimate
+from .exact import exact_support, states
 from .l0 import replicated
 
 
-def accuracy(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan, truth: float, replicates: int, eps: float = 0.2, rule: str = "expected") -> DataFrame:
-    """(replicates, bias, rse, rse_const, predicted_const, fail_rate) of the estimates under several seeds."""
+def accuracy(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan, replicates: int, eps: float = 0.2, rule: str = "expected") -> DataFrame:
+    """(replicates, bias, rse, rse_const, predicted_const, fail_rate) of the estimates under several seeds, against the exact support."""
     found = estimate(replicated(updates, keys, delta, plan, replicates), plan, ["replicate"], rule=rule)
-    error = F.col("estimate") / F.lit(float(truth)) - 1
+    truth = exact_support(updates, keys, delta, plan.field).select("l0")
+    found = found.join(F.broadcast(truth))  # one row
+    error = F.col("estimate") / F.col("l0") - 1
     out = found.agg(F.count("*").alias("replicates"), F.avg(error).alias("bias"), F.stddev_samp(error).alias("rse"), F.avg((F.abs(error) > eps).cast("int")).alias("fail_rate"))
     root = math.sqrt(plan.rows)
     return out.select("replicates", F.round("bias", 6).alias("bias"), F.round("rse", 6).alias("rse"), F.round(F.col("rse") * root, 6).alias("rse_const"), F.lit(round(plan.relative_error * root, 6)).alias("predicted_const"), F.round("fail_rate", 6).alias("fail_rate"))
 
 
-def cell_law(cells: DataFrame, plan: SketchPlan, truth: float, replicates: int) -> DataFrame:
-    """(level, live, expected): share of cells of each level that are live, beside the law."""
-    shares = cells.groupBy("level").agg((F.count("*") / F.lit(plan.rows * replicates)).alias("live"))
-    expected = (1 - F.exp(-F.lit(float(truth)) * F.pow(F.lit(2.0), -F.col("level")) / F.lit(plan.rows))) * F.lit(calibrate.survival(plan.field.order))
+def cell_law(cells: DataFrame, plan: SketchPlan, truth: DataFrame, replicates: int) -> DataFrame:
+    """(level, live, expected): share of cells of each level that are live, beside the law.  truth: one row, l0."""
+    shares = cells.groupBy("level").agg((F.count("*") / F.lit(plan.rows * replicates)).alias("live")).join(F.broadcast(truth.select("l0")))
+    expected = (1 - F.exp(-F.col("l0") * F.pow(F.lit(2.0), -F.col("level")) / F.lit(plan.rows))) * F.lit(calibrate.survival(plan.field.order))
     return shares.select("level", F.round("live", 6).alias("live"), F.round(expected, 6).alias("expected"))
 
 
+def register_law(spark: SparkSession, supports: list[int], plan: SketchPlan, levels: int = 20) -> DataFrame:
+    """(support, level, probability) that a register is non-zero, from its law."""
+    rows = [(n, i, round(calibrate.cell_nonzero_probability(n, i, 0.0, plan.rows, plan.field.order), 9)) for n in supports for i in range(1, levels + 1)]
+    return spark.createDataFrame(rows, "support long, level int, probability double")
+
+
 def cell_uniformity(cells: DataFrame, plan: SketchPlan) -> DataFrame:
     """(val, n): how often each non-zero value stands in a live cell."""
     return cells.groupBy("val").agg(F.count("*").alias("n"))
 
 
-def coupled_view(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan, seeds: int = 1) -> DataFrame:
+def chi_square(cells: DataFrame, plan: SketchPlan) -> DataFrame:
+    """(cells, chi_square, degrees) of the non-zero values against the even distribution; values that never occur count."""
+    counts = cell_uniformity(cells, plan)
+    n, kinds = F.sum("n"), plan.field.order - 1
+    return counts.agg(n.alias("cells"), F.round(F.sum(F.col("n") * F.col("n")) * F.lit(float(kinds)) / n - n, 6).alias("chi_square"), F.lit(kinds - 1).alias("degrees"))
+
+
+def coupled_view(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan) -> DataFrame:
     """(level, touched, live): cells that some live element falls in, and those that the sketch shows as non-zero."""
-    states = updates.groupBy(*keys).agg(F.bit_xor(delta).alias("x") if plan.field.p == 2 else F.pmod(F.sum(delta), F.lit(plan.field.p)).alias("x")).where("x <> 0")
+    live = states(updates, keys, delta, plan.field).where("x <> 0")
     names = [f"_k{i}" for i in range(len(keys))]
-    touched = placed(states.select(*[F.col(k).alias(n) for k, n in zip(keys, names, strict=True)]), names, plan).select("row", "level").distinct()
-    live = sketch(updates, keys, delta, plan).select("row", "level", F.lit(1).alias("live"))
-    return touched.join(live, ["row", "level"], "left").groupBy("level").agg(F.count("*").alias("touched"), F.count("live").alias("live"))
+    touched = placed(live.select(*[F.col(k).alias(n) for k, n in zip(keys, names, strict=True)]), names, plan).where(F.col("level") <= plan.levels).select("row", "level").distinct()
+    shown = sketch(updates, keys, delta, plan).select("row", "level", F.lit(1).alias("live"))
+    return touched.join(shown, ["row", "level"], "left").groupBy("level").agg(F.count("*").alias("touched"), F.count("live").alias("live"))
+
+
+def engine_costs(updates: DataFrame, keys: list[str], delta: str, plan: SketchPlan) -> DataFrame:
+    """(updates, keys, cells, cell_limit): what an exact count shuffles (a row a key) beside what a sketch leaves, and its limit for a task."""
+    counted = updates.where(F.col(delta).isNotNull()).agg(F.count("*").alias("updates"))
+    seen = states(updates, keys, delta, plan.field).agg(F.count("*").alias("keys"))
+    left = sketch(updates, keys, delta, plan).agg(F.count("*").alias("cells"))
+    return counted.join(F.broadcast(seen)).join(F.broadcast(left)).withColumn("cell_limit", F.lit(plan.rows * plan.levels).cast("long"))
+
+
+def position_law(spark: SparkSession, orders: list[float], steps: int, low: int = -40, high: int = 80) -> DataFrame:
+    """(field_order, shift, position, mass): the law of a row's highest non-zero position without offset, for a support of
+    2^shift elements a row, shifts from 0 in ``steps`` even steps below 1; from the register law alone.  Infinity as order 0."""
+    kinds = spark.createDataFrame([(0 if math.isinf(q) else int(q), calibrate.survival(q)) for q in orders], "field_order long, r double")
+    grid = kinds.join(F.broadcast(spark.range(steps).select((F.col("id") / F.lit(float(steps))).alias("shift")))).join(F.broadcast(spark.range(low, high + 1).select(F.col("id").cast("int").alias("position"))))
+    live = F.col("r") * (1 - F.exp(-F.pow(F.lit(2.0), F.col("shift") - F.col("position"))))
+    above = Window.partitionBy("field_order", "shift").orderBy(F.col("position").desc()).rowsBetween(Window.unboundedPreceding, -1)
+    # A cell that is surely live ends the product; its logarithm is bounded.
+    out = grid.withColumn("live", live).withColumn("_log", F.log(F.greatest(1 - F.col("live"), F.lit(1e-300))))
+    return out.select("field_order", "shift", "position", (F.col("live") * F.exp(F.coalesce(F.sum("_log").over(above), F.lit(0.0)))).alias("mass"))
+
+
+def periodic_part(law: DataFrame) -> DataFrame:
+    """(field_order, shift, excess): the mean highest position less log2 of the support a row.  Were the error free of a
+    periodic part, it would be the same for all shifts; supports that are a power of two apart have the same one."""
+    return law.groupBy("field_order", "shift").agg(F.round(F.sum(F.col("position") * F.col("mass")) - F.first("shift"), 7).alias("excess"))
+
+
+def moment_identity(law: DataFrame, exponents: list[float]) -> DataFrame:
+    """(field_order, t, observed, expected): E 2^(t W) over the offsets, for one element a row, beside base2_moment(t)."""
+    orders = [r["field_order"] for r in law.select("field_order").distinct().collect()]  # the few orders asked for
+    known = law.sparkSession.createDataFrame([(q, t, round(calibrate.base2_moment(t, calibrate.survival(q or math.inf)), 6)) for q in orders for t in exponents], "field_order long, t double, expected double")
+    # An offset thins the support by its power of two, and is added to the position: a negative shift.
+    moved = law.join(F.broadcast(known), "field_order")
+    means = moved.groupBy("field_order", "t", "expected", "shift").agg(F.sum(F.pow(F.lit(2.0), F.col("t") * (F.col("position") - F.col("shift"))) * F.col("mass")).alias("m"))
+    return means.groupBy("field_order", "t", "expected").agg(F.round(F.avg("m"), 6).alias("observed")).select("field_order", "t", "observed", "expected")
 
 
 def constants_table(spark: SparkSession, orders: list[float]) -> DataFrame:
@@ -55,16 +107,32 @@ def constants_table(spark: SparkSession, orders: list[float]) -> DataFrame:
     return spark.createDataFrame(rows, "field_order long, psi_mean double, psi_var double, factor double, error double")
 
 
-def order_sweep(updates: DataFrame, keys: list[str], orders: list[int], rows: list[int], truth: float, replicates: int) -> DataFrame:
-    """(field_order, m, bias, rse_const, predicted_const): distinct keys inserted once under each order and size."""
-    seen = updates.select(*keys).distinct().withColumn("delta", F.lit(1).cast("long"))
-    out = None
-    for q in orders:
-        for m in rows:
-            plan = SketchPlan(m, field_of_order(q), offsets=True)
-            one = accuracy(seen, keys, "delta", plan, truth, replicates).select(F.lit(q).cast("long").alias("field_order"), F.lit(m).alias("m"), "bias", "rse_const", "predicted_const")
-            out = one if out is None else out.unionByName(one)
-    return out
+def sweep_shapes(orders: list[int], rows: list[int]) -> list[tuple]:
+    """(field_order, m, factor, value of an empty row, predicted constant) of every combination."""
+    plans = [SketchPlan(m, field_of_order(q)) for q in orders for m in rows]
+    return [(p.field.order, p.rows, p.factor, empty_value(p, "expected"), round(p.relative_error * math.sqrt(p.rows), 6)) for p in plans]
+
+
+def order_sweep(updates: DataFrame, keys: list[str], orders: list[int], rows: list[int], replicates: int, hash: str = "fast") -> DataFrame:
+    """(field_order, m, bias, rse_const, predicted_const): distinct keys inserted once, under every order and size.
+
+    One pass: a key is hashed once for each seed, and one aggregate serves all fields of a characteristic: sums
+    of coefficients by digit, or their exclusive or."""
+    base = SketchPlan(max(rows), field_of_order(2), hash=hash)
+    seen = updates.select(*keys).dropna().distinct()
+    truth = seen.agg(F.count("*").alias("l0"))
+    hashed = hash_parts(seen.withColumn("replicate", F.explode(F.sequence(F.lit(1), F.lit(replicates)))), keys, base, F.col("replicate"))
+    sized = hashed.withColumn("m", F.explode(F.array(*[F.lit(m) for m in rows]))).select("replicate", "m", F.pmod("row_hash", "m").cast("int").alias("row"), "level", "coef_hash").where(F.col("level") <= base.levels)
+    fields = [field_of_order(q) for q in orders]
+    odd = {f.order: [F.sum(F.pmod(F.floor(F.pmod("coef_hash", F.lit(f.order)) / F.lit(f.p**i)), F.lit(f.p))).alias(f"s{f.order}_{i}") for i in range(f.k)] for f in fields if f.p > 2}
+    cells = sized.groupBy("m", "replicate", "row", "level").agg(F.bit_xor("coef_hash").alias("x"), *[c for part in odd.values() for c in part])
+    live = [F.when((F.col("x").bitwiseAND(F.lit(f.order - 1)) != 0) if f.p == 2 else F.greatest(*[F.pmod(f"s{f.order}_{i}", F.lit(f.p)) for i in range(f.k)], F.lit(0)) != 0, F.lit(f.order).cast("long")) for f in fields]
+    found = cells.select("m", "replicate", "row", "level", F.explode(F.array_compact(F.array(*live))).alias("field_order"))
+    tops = found.groupBy("field_order", "m", "replicate", "row").agg(F.max("level").alias("top")).groupBy("field_order", "m", "replicate").agg(F.sum("top").alias("tops"), F.count("*").alias("present"))
+    shapes = updates.sparkSession.createDataFrame(sweep_shapes(orders, rows), "field_order long, m int, factor double, empty double, predicted_const double")
+    value = F.col("factor") * F.pow(F.lit(2.0), (F.col("tops") + (F.col("m") - F.col("present")) * F.col("empty")) / F.col("m"))
+    error = tops.join(F.broadcast(shapes), ["field_order", "m"]).join(F.broadcast(truth)).withColumn("e", value / F.col("l0") - 1)
+    return error.groupBy("field_order", "m", "predicted_const").agg(F.round(F.avg("e"), 6).alias("bias"), F.round(F.stddev_samp("e") * F.sqrt(F.col("m").cast("double")), 6).alias("rse_const")).select("field_order", "m", "bias", "rse_const", "predicted_const")
 
 
 def simulate_ideal(spark: SparkSession, elements: int, plan: SketchPlan, replicates: int = 1, low: int = -8) -> DataFrame:

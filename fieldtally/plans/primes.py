@@ -7,6 +7,8 @@ import random
 
 import numpy as np
 
+from ..functions.algebra import is_prime
+
 
 def primes_up_to(n: int) -> np.ndarray:
     sieve = np.ones(max(n + 1, 2), bool)
@@ -17,15 +19,28 @@ def primes_up_to(n: int) -> np.ndarray:
     return np.flatnonzero(sieve)
 
 
+#: Up to here primes are sieved, beyond it candidates are tested one by one.
+SIEVED = 1 << 22
+
+
 def first_primes(count: int, least: float = 2) -> list[int]:
-    """The ``count`` smallest primes of ``least`` or more."""
-    limit = max(32, int(least * 1.2 + count * 20))
-    while True:
-        found = primes_up_to(limit)
-        found = found[found >= least]
-        if len(found) >= count:
-            return found[:count].tolist()
-        limit *= 2
+    """The ``count`` smallest primes of ``least`` or more.  No memory but the list's, however large ``least``."""
+    if least < SIEVED:
+        limit = max(32, int(least * 1.2 + count * 20))
+        while limit < 4 * SIEVED:
+            found = primes_up_to(limit)
+            found = found[found >= least]
+            if len(found) >= count:
+                return found[:count].tolist()
+            limit *= 2
+    out, n = [], max(3, math.ceil(least)) | 1
+    if least <= 2:
+        out.append(2)
+    while len(out) < count:
+        if is_prime(n):
+            out.append(n)
+        n += 2
+    return out[:count]
 
 
 def above_max(linf: int) -> int:
@@ -50,11 +65,34 @@ def pool_by_power_mean(power_mean: float, eps: float) -> list[int]:
     return pool_by_mean(power_mean, eps)
 
 
-def pool_wide(linf: float, eps: float) -> list[int]:
-    """The range of the earlier estimator: all primes from D to D^3, D = log2(linf) / eps."""
+def wide_range(linf: float, eps: float) -> tuple[int, int]:
+    """The range of the earlier estimator's primes: from D to D^3, D = log2(linf) / eps."""
     d = max(2.0, math.log2(max(2.0, linf)) / eps)
-    found = primes_up_to(int(d**3))
-    return found[found >= d].tolist()
+    return math.ceil(d), int(d**3)
+
+
+def pool_wide(linf: float, eps: float) -> list[int]:
+    """All primes of that range."""
+    low, high = wide_range(linf, eps)
+    found = primes_up_to(high)
+    return found[found >= low].tolist()
+
+
+def draw_between(low: int, high: int, seed: int) -> int:
+    """A uniform prime of a range that has one, without listing them: numbers are drawn until one is prime."""
+    source = random.Random(f"between/{seed}")
+    while not is_prime(n := source.randint(low, high)):
+        pass
+    return n
+
+
+def count_between(low: int, high: int) -> int:
+    """How many primes lie in a range: counted up to 2^27, else by the logarithmic integral."""
+    if high < 1 << 27:
+        found = primes_up_to(high)
+        return int((found >= low).sum())
+    x = np.exp(np.linspace(math.log(max(low, 2)), math.log(high), 20_001))
+    return int(np.trapezoid(1 / np.log(x), x))
 
 
 def discounted(pool, bound: float, eps: float) -> list[int]:

@@ -36,7 +36,7 @@ class SketchPlan:
         return hashlib.sha256(parts.encode()).hexdigest()[:16]
 
     def row_offsets(self) -> list[float]:
-        """One offset in [0, 1) for each row (zeros without offsets): spread evenly, in seeded order."""
+        """One offset in [0, 1) for each row (zeros without offsets), drawn from the seed."""
         if not self.offsets:
             return [0.0] * self.rows
         digest = lambda i: hashlib.sha256(f"offset/{self.seed}/{i}".encode()).digest()
