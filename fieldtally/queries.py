@@ -32,10 +32,28 @@ def sql_cells(source: str, keys: list[str], plan: SketchPlan, by: str = "") -> s
     return f"SELECT * FROM (SELECT {head}row, level, {sql_fold('v', plan.field)} AS val FROM ({values}) GROUP BY {head}row, level) WHERE val <> 0"
 
 
+def sql_cells_large(source: str, keys: list[str], plan: SketchPlan, delta_bits: int) -> str:
+    """Cells over a binary field without tables, for deltas of few bits: the coefficient's multiples by powers of x, column by column."""
+    k = plan.field.k
+    low = plan.field.modulus - (1 << k)
+    rows = f"SELECT *, coef AS c0 FROM ({sql_placed(source, keys, plan)}) WHERE delta <> 0"
+    for i in range(1, delta_bits):
+        rows = f"SELECT *, xor((c{i - 1} & {(1 << k - 1) - 1}) << 1, (c{i - 1} >> {k - 1}) * {low}) AS c{i} FROM ({rows})"
+    value = "0::BIGINT"
+    for i in range(delta_bits):
+        value = f"xor({value}, ((delta >> {i}) & 1) * c{i})"
+    return f"SELECT * FROM (SELECT row, level, bit_xor({value}) AS val FROM ({rows}) GROUP BY row, level) WHERE val <> 0"
+
+
 def _rounded(found: DataFrame, by: tuple[str, ...] = (), digits: int = 3) -> DataFrame:
     return found.select(*by, F.round("estimate", digits).alias("estimate"), "empty_rows")
 
 
+def _narrow(frame: DataFrame, *names: str) -> DataFrame:
+    """Exact DECIMAL results as LONG, which the given tables' are."""
+    return frame.withColumns({n: F.col(n).cast("long") for n in names})
+
+
 def _states_sql(w, field=None) -> str:
     keys = ", ".join(w.keys)
     value = "sum(delta)" if field is None else sql_fold(sql_embed("delta", field), field)
@@ -52,13 +70,14 @@ def _exact() -> None:
     for w in WORKLOADS.values():
         field = None if w.algebra == "integer" else field_of_order(w.algebra)
         _add(f"exact_{w.name}", lambda s, d, w=w, f=field: exact.exact_support(w.read(s, d), w.keys, "delta", f), f"SELECT count(*) AS n_keys, coalesce(sum(CASE WHEN x <> 0 THEN 1 ELSE 0 END), 0)::BIGINT AS l0 FROM ({_states_sql(w, field)})")
-        _add(f"norms_{w.name}", lambda s, d, w=w: exact.exact_norms(w.read(s, d), w.keys, "delta"), f"SELECT count(*) AS n_keys, sum(CASE WHEN x <> 0 THEN 1 ELSE 0 END)::BIGINT AS l0, sum(abs(x))::BIGINT AS l1, max(abs(x))::BIGINT AS linf, round(sum(abs(x)) / nullif(sum(CASE WHEN x <> 0 THEN 1 ELSE 0 END), 0), 6) AS mean FROM ({_states_sql(w)})")
-    w = WORKLOADS["part_qty"]
-    _add("power_mean_part", lambda s, d, w=w: exact.power_mean(w.read(s, d), w.keys, "delta", 0.5), f"SELECT round(pow(avg(pow(abs(x)::DOUBLE, 0.5)), 2.0), 6) AS power_mean FROM ({_states_sql(w)}) WHERE x <> 0")
+        _add(f"norms_{w.name}", lambda s, d, w=w: _narrow(exact.exact_norms(w.read(s, d), w.keys, "delta"), "l1", "linf"), f"SELECT count(*) AS n_keys, sum(CASE WHEN x <> 0 THEN 1 ELSE 0 END)::BIGINT AS l0, sum(abs(x))::BIGINT AS l1, max(abs(x))::BIGINT AS linf, round(sum(abs(x)) / nullif(sum(CASE WHEN x <> 0 THEN 1 ELSE 0 END), 0), 6) AS mean FROM ({_states_sql(w)})")
+    for name, work in (("part", "part_qty"), ("words", "word_diff")):
+        w = WORKLOADS[work]
+        _add(f"power_mean_{name}", lambda s, d, w=w: exact.power_mean(w.read(s, d), w.keys, "delta", 0.5), f"SELECT round(pow(avg(pow(abs(x)::DOUBLE, 0.5)), 2.0), 6) AS power_mean FROM ({_states_sql(w)}) WHERE x <> 0")
     for name in ("word_diff", "net_qty"):
         w = WORKLOADS[name]
         ranked = f"SELECT abs(x) AS s, row_number() OVER (ORDER BY abs(x) DESC) AS i, floor(count(*) OVER () * 0.05 / 2)::BIGINT AS cut FROM ({_states_sql(w)}) WHERE x <> 0"
-        _add(f"discounted_norms_{name}", lambda s, d, w=w: exact.discounted_norms(w.read(s, d), w.keys, "delta", 0.05), f"SELECT max(cut) AS cut, sum(CASE WHEN i > cut THEN 1 ELSE 0 END)::BIGINT AS l0, sum(CASE WHEN i > cut THEN s ELSE 0 END)::BIGINT AS l1, max(CASE WHEN i > cut THEN s END)::BIGINT AS linf FROM ({ranked})")
+        _add(f"discounted_norms_{name}", lambda s, d, w=w: _narrow(exact.discounted_norms(w.read(s, d), w.keys, "delta", 0.05), "l1", "linf"), f"SELECT max(cut) AS cut, sum(CASE WHEN i > cut THEN 1 ELSE 0 END)::BIGINT AS l0, sum(CASE WHEN i > cut THEN s ELSE 0 END)::BIGINT AS l1, max(CASE WHEN i > cut THEN s END)::BIGINT AS linf FROM ({ranked})")
 
 
 _GRID = [2, 3, 5, 7, 11, 101]
@@ -91,7 +110,21 @@ def _sketches() -> None:
         made = sql_cells(w.sql, w.keys, plan)
         _add(f"field_cells_{name}", lambda s, d, w=w, p=plan: cells.sketch(w.read(s, d), w.keys, "delta", p), made)
         _add(f"field_estimate_{name}", lambda s, d, w=w, p=plan: _rounded(estimate(cells.sketch(w.read(s, d), w.keys, "delta", p), p)), sql_estimate(made, plan))
+    w, plan = WORKLOADS["mask_order"], _plan(2**32, 64)
+    made = sql_cells_large(w.sql, w.keys, plan, 5)
+    _add("field_cells_gf2_32", lambda s, d, w=w, p=plan: cells.sketch(w.read(s, d), w.keys, "delta", p), made)
+    _add("field_estimate_gf2_32", lambda s, d, w=w, p=plan: _rounded(estimate(cells.sketch(w.read(s, d), w.keys, "delta", p), p)), sql_estimate(made, plan))
+    # A prime beyond 2^31: products and sums in DECIMAL.
+    w = WORKLOADS["net_qty"]
+    plan = SketchPlan(64, prime_field(primes.above_max(10**12)), hash="portable")
+    _add("field_cells_large_prime", lambda s, d, w=w, p=plan: cells.sketch(w.read(s, d), w.keys, "delta", p), sql_cells(w.sql, w.keys, plan))
     w = WORKLOADS["kept_orders"]
+    plan = _plan(101, 64)
+    bounds = f"SELECT estimate, round(estimate, 3) AS e FROM ({sql_estimate(sql_cells(w.sql, w.keys, plan), plan, digits=9)})"
+    _add("field_estimate_bounds", lambda s, d, w=w, p=plan: estimate(cells.sketch(w.read(s, d), w.keys, "delta", p), p).select(*[F.round(c, 3).alias(c) for c in ("estimate", "lo", "hi")], F.round("rse", 6).alias("rse")), f"SELECT e AS estimate, round(greatest(0.0, estimate * {1 - 2 * plan.relative_error!r}), 3) AS lo, round(estimate * {1 + 2 * plan.relative_error!r}, 3) AS hi, round({plan.relative_error!r}::DOUBLE, 6) AS rse FROM ({bounds})")
+    packed = lambda s, d, w=w, p=plan: cells.pack_bits(cells.sketch(w.read(s, d), w.keys, "delta", p), p)
+    _add("pack_bits_round_trip", lambda s, d, p=plan, f=packed: cells.unpack_bits(f(s, d), p), sql_cells(w.sql, w.keys, plan))
+    _add("pack_bits_size", lambda s, d, p=plan, f=packed: f(s, d).select(F.octet_length("bits").cast("long").alias("octets")), f"SELECT {64 * 48 * 7 // 8}::BIGINT AS octets")
     plan = _plan(101, 64, offsets=True)
     _add("field_estimate_offsets", lambda s, d, p=plan: _rounded(estimate(cells.sketch(w.read(s, d), w.keys, "delta", p), p)), sql_estimate(sql_cells(w.sql, w.keys, plan), plan))
     plan = _plan(101, 64)
@@ -171,16 +204,36 @@ def _grouped(plan: SketchPlan) -> None:
     _add("change_log_lag", lambda s, d: exact.exact_support(change_log(table(s, d, "orders"), "o_custkey", "o_orderkey", "o_orderpriority"), ["o_custkey", "value"], "delta"), f"SELECT count(*) AS n_keys, sum(CASE WHEN x <> 0 THEN 1 ELSE 0 END)::BIGINT AS l0 FROM (SELECT k, v, sum(delta) AS x FROM (SELECT k, v, 1 AS delta FROM ({logged}) UNION ALL SELECT k, old, -1 FROM ({logged}) WHERE old IS NOT NULL) GROUP BY k, v)")
 
 
+#: Scheme -> (workload, bounds that hold for every size of the given tables, so that both engines draw the same primes).
+SCHEMES = {
+    "small": ("net_qty", {"linf": 1000}), "above_max": ("net_qty", {"linf": 1000}), "above_mean": ("net_qty", {"mean": 60}), "above_power_mean": ("word_diff", {"power_mean": 3}),
+    "toggle": ("toggle_order", {}), "wide": ("net_qty", {"linf": 1000}),
+    "discount_small": ("word_diff", {"linf": 4}), "discount_above_max": ("word_diff", {"linf": 4}), "discount_above_mean": ("word_diff", {"mean": 2}), "discount_above_power_mean": ("word_diff", {"power_mean": 2}),
+}
+EPS, DRAWS = 0.3, 5
+
+
 def _schemes() -> None:
-    picks = {"small": ("net_qty", {"linf": 1000}), "above_mean": ("net_qty", {"mean": 60}), "above_max": ("net_qty", {"linf": 1000}), "above_power_mean": ("part_qty", {"power_mean": 800}), "toggle": ("toggle_order", {}), "wide": ("net_qty", {"linf": 1000}), "discount_above_max": ("word_diff", {"linf": 13})}
-    for scheme, (work, known) in picks.items():
-        w, choice = WORKLOADS[work], l0.choose(scheme, 0.3, 1, rows=64, **known)
-        plan = SketchPlan(64, prime_field(choice.prime), hash="portable")
+    for scheme, (work, known) in SCHEMES.items():
+        w, choices = WORKLOADS[work], [l0.choose(scheme, EPS, n, **known) for n in range(1, DRAWS + 1)]
+        choice, toggled = choices[0], scheme == "toggle"
+        plan = SketchPlan(choice.rows, prime_field(choice.prime), hash="portable")
         sql = sql_estimate(sql_cells(w.sql, w.keys, plan), plan)
         _add(f"l0_estimate_{scheme}", lambda s, d, w=w, c=choice: l0.l0_estimate(w.read(s, d), w.keys, "delta", c, hash="portable").select(F.round("estimate", 3).alias("estimate"), "empty_rows", F.col("prime").cast("long").alias("prime"), F.col("pool").cast("long").alias("pool")), f"SELECT estimate, empty_rows, {choice.prime}::BIGINT AS prime, {choice.pool}::BIGINT AS pool FROM ({sql})")
+        # How often the estimate is within eps of the truth, with the rows that the guarantee asks for.
+        drawn = [sql_estimate(sql_cells(w.sql, w.keys, p), p) for p in (SketchPlan(c.rows, prime_field(c.prime), seed=n, hash="portable") for n, c in enumerate(choices, 1))]
+        truth = f"SELECT count(*) AS l0 FROM ({_states_sql(w, prime_field(2) if toggled else None)}) WHERE x <> 0"
+        within = lambda s, d, w=w, c=choices, t=toggled: l0.guarantee(_toggles(w.read(s, d), w.keys) if t else w.read(s, d), w.keys, "delta", c, "portable").agg(F.count("*").alias("draws"), F.count_if(F.abs(F.col("estimate") - F.col("l0")) <= EPS * F.col("l0")).alias("within"))
+        _add(f"l0_guarantee_{scheme}", within, f"SELECT count(*) AS draws, sum(CASE WHEN abs(estimate - l0) <= {EPS} * l0 THEN 1 ELSE 0 END)::BIGINT AS within FROM ({' UNION ALL '.join(f'SELECT estimate FROM ({x})' for x in drawn)}) CROSS JOIN ({truth})")
     w = WORKLOADS["net_qty"]
-    _add("l0_two_pass", lambda s, d: l0.two_pass(w.read(s, d), w.keys, "delta", 0.3).select("estimate", "prime", "rows"))
-    _add("l0_median", lambda s, d: l0.median_estimate(WORKLOADS["kept_orders"].read(s, d), ["l_orderkey"], "delta", SketchPlan(64, prime_field(101))))
+    _add("l0_two_pass", lambda s, d: l0.two_pass(w.read(s, d), w.keys, "delta", EPS).join(F.broadcast(exact.exact_support(w.read(s, d), w.keys, "delta"))).select("l0", (F.abs(F.col("estimate") - F.col("l0")) <= EPS * F.col("l0")).cast("int").alias("within")), f"SELECT count(*) AS l0, 1 AS within FROM ({_states_sql(w)}) WHERE x <> 0")
+    k, nine = WORKLOADS["kept_orders"], SketchPlan(64, prime_field(101), hash="portable")
+    _add("l0_median", lambda s, d: l0.median_estimate(k.read(s, d), k.keys, "delta", nine).select(F.round("estimate", 3).alias("estimate"), "replicates"), f"SELECT round(median(estimate), 3) AS estimate, count(*) AS replicates FROM ({sql_estimate(sql_cells_replicated(k.sql, k.keys, nine, 9), nine, ['replicate'], digits=9)})")
+
+
+def _toggles(updates: DataFrame, keys: list[str]) -> DataFrame:
+    """Interleaved inserts and deletes: each key's toggles as 0 or 1, whose support the two-element field counts exactly."""
+    return exact.states(updates, keys, "delta", prime_field(2)).withColumnRenamed("x", "delta")
 
 
 def _baselines() -> None:
@@ -195,38 +248,35 @@ def _baselines() -> None:
     k = WORKLOADS["kept_orders"]
     kept = f"SELECT DISTINCT row, level FROM ({sql_placed('SELECT * FROM (' + k.sql + ') WHERE delta > 0', k.keys, plan)})"
     _add("set_semantics_estimate", lambda s, d: baselines.bit_estimate(baselines.bit_table(k.read(s, d).where("delta > 0"), k.keys, plan), plan, "highest").select(F.round("estimate", 3).alias("estimate")), f"SELECT round({highest!r} * pow(2.0, sum(top) / 64), 3) AS estimate FROM (SELECT row, max(level) AS top FROM ({kept}) GROUP BY row)")
-    _add("hll_compare", lambda s, d: baselines.hll_estimate(k.read(s, d), k.keys))
-    _add("prior_l0", lambda s, d: baselines.prior_l0(k.read(s, d), k.keys, "delta", 0.05, 1000))
-
-
-_ORDERS = [2, 3, 4, 5, 7, 8, 9, 256, 2**32, math.inf]
+    seen = lambda s, d: k.read(s, d).agg(F.countDistinct(*k.keys).alias("inserted"))
+    # Its registers are this engine's own affair: both sides tell that it counts what was inserted, and so misses the deletions.
+    _add("hll_compare", lambda s, d: baselines.hll_estimate(k.read(s, d), k.keys).join(F.broadcast(seen(s, d))).join(F.broadcast(exact.exact_support(k.read(s, d), k.keys, "delta").select("l0"))).select("inserted", "l0", (F.abs(F.col("estimate") - F.col("inserted")) <= 0.05 * F.col("inserted")).cast("int").alias("counts_inserted")), f"SELECT count(*) AS inserted, sum(CASE WHEN x <> 0 THEN 1 ELSE 0 END)::BIGINT AS l0, 1 AS counts_inserted FROM ({_states_sql(k)})")
+    old = baselines.prior_plan(0.05, 1000, hash="portable")
+    _add("prior_l0", lambda s, d: baselines.prior_l0(k.read(s, d), k.keys, "delta", 0.05, 1000, hash="portable").select(F.round("estimate", 3).alias("estimate")), f"SELECT round(estimate, 3) AS estimate FROM ({baselines.sql_prior_l0(sql_cells(k.sql, k.keys, old), old)})")
 
 
 def _measures() -> None:
-    _add("constants_table", lambda s, d: measures.constants_table(s, _ORDERS))
     k = WORKLOADS["kept_orders"]
     plan = SketchPlan(64, prime_field(101), hash="portable")
     # Replicates for the oracle: the seed is part of the hash's tag.
     many = sql_cells_replicated(k.sql, k.keys, plan, 12)
     _add("replicate_estimates", lambda s, d: _rounded(estimate(l0.replicated(k.read(s, d), k.keys, "delta", plan, 12), plan, ["replicate"]), ("replicate",)), sql_estimate(many, plan, ["replicate"]))
-    truth = "(SELECT count(*) FROM (" + _states_sql(k) + ") WHERE x <> 0)"
-    _add("cell_law", lambda s, d: _law(s, d, k, plan), f"SELECT level, round(n / (64 * 12), 6) AS live, round((1 - exp(-{truth}::DOUBLE * pow(2.0, -level) / 64)) * {calibrate.survival(101)!r}, 6) AS expected FROM (SELECT level, count(*) AS n FROM ({many}) GROUP BY level)")
+    # The support of states modulo the prime, which no kept line count reaches.
+    truth = f"(SELECT count(*) FROM ({_states_sql(k)}) WHERE x <> 0)"
+    _add("cell_law", lambda s, d: measures.cell_law(l0.replicated(k.read(s, d), k.keys, "delta", plan, 12), plan, exact.exact_support(k.read(s, d), k.keys, "delta"), 12), f"SELECT level, round(n / (64 * 12), 6) AS live, round((1 - exp(-{truth}::DOUBLE * pow(2.0, -level) / 64)) * {calibrate.survival(101)!r}, 6) AS expected FROM (SELECT level, count(*) AS n FROM ({many}) GROUP BY level)")
     five = SketchPlan(64, prime_field(5), hash="portable")
-    _add("cell_uniformity", lambda s, d: measures.cell_uniformity(l0.replicated(k.read(s, d), k.keys, "delta", five, 12), five), f"SELECT val, count(*) AS n FROM ({sql_cells_replicated(k.sql, k.keys, five, 12)}) GROUP BY val")
+    values = f"SELECT val, count(*) AS n FROM ({sql_cells_replicated(k.sql, k.keys, five, 12)}) GROUP BY val"
+    _add("cell_uniformity", lambda s, d: measures.cell_uniformity(l0.replicated(k.read(s, d), k.keys, "delta", five, 12), five), values)
+    _add("chi_square", lambda s, d: measures.chi_square(l0.replicated(k.read(s, d), k.keys, "delta", five, 12), five), f"SELECT sum(n)::BIGINT AS cells, round(sum(n * n) * 4.0::DOUBLE / sum(n) - sum(n), 6) AS chi_square, 3 AS degrees FROM ({values})")
     t, two = WORKLOADS["toggle_order"], _plan(2, 256)
     touched = f"SELECT DISTINCT row, level FROM ({sql_placed('SELECT l_orderkey, 1 AS delta FROM (' + _states_sql(t, binary_field(1)) + ') WHERE x <> 0', t.keys, two)})"
     _add("coupled_view", lambda s, d: measures.coupled_view(t.read(s, d), t.keys, "delta", two), f"SELECT level, count(*) AS touched, count(c.val) AS live FROM ({touched}) t LEFT JOIN ({sql_cells(t.sql, t.keys, two)}) c USING (row, level) GROUP BY level")
     _add("memory_bits", lambda s, d: s.createDataFrame([(q, m, SketchPlan(m, field_of_order(q)).memory_bits) for q in (2, 9, 101, 256) for m in (64, 256)], "field_order long, m long, bits long"), "SELECT q AS field_order, m, m * 48 * b AS bits FROM (VALUES (2::BIGINT, 1::BIGINT), (9, 4), (101, 7), (256, 8)) f(q, b) CROSS JOIN (VALUES (64::BIGINT), (256)) s(m)")
     _add("space_bounds", lambda s, d: s.createDataFrame([(x, round(space_bound(x, 0.1, 2.0**40, 1000, 50), 3)) for x in ("small", "above_max", "above_mean", "toggle")], "scheme string, bits double"), "SELECT scheme, round(4000 * f, 3) AS bits FROM (VALUES ('small', log2(10) + log2(log2(1000))), ('above_max', log2(1000)), ('above_mean', greatest(log2(50), log2(10))), ('toggle', 1.0)) v(scheme, f)")
-    fast = SketchPlan(64, prime_field(101), offsets=True)
-    _add("replicate_accuracy", lambda s, d: measures.accuracy(k.read(s, d), k.keys, "delta", fast, exact.exact_support(k.read(s, d), k.keys, "delta").first()["l0"], 60))
-    _add("order_sweep", lambda s, d: measures.order_sweep(t.read(s, d), t.keys, [2, 3, 9, 256], [64], exact.exact_support(t.read(s, d), t.keys, "delta", prime_field(1_000_003)).first()["l0"], 40))
-
-
-def _law(s, d, w, plan) -> DataFrame:
-    found = l0.replicated(w.read(s, d), w.keys, "delta", plan, 12)
-    truth = exact.exact_support(w.read(s, d), w.keys, "delta").first()["l0"]
-    return measures.cell_law(found, plan, truth, 12)
+    _add("engine_costs", lambda s, d: measures.engine_costs(k.read(s, d), k.keys, "delta", plan), f"SELECT (SELECT count(*) FROM ({k.sql})) AS updates, (SELECT count(*) FROM ({_states_sql(k)})) AS keys, (SELECT count(*) FROM ({sql_cells(k.sql, k.keys, plan)})) AS cells, {64 * 48}::BIGINT AS cell_limit")
+    moved = SketchPlan(64, prime_field(101), hash="portable", offsets=True)
+    errors = f"SELECT estimate / {truth} - 1 AS e FROM ({sql_estimate(sql_cells_replicated(k.sql, k.keys, moved, 40), moved, ['replicate'], digits=9)})"
+    _add("replicate_accuracy", lambda s, d: measures.accuracy(k.read(s, d), k.keys, "delta", moved, 40), f"SELECT count(*) AS replicates, round(avg(e), 6) AS bias, round(stddev_samp(e), 6) AS rse, round(stddev_samp(e) * 8, 6) AS rse_const, {round(moved.relative_error * 8, 6)!r}::DOUBLE AS predicted_const, round(avg(CASE WHEN abs(e) > 0.2 THEN 1.0 ELSE 0.0 END), 6) AS fail_rate FROM ({errors})")
 
 
 def sql_cells_replicated(source: str, keys: list[str], plan: SketchPlan, replicates: int) -> str:
@@ -235,34 +285,15 @@ def sql_cells_replicated(source: str, keys: list[str], plan: SketchPlan, replica
     return f"SELECT * FROM (SELECT replicate, row, level, {sql_fold('v', plan.field)} AS val FROM ({values}) GROUP BY replicate, row, level) WHERE val <> 0"
 
 
-def stream_vs_batch(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(side, cells, digest): events sketched as a stream of small batches and as one batch."""
-    import tempfile
-
-    from .streaming import stream
+for _part in (_exact, _primes, _sketches, _baselines, _measures):
+    _part()
 
-    w = WORKLOADS["user_hour_toggle"]
-    plan = SketchPlan(64, prime_field(2))
-    shared = (spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.mkdtemp()}").rstrip("/")
-    root = f"{shared}/stream-{spark.sparkContext.applicationId}-{abs(hash(sf_dir))}"
-    events = spark.read.parquet(f"{sf_dir}/events.parquet")
-    source = f"{root}/events"
-    events.select("event_id", "user_id", "ts").repartition(4).write.mode("overwrite").parquet(source)
-    live = spark.readStream.schema("event_id long, user_id long, ts timestamp_ntz").option("maxFilesPerTrigger", 1).parquet(source)
-    updates = live.select("user_id", F.date_format(F.date_trunc("hour", "ts"), "yyyy-MM-dd HH").alias("hour"), F.lit(1).cast("long").alias("delta"))
-    query = stream.into_batches(updates, w.keys, "delta", plan, f"{root}/cells", f"{root}/log-{events.rdd.getNumPartitions()}").trigger(availableNow=True).start()
-    query.awaitTermination()
-    sides = {"stream": stream.from_batches(spark, f"{root}/cells", plan), "batch": cells.sketch(w.read(spark, sf_dir), w.keys, "delta", plan)}
-    out = None
-    for name, found in sides.items():
-        one = found.agg(F.lit(name).alias("side"), F.count("*").alias("cells"), F.sum(F.pmod(F.xxhash64("row", "level", "val"), F.lit(1 << 31))).alias("digest"))
-        out = one if out is None else out.unionByName(one)
-    return out
 
+from . import queries_analysis, queries_stream  # noqa: E402
 
-for _part in (_exact, _primes, _sketches, _baselines, _measures):
-    _part()
-QUERIES["stream_vs_batch"] = stream_vs_batch
+for _more in (queries_analysis, queries_stream):
+    for _name, (_run, _sql) in _more.entries().items():
+        _add(_name, _run, _sql)
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,7 +3,7 @@ import math
 import pytest
 
 from fieldtally.functions import calibrate
-from fieldtally.functions.algebra import binary_field, check_uniform, field_of_order, find_irreducible, monoid
+from fieldtally.functions.algebra import binary_field, check_uniform, field_of_order, find_irreducible, is_prime, monoid
 from fieldtally.plans import primes
 from fieldtally.plans.sketch_plan import SketchPlan
 
@@ -47,6 +47,21 @@ def test_irreducible_polynomials():
     assert binary_field(32).order == 2**32
 
 
+def test_primality():
+    sieved = set(primes.primes_up_to(5000).tolist())
+    assert all(is_prime(n) == (n in sieved) for n in range(5001))
+    assert is_prime(2**61 - 1) and not is_prime(3215031751) and not is_prime((2**31 - 1) * (2**19 - 1)) and not is_prime(2**62)
+    assert primes.above_max(2**31) == 2147483659 and primes.first_primes(2, 10**12) == [1000000000039, 1000000000061]
+    assert field_of_order(2**31 - 1).k == 1 and field_of_order(3**7).p == 3
+
+
+def test_drawn_from_a_range():
+    low, high = primes.wide_range(1000, 0.05)
+    drawn = [primes.draw_between(low, high, seed) for seed in range(200)]
+    assert all(low <= p <= high and is_prime(p) for p in drawn) and max(drawn) > high * 0.9
+    assert primes.count_between(low, high) == 534_597
+
+
 def test_monoids():
     assert monoid("integer", for_sketch=True).signed
     with pytest.raises(ValueError):

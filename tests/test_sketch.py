@@ -1,3 +1,5 @@
+from decimal import Decimal
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -74,10 +76,46 @@ def test_extreme_deltas(spark):
     assert states == {k: v % 101 for k, v in rows}
 
 
+def test_exact_sums_never_overflow(spark):
+    top = 2**63 - 1
+    rows = [("a", top), ("a", top), ("a", top), ("b", -top - 1), ("b", -top - 1), ("c", top), ("c", -top), ("d", 1)]
+    out = exact.exact_norms(updates(spark, rows), ["k"], "delta").first()
+    assert (out["l0"], int(out["l1"]), int(out["linf"])) == (3, 3 * top + 2**64 + 1, 3 * top)
+    huge = spark.createDataFrame([("a", Decimal(10**25)), ("b", Decimal(-(10**25))), ("b", Decimal(10**25))], "k string, delta decimal(38,0)")
+    assert exact.exact_support(huge, ["k"], "delta").first()["l0"] == 1
+    plan = SketchPlan(8, prime_field(101))
+    assert cells.sketch(huge.where("k = 'b'"), ["k"], "delta", plan).count() == 0
+    assert {r["k"]: r["x"] for r in exact.states(huge, ["k"], "delta", plan.field).collect()} == {"a": 10**25 % 101, "b": 0}
+
+
+def test_frequencies_of_a_million_millions(spark):
+    from fieldtally.plans import primes
+
+    field = prime_field(primes.above_max(10**12))
+    assert field.order > 10**12
+    rows = [(f"k{i}", 10**12 - i) for i in range(3000)]
+    plan = SketchPlan(64, field)
+    whole = cells.sketch(updates(spark, rows), ["k"], "delta", plan)
+    assert cells.difference(whole, whole, plan).count() == 0
+    assert abs(estimate(whole, plan).first()["estimate"] / 3000 - 1) < 0.6
+    pairs = [(field.order - 1, field.order - 2), (10**12, 12345)]
+    got = with_product(spark.createDataFrame(pairs, "a long, b long"), "a", "b", "c", field).collect()
+    assert all(r["c"] == r["a"] * r["b"] % field.order for r in got)
+
+
+def test_registers_of_log_q_bits(spark):
+    for q in (2, 9, 101):
+        plan = SketchPlan(5, field_of_order(q), levels=13)
+        made = cells.sketch(updates(spark, [(f"k{i}", 1) for i in range(50)]), ["k"], "delta", plan)
+        packed = cells.pack_bits(made, plan)
+        assert len(packed.first()["bits"]) == -(-plan.memory_bits // 8)
+        assert found(cells.unpack_bits(packed, plan)) == found(made)
+
+
 def test_unbiased_with_the_predicted_spread(spark):
     rows = spark.range(4000).select(F.col("id").alias("k"), F.lit(1).cast("long").alias("delta"))
     for q in (2, 101):
-        out = measures.accuracy(rows, ["k"], "delta", SketchPlan(64, field_of_order(q), offsets=True), 4000, 200).first()
+        out = measures.accuracy(rows, ["k"], "delta", SketchPlan(64, field_of_order(q), offsets=True), 200).first()
         assert abs(out["bias"]) < 4 * out["rse"] / 200**0.5
         assert abs(out["rse_const"] / out["predicted_const"] - 1) < 0.2
 
@@ -124,10 +162,29 @@ def test_entry(spark):
 
 
 def test_stream_equals_batch(spark):
-    from fieldtally.queries import stream_vs_batch
+    from fieldtally.queries_stream import stream_vs_batch
+
+    for _ in range(2):  # a second call in one application starts afresh
+        a, b = stream_vs_batch(spark, SF).collect()
+        assert (a["cells"], a["digest"]) == (b["cells"], b["digest"]) and a["cells"] > 0
+
+
+def test_windows_of_a_stream_equal_a_batch(spark):
+    from fieldtally import queries_stream as q
 
-    a, b = stream_vs_batch(spark, SF).collect()
-    assert (a["cells"], a["digest"]) == (b["cells"], b["digest"])
+    events = spark.read.parquet(f"{SF}/events.parquet").withColumn("pane", F.datediff(F.to_date("ts"), F.lit("2024-01-01").cast("date")).cast("long"))
+    batch = cells.sketch(q._toggles(events, "pane"), q.KEYS, "delta", q.DAILY, ["pane"])
+    assert found(q._panes(spark, SF)) == found(batch)
+
+
+def test_a_cluster_needs_a_shared_folder(spark):
+    from types import SimpleNamespace
+
+    from fieldtally.streaming import stream
+
+    remote = SimpleNamespace(conf=SimpleNamespace(get=lambda *_: None), sparkContext=SimpleNamespace(master="spark://far:7077"))
+    with pytest.raises(ValueError):
+        stream.shared_folder(remote, "x")
 
 
 def test_sql_functions(spark):
