@@ -103,6 +103,10 @@ def write_container(payload: bytes) -> bytes:
     return head + movie(start) + _box(b"mdat", payload)
 
 
+#: No container nests its boxes deeper than a few levels; hostile ones do.
+DEPTH = 16
+
+
 def walk(data: bytes, start: int = 0, end: int | None = None, path: tuple[bytes, ...] = ()) -> Iterator[tuple[tuple[bytes, ...], int, int]]:
     """(path of types, body start, body end) of every box, parents before children."""
     end = len(data) if end is None else end
@@ -122,6 +126,8 @@ def walk(data: bytes, start: int = 0, end: int | None = None, path: tuple[bytes,
             raise ValueError(f"box {kind!r} doesn't fit into its parent")
         yield (*path, kind), body, start + length
         if kind in CONTAINERS:
+            if len(path) >= DEPTH:
+                raise ValueError("boxes are nested too deeply")
             yield from walk(data, body, start + length, (*path, kind))
         start += length
 
@@ -157,6 +163,8 @@ def inspect(data: bytes) -> list[Track]:
                 t["stsc"] = _table(data, at, end, ">u4", 3)
             elif kind == b"stsz":
                 fixed, count = struct.unpack_from(">II", data, at + 4)
+                if count * max(fixed, 4 if not fixed else 1) > len(data):
+                    raise ValueError("more samples than bytes")
                 t["sizes"] = np.full(count, fixed, np.int64) if fixed else np.frombuffer(data, ">u4", count, at + 12).astype(np.int64)
             elif kind in (b"stco", b"co64"):
                 t["chunks"] = _table(data, at, end, ">u4" if kind == b"stco" else ">u8", 1)[:, 0]
@@ -168,6 +176,10 @@ def inspect(data: bytes) -> list[Track]:
 def _resolve(t: dict) -> Track:
     sizes, chunks, runs = t["sizes"], t["chunks"], t["stsc"]
     ends = np.append(runs[1:, 0], len(chunks) + 1)
+    if len(runs) and (runs[0, 0] != 1 or (ends <= runs[:, 0]).any() or (runs[:, 1] < 1).any()):
+        raise ValueError("the chunk table isn't in order")
+    if len(chunks) and ends.max() > len(chunks) + 1:
+        raise ValueError("the chunk table names chunks that aren't there")
     per_chunk = np.repeat(runs[:, 1], ends - runs[:, 0])
     if len(per_chunk) != len(chunks) or per_chunk.sum() != len(sizes):
         raise ValueError("the sample tables disagree")
