@@ -81,9 +81,11 @@ def _ordered_buckets(docs: DataFrame) -> tuple[Column, int]:
     edges = F.array(*[F.lit(int(b)) for b in bounds])
     at = F.greatest(F.size(F.filter(edges, lambda e: e <= F.col("doc_id"))), F.lit(1))
     low = F.element_at(edges, at)
-    width = F.element_at(F.array(*[F.lit(int(b - a) or 1) for a, b in zip(bounds, [*bounds[1:], bounds[-1] + 1], strict=True)]), at)
-    inside = F.least(F.floor((F.col("doc_id") - low) * F.lit(parts) / width), F.lit(parts - 1))
-    return F.coalesce(at * F.lit(parts) + F.greatest(inside, F.lit(0)), F.lit((len(bounds) + 2) * parts)).cast("long"), (len(bounds) + 2) * parts
+    width = F.element_at(F.array(*[F.lit(float(b - a) or 1.0) for a, b in zip(bounds, [*bounds[1:], bounds[-1] + 1], strict=True)]), at)
+    # In DOUBLE: ids of any LONG are ordered alike, and their distances don't overflow.
+    inside = F.least(F.floor((F.col("doc_id").cast("double") - low.cast("double")) * F.lit(float(parts)) / width), F.lit(parts - 1))
+    found = F.when(F.col("doc_id").isNotNull(), at * F.lit(parts) + F.greatest(inside, F.lit(0))).otherwise(F.lit((len(bounds) + 2) * parts))
+    return found.cast("long"), (len(bounds) + 2) * parts
 
 
 def with_next(docs: DataFrame, carried: list[str]) -> DataFrame:
