@@ -13,7 +13,7 @@ and ``vocabulary`` words enter the fit.  Every document is scored, over its whol
 
 Edge cases: null and empty texts are scored from all-zero features; a labelled row without
 document or label is left out; with several labels for a document the largest counts;
-repeated rows give repeated rows; with fewer than ten labelled rows, or one label only, the
+repeated rows give repeated rows, and of rows that share an id the first by text is learnt from; with fewer than ten labelled rows, or one label only, the
 score is the share of label 1 (0.5 if there are none); extra columns are ignored by the
 query and kept by :func:`keep_good`.  An empty table gives an empty table.
 """
@@ -190,7 +190,8 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, rows: int, label: str =
     # Bounded: ``rows`` pairs of numbers at most, whatever the size of the tables.
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rows)
     texts = drop_suffix(docs, ["doc_id", "text"]).select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    found = texts.join(F.broadcast(chosen), "doc_id").collect()
+    # One text for each id, however often it occurs.
+    found = texts.join(F.broadcast(chosen), "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.first("label").alias("label")).collect()
     found.sort(key=lambda r: (r["doc_id"], r["text"]))
     return [r["text"].encode("utf-8", "surrogatepass") for r in found], [r["label"] for r in found]
 
