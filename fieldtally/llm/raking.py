@@ -66,7 +66,8 @@ def _with_targets(cells: DataFrame, column: str, given: DataFrame | None, power:
 
 
 def fit_cells(cells: DataFrame, targets: dict[str, DataFrame] | None = None, rounds: int = ROUNDS, keep: float = KEEP, powers: dict[str, float] | None = None) -> DataFrame:
-    """(source, lang, topic, tokens) -> the same with ``fitted`` (share) and ``probability``."""
+    """(source, lang, topic, tokens) -> the same with ``fitted`` (share), ``probability`` and ``marginal_error``: the
+    largest gap between a value's fitted share and its target, the same in every row, by which convergence is told."""
     spark, targets, powers = cells.sparkSession, targets or {}, powers or POWERS
     tasks = max(1, -(-cells.count() // _CELLS_PER_TASK))
     one = tasks == 1  # a single task then holds all cells, and no step needs an exchange
@@ -83,6 +84,9 @@ def fit_cells(cells: DataFrame, targets: dict[str, DataFrame] | None = None, rou
         if not one:
             cells = scratch(spark, cells, "cells")
     everything = Window.partitionBy(F.lit(1))
+    # How far the fitted shares of any value are from its target after the last round.
+    gaps = [F.abs(F.sum("fitted").over(Window.partitionBy(c)) - F.col(f"_t_{c}")) for c in POWERS]
+    cells = cells.withColumn("_gap", F.greatest(*gaps)).withColumn("_gap", F.max("_gap").over(everything))
     cells = cells.withColumn("_all", F.sum("tokens").over(everything)).withColumn("_ratio", F.when(F.col("tokens") > 0, F.col("fitted") / F.col("tokens")))
     before = Window.partitionBy(F.lit(1)).orderBy(F.col("_ratio").desc_nulls_last(), "source", "lang", "topic")
     # With the cells of largest ratio saturated, the scale that spends the rest of the token budget on the others.
@@ -92,7 +96,7 @@ def fit_cells(cells: DataFrame, targets: dict[str, DataFrame] | None = None, rou
     fits = F.when((scale * F.col("_ratio") <= 1.0) & (scale >= 0), scale)
     cells = cells.withColumn("_scale", F.max(fits).over(everything))
     p = F.when(F.col("_ratio").isNull(), F.lit(keep)).otherwise(F.least(F.lit(1.0), F.coalesce(F.col("_scale"), F.lit(1e300)) * F.col("_ratio")))
-    return cells.select("source", "lang", "topic", "tokens", "n_documents", F.round(F.col("fitted"), 9).alias("fitted"), F.round(p, 9).alias("probability"))
+    return cells.select("source", "lang", "topic", "tokens", "n_documents", F.round(F.col("fitted"), 9).alias("fitted"), F.round(p, 9).alias("probability"), F.round("_gap", 7).alias("marginal_error"))
 
 
 def _featured(docs: DataFrame) -> DataFrame:
@@ -102,17 +106,17 @@ def _featured(docs: DataFrame) -> DataFrame:
 
 
 def mix(docs: DataFrame, targets: dict[str, DataFrame] | None = None, rounds: int = ROUNDS, keep: float = KEEP, seed: str = "mix", powers: dict[str, float] | None = None) -> DataFrame:
-    """All rows with ``_mix``: struct(source, lang, topic, tokens, probability, kept)."""
+    """All rows with ``_mix``: struct(source, lang, topic, tokens, probability, marginal_error, kept)."""
     spark = docs.sparkSession
     rows = _featured(docs)
     cells = rows.groupBy("_cell.source", "_cell.lang", "_cell.topic").agg(F.sum("_cell.tokens").alias("tokens"), F.count("*").alias("n_documents"))
     fitted = scratch(spark, fit_cells(scratch(spark, cells, "cells"), targets, rounds, keep, powers), "fitted")
     key = F.struct("source", "lang", "topic")
-    known = fitted.select(key.alias("_key"), "probability")
+    known = fitted.select(key.alias("_key"), "probability", "marginal_error")
     return (
         rows.join(known, F.struct("_cell.source", "_cell.lang", "_cell.topic") == F.col("_key"), "left")
-        .withColumn("_mix", F.struct("_cell.source", "_cell.lang", "_cell.topic", "_cell.tokens", "probability", (uniform(F.col("doc_id"), seed) < F.col("probability")).alias("kept")))
-        .drop("_cell", "_key", "probability")
+        .withColumn("_mix", F.struct("_cell.source", "_cell.lang", "_cell.topic", "_cell.tokens", "probability", "marginal_error", (uniform(F.col("doc_id"), seed) < F.col("probability")).alias("kept")))
+        .drop("_cell", "_key", "probability", "marginal_error")
     )
 
 
@@ -124,7 +128,7 @@ def sample(docs: DataFrame, **options) -> DataFrame:
 def op10_raking(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_documents(spark, sf_dir).select("doc_id", "text", "lang", "source")
     out = mix(docs)
-    return out.select("doc_id", F.col("_mix.source").alias("source"), F.col("_mix.lang").alias("lang"), F.col("_mix.topic").alias("topic"), F.col("_mix.tokens").alias("n_tokens"), F.col("_mix.probability").alias("probability"), F.col("_mix.kept").cast("int").alias("kept"))
+    return out.select("doc_id", F.col("_mix.source").alias("source"), F.col("_mix.lang").alias("lang"), F.col("_mix.topic").alias("topic"), F.col("_mix.tokens").alias("n_tokens"), F.col("_mix.probability").alias("probability"), F.col("_mix.marginal_error").alias("marginal_error"), F.col("_mix.kept").cast("int").alias("kept"))
 
 
 def oracle_sql(rounds: int = ROUNDS, keep: float = KEEP, seed: str = "mix", source: str = "documents") -> str:
@@ -145,11 +149,12 @@ def oracle_sql(rounds: int = ROUNDS, keep: float = KEEP, seed: str = "mix", sour
             steps.append(f"f{at + 1} AS MATERIALIZED (SELECT * REPLACE (CASE WHEN sum(fitted) OVER (PARTITION BY {name}) > 0 THEN fitted * t{name[0]} / sum(fitted) OVER (PARTITION BY {name}) ELSE 0 END AS fitted) FROM f{at})")
             at += 1
     order = "ORDER BY ratio DESC NULLS LAST, source, lang, topic"
+    gaps = ", ".join(f"abs(sum(fitted) OVER (PARTITION BY {name}) - t{name[0]})" for name in POWERS)
     steps += [
-        f"g AS (SELECT *, CASE WHEN tokens > 0 THEN fitted / tokens END AS ratio, sum(tokens) OVER () AS al FROM f{at})",
+        f"g AS (SELECT *, CASE WHEN tokens > 0 THEN fitted / tokens END AS ratio, sum(tokens) OVER () AS al, greatest({gaps}) AS gap FROM f{at})",
         f"h AS (SELECT *, coalesce(sum(tokens) OVER ({order} ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ful, sum(fitted) OVER ({order} ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS ope FROM g)",
         f"i AS (SELECT *, CASE WHEN ope > 0 THEN ({keep} * al - ful) / ope END AS sc FROM h)",
-        "j AS (SELECT *, max(CASE WHEN sc * ratio <= 1.0 AND sc >= 0 THEN sc END) OVER () AS best FROM i)",
-        f"k AS (SELECT source, lang, topic, round(CASE WHEN ratio IS NULL THEN {keep} ELSE least(1.0, coalesce(best, 1e300) * ratio) END, 9) AS probability FROM j)",
+        "j AS (SELECT *, max(CASE WHEN sc * ratio <= 1.0 AND sc >= 0 THEN sc END) OVER () AS best, max(gap) OVER () AS worst FROM i)",
+        f"k AS (SELECT source, lang, topic, round(CASE WHEN ratio IS NULL THEN {keep} ELSE least(1.0, coalesce(best, 1e300) * ratio) END, 9) AS probability, round(worst, 7) AS marginal_error FROM j)",
     ]
-    return f"WITH {', '.join(steps)} SELECT doc_id, source, lang, topic, tokens AS n_tokens, probability, CAST((('0x' || substr(md5('{seed}|' || coalesce(doc_id::VARCHAR, '')), 1, 13))::BIGINT)::DOUBLE / {float(1 << 52)} < probability AS INTEGER) AS kept FROM r JOIN k USING (source, lang, topic)"
+    return f"WITH {', '.join(steps)} SELECT doc_id, source, lang, topic, tokens AS n_tokens, probability, marginal_error, CAST((('0x' || substr(md5('{seed}|' || coalesce(doc_id::VARCHAR, '')), 1, 13))::BIGINT)::DOUBLE / {float(1 << 52)} < probability AS INTEGER) AS kept FROM r JOIN k USING (source, lang, topic)"
