@@ -5,7 +5,9 @@ text (64 characters, a new one every 32), each decoded by Viterbi under learned
 transitions; every character then takes its label from the window in which it is most
 central, and the labels of the whole text are joined into spans.  A tagged span is added
 if it fits its kind (``admissible``) and touches no span already held.  As an admissible
-span has a digit or an ``@`` inside, windows without either can't add one and aren't run.
+span has a digit, an ``@`` or an ``(at)`` inside, windows without any can't add one and aren't run.
+What the tagger is there for are shapes beyond the base patterns: spelled-out addresses, phone
+numbers without a plus, cards of 13 to 15 digits; it is trained on those too.
 
 Edge cases: a null or empty text has no spans; repeated rows give repeated rows; ties
 between base spans of different kinds all stay, since each kind is matched on its own;
@@ -35,7 +37,9 @@ _DOMAIN = re.compile(r"@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]+\.[0-9]+\.[0-9]+")
 _CARD = re.compile(r"[0-9](?:[ -]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
-_HINT = re.compile(r"[0-9@]")
+#: Addresses that are spelled out.
+_SPELLED = re.compile(r"[A-Za-z0-9._%+-]+ ?[(\[]at[)\]] ?[A-Za-z0-9-]+(?: ?(?:[(\[]dot[)\]]|\.) ?[A-Za-z0-9-]+)+")
+_HINT = re.compile(r"[0-9@]|[(\[]at[)\]]")
 SCHEMA = "doc_id long, n_email long, n_ip long, n_card long, n_phone long, base_sha256 string, spans string, n_added long"
 
 Span = tuple[str, int, int]
@@ -81,6 +85,8 @@ def base_spans(text: str) -> list[Span]:
 def admissible(kind: str, found: str) -> bool:
     """Whether a tagged span can be personal data of its kind at all."""
     digits = _digits(found)
+    if kind == "email" and "@" not in found:
+        return _SPELLED.fullmatch(found) is not None
     if kind == "email":
         left, _, right = found.partition("@")
         return bool(left and right) and "." in right.strip(".") and not any(c.isspace() for c in found)
@@ -218,6 +224,10 @@ def _draw(rng: np.random.RandomState) -> tuple[str, str | None]:
     number = lambda n: "".join(str(rng.randint(10)) for _ in range(n))
     word = lambda: "".join(pick(("er", "on", "ti", "a", "sha", "ble", "ou", "in", "mar", "lo")) for _ in range(rng.randint(1, 4)))
     kind = rng.randint(9)
+    if kind == 0 and rng.rand() < 0.5:
+        at, dot = pick((("(at)", "(dot)"), ("[at]", "[dot]"), ("(at)", "."), ("[at]", ".")))
+        gap = pick((" ", " ", ""))
+        return f"{word()}{pick(('', '.', '_'))}{pick((word(), number(2)))}{gap}{at}{gap}{word()}{gap if dot != '.' else ''}{dot}{gap if dot != '.' else ''}{pick(('com', 'org', 'net'))}", "email"
     if kind < 2:
         return f"{word()}{pick(('', '.', '_', '+', '-'))}{pick((word(), number(2)))}@{word()}.{pick(('com', 'org', 'net', 'example.org', 'co.uk', 'test'))}", "email"
     if kind == 2:
@@ -225,9 +235,13 @@ def _draw(rng: np.random.RandomState) -> tuple[str, str | None]:
     if kind == 3:
         body = number(15)
         digits = next(body + str(d) for d in range(10) if luhn(body + str(d)))
-        return pick(("", " ", "-")).join(digits[i : i + 4] for i in range(0, 16, 4)), "card"
+        if rng.rand() < 0.3:
+            body = pick(("34", "37")) + number(12)
+            digits = next(body + str(d) for d in range(10) if luhn(body + str(d)))
+            return pick((" ", "-")).join((digits[:4], digits[4:10], digits[10:])), "card"
+        return pick(("", " ", "-", ".")).join(digits[i : i + 4] for i in range(0, 16, 4)), "card"
     if kind == 4:
-        return pick((f"+{number(2)} {number(3)} {number(4)} {number(3)}", f"+{number(1)}-{number(3)}-{number(3)}-{number(4)}", f"({number(3)}) {number(3)}-{number(4)}", f"+{number(2)} ({number(2)}) {number(4)}-{number(4)}")), "phone"
+        return pick((f"{number(3)}-{number(3)}-{number(4)}", f"{number(3)}.{number(3)}.{number(4)}", f"00{number(2)} {number(2)} {number(4)} {number(3)}", f"0{number(3)} {number(3)} {number(4)}", f"+{number(2)} {number(3)} {number(4)} {number(3)}", f"+{number(1)}-{number(3)}-{number(3)}-{number(4)}", f"({number(3)}) {number(3)}-{number(4)}", f"+{number(2)} ({number(2)}) {number(4)}-{number(4)}")), "phone"
     return pick((number(rng.randint(1, 7)), f"{number(4)}-{number(2)}-{number(2)}", f"{number(2)}.{number(2)}", f"@{word()}", f"{word()} @ {word()}", f"v{number(1)}.{number(1)}.{number(1)}", f"{number(2)}:{number(2)}", f"{word()}{number(3)}", f"{number(3)},{number(3)}")), None
 
 
@@ -330,8 +344,16 @@ def _spans(text: str, label: np.ndarray) -> list[Span]:
         name = KINDS[kind[a]]
         while b > a and text[b - 1] in " .,;:\n":
             b -= 1
-        if b > a and _alone(text, a, b) and admissible(name, text[a:b]):
-            out.append((name, a, b))
+        # A span's ends are those of the runs of digits, or of an address's characters, that it touches.
+        inside = _LOCAL if name == "email" else "0123456789"
+        while b > a > 0 and text[a - 1] in inside:
+            a -= 1
+        while a < b < len(text) and text[b] in inside and (text[b] != "." or text[b + 1 : b + 2].isalnum()):
+            b += 1
+        if b > a and _alone(text, a, b):
+            # The network finds numbers well but can't count digits: a card of too few may be a phone number, and the other way round.
+            fits = [k for k in ((name, "phone", "card") if name in ("phone", "card") else (name,)) if admissible(k, text[a:b])]
+            out += [(k, a, b) for k in fits[:1]]
     return out
 
 
