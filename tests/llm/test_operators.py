@@ -12,7 +12,7 @@ from fieldtally.llm import bpe_pieces, cross_entropy, id_coder, jaccard_join, me
 from fieldtally.llm.components import components
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
-EDGE = [(1, None), (2, ""), (3, " \n "), (4, "one"), (5, "é" * 70), (6, "a b c d e"), (6, "a b c d e"), (7, "word " * 3000)]
+EDGE = [(None, "no id"), (None, None), (1, None), (2, ""), (3, " \n "), (4, "one"), (5, "é" * 70), (6, "a b c d e"), (6, "a b c d e"), (7, "word " * 3000)]
 
 
 def texts(spark, rows):
@@ -185,6 +185,50 @@ def test_pii_base_and_tagger(spark):
     assert set(base) <= set(every)
 
 
+def brute_base(text):
+    """The base patterns as stated, with Python's regular expressions alone."""
+    digits = lambda t: [int(c) for c in t if c in "0123456789"]
+    good = {
+        "email": lambda t: True,
+        "ip": lambda t: all(int(p) <= 255 for p in t.split(".")),
+        "card": lambda t: 16 <= len(digits(t)) <= 19 and sum(sum(divmod(d * (1 + i % 2), 10)) for i, d in enumerate(digits(t)[::-1])) % 10 == 0,
+        "phone": lambda t: 8 <= len(digits(t)) <= 15,
+    }
+    patterns = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
+    return [(k, *m.span()) for k, p in patterns.items() for m in re.finditer(p, text) if good[k](m[0])]
+
+
+def test_pii_base_equals_brute_force(spark):
+    r = random.Random(4)
+    rows = [(i, "".join(r.choice("ab.@-+() 0123456789\u00e9\n") for _ in range(r.randrange(0, 120)))) for i in range(400)]
+    rows += [(1000 + i, x["text"]) for i, x in enumerate(spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("text").collect())]
+    got = {x["doc_id"]: x for x in pii_tagger.tag_documents(texts(spark, rows)).collect()}
+    for i, t in rows:
+        base = brute_base(t or "")
+        joined = ",".join(f"{k}:{a}:{b}" for k, a, b in base)
+        assert got[i]["base_sha256"] == hashlib.sha256(joined.encode()).hexdigest()
+        assert [got[i][f"n_{k}"] for k in pii_tagger.KINDS] == [sum(b[0] == k for b in base) for k in pii_tagger.KINDS]
+        assert {f"{k}:{a}:{b}" for k, a, b in base} <= set(got[i]["spans"].split(","))
+
+
+def test_pii_spans_beyond_the_base_patterns():
+    rng, p, r = np.random.RandomState(901), pii_tagger.trained(), random.Random(7)
+    prose, wanted = [], []
+    word = lambda: "".join(r.choice(("er", "on", "ti", "the", "sha", "ou", "in", "\u00e9", "re")) for _ in range(r.randrange(1, 4)))
+    for _ in range(600):
+        text, (snippet, kind) = " ".join(word() for _ in range(r.randrange(3, 25))) + " ", pii_tagger._draw(rng)
+        prose.append(f"{text}{snippet} {' '.join(word() for _ in range(8))}")
+        wanted.append((kind, len(text), len(text) + len(snippet)))
+    found, missed, wrong = 0, 0, 0
+    for (kind, a, b), (base, every) in zip(wanted, pii_tagger.find_spans(p, prose), strict=True):
+        added = [s for s in every if s not in base]
+        if kind and (kind, a, b) not in base:
+            hit = any(x < b and a < y for _, x, y in added)
+            found, missed = found + hit, missed + (not hit)
+        wrong += sum(not kind or y <= a or b <= x for _, x, y in added)
+    assert found > 0.85 * (found + missed) and wrong < 0.05 * found
+
+
 def test_bpe(spark):
     import tiktoken
 
@@ -212,6 +256,19 @@ def test_repeats(spark):
     assert {x["doc_id"]: tuple(x)[1:] for x in repeats.remove_repeats(texts(spark, rows), digest=True).collect()} == want
 
 
+def test_media_of_documents(spark):
+    rows = [*EDGE, (9, "\u00e9" * 5000)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").mapInArrow(media_boxes._digests, media_boxes.DIGEST_SCHEMA)
+    wanted = []
+    for i, t in rows:
+        raw = (t or "").encode()
+        padded = raw + b"\0" * ((64 - len(raw) % 64) % 64 if raw else 64)
+        stored = media_boxes.write_container(padded)
+        assert padded in stored
+        wanted.append((i or 0, len(raw), len(padded), hashlib.sha256(padded).hexdigest(), zlib.crc32(padded[-64:]), len(stored), hashlib.sha256(stored).hexdigest()))
+    assert sorted((x["doc_id"] or 0, *tuple(x)[1:7]) for x in frame.collect()) == sorted(wanted)
+
+
 def test_media(spark):
     for raw in (b"", b"x", bytes(range(256)) * 41):
         data = media_boxes.write_container(media_boxes.pad(raw))
@@ -221,6 +278,15 @@ def test_media(spark):
     for damaged in (data[:100], data[:-1], b"\0\0\0\7junk"):
         with pytest.raises(ValueError):
             media_boxes.inspect(damaged)
+    deep = b""
+    for _ in range(1200):
+        deep = media_boxes._box(b"moov", deep)
+    many = data.replace(b"stsz" + bytes(4) + (64).to_bytes(4, "big") + (len(media_boxes.pad(raw)) // 64).to_bytes(4, "big"), b"stsz" + bytes(4) + (64).to_bytes(4, "big") + b"\xff\xff\xff\xff")
+    run = data.index(b"stsc") + 12
+    for hostile in (deep, many, data[:run] + b"\xff\xff\xff\xf0" + data[run + 4 :], data[:run] + b"\0\0\0\0" + data[run + 4 :]):
+        assert hostile != data
+        with pytest.raises(ValueError):
+            media_boxes.inspect(hostile)
     out = media_boxes.describe_media(spark.createDataFrame([(1, data), (2, b"junk"), (3, None)], "doc_id long, media binary")).orderBy("doc_id").collect()
     assert out[0]["codec"] == "raw " and out[1]["codec"] is None and out[2]["keyframes"] is None
 
@@ -229,15 +295,36 @@ def test_quality(spark):
     r = random.Random(1)
     rows = [(i, " ".join(f"w{r.randrange(80)}" for _ in range(40))) if i % 2 else (i, " ".join(f"W{r.randrange(80)}$$$" for _ in range(40))) for i in range(160)]
     labels = spark.createDataFrame([(i, i % 2) for i, _ in rows] + [(9999, 1), (None, 0)], "doc_id long, quality int")
-    docs = texts(spark, [*rows, *((1000 + i, t) for i, t in EDGE)])
+    docs = texts(spark, [*rows, *((i and 1000 + i, t) for i, t in EDGE)])
     got = quality.score_documents(docs, quality.train(docs, labels)).collect()
     assert len(got) == docs.count() and all(0 <= x["score"] <= 1 and x["predicted"] == (x["score"] >= 0.7) for x in got)
     held = [x for x in got if x["held_out"] and x["doc_id"] < 160]
     assert held and np.mean([x["predicted"] == x["doc_id"] % 2 for x in held]) > 0.95
-    assert all(x["held_out"] == (zlib.crc32(str(x["doc_id"]).encode()) % 4 == 2) for x in got)
+    assert all(x["held_out"] == (x["doc_id"] is not None and zlib.crc32(str(x["doc_id"]).encode()) % 4 == 2) for x in got)
     assert quality.fit([b"a"], [1]).score([b"", b"b"]).tolist() == [1.0, 1.0]
 
 
+def test_quality_of_held_out_documents(spark):
+    sf = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    scored = quality.score_documents(docs, quality.train(docs, labels)).where("held_out").join(labels, "doc_id").select("score", "quality").collect()
+    good, bad = ([x["score"] for x in scored if x["quality"] == q] for q in (1, 0))
+    assert np.mean([(a > b) + 0.5 * (a == b) for a in good for b in bad]) > 0.9
+    many = docs.where("doc_id < 200").unionByName(docs.where("doc_id < 200")).unionByName(docs.where("doc_id < 200"))
+    texts_, marks = quality.labelled_sample(many, labels, 50)
+    assert len(texts_) == len(marks) <= 50
+
+
+def test_merkle_of_ids_of_any_size(spark):
+    ids = [-(2**63), -(2**62), -5, None, 0, 7, 2**62, 2**63 - 1]
+    rows = [(i, f"text {i}") for i in ids]
+    got = {r["doc_id"]: r for r in merkle.fingerprint_documents(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    line = sorted((i for i in ids if i is not None)) + [None]
+    for i, after in zip(line, [*line[1:], line[0]], strict=True):
+        own, other = f"text {i}", f"text {after}"
+        assert got[i]["edited_sha256"] == hashlib.sha256((own[: len(own) - len(own) // 2] + other[: len(own) // 2]).encode()).hexdigest()
+
+
 def test_merkle(spark):
     rows = [(3, "One. Two.\nThree\n\nFour"), (1, "One. Two.\nThrice\n\nFour"), (2, None), (9, "One. Two.\nThree\n\nFour")]
     got = {r["doc_id"]: r for r in merkle.fingerprint_documents(texts(spark, rows)).collect()}
