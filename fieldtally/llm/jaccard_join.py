@@ -407,9 +407,10 @@ def _windows(spark: SparkSession, sets: DataFrame, centres: DataFrame, satellite
 
 
 def keep_first(docs: DataFrame) -> DataFrame:
-    """The rows, unchanged, whose doc_id is their component's smallest, one of each id, and all without an id."""
+    """The rows, unchanged, whose doc_id is their component's smallest, and all without an id.  Of rows that share an id the first by text stays."""
     found = link_documents(docs).where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(found, "doc_id", "left_semi").select(*docs.columns).dropDuplicates(["doc_id"])
+    kept = docs.join(found, "doc_id", "left_semi").select(*docs.columns)
+    kept = kept.withColumn("_place", F.row_number().over(Window.partitionBy("doc_id").orderBy("text"))).where("_place = 1").drop("_place")
     # A null id is linked with nothing and equals no other.
     return kept.unionByName(docs.where("doc_id is null"))
 
