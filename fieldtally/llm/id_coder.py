@@ -41,17 +41,17 @@ from .common import buckets_for, drop_suffix, env_single_thread, read_documents,
 
 MAGIC, VERSION = b"FTID", 3
 BLOCK = 8192
-LANES = 1024
+LANES = 1344
 END_ID = 2
 NO_ID = 0xFFFF
 PAYLOAD = 16  # bits of the second symbol
-SLICE, RECENT = 32, 9
+SLICE, RECENT = 128, 9
 _SLOTS = 9  # bits of a block's table of one order
-_PARTITION_BYTES = 16 << 20
-_CACHE_LIMIT = 800_000
-_GROUP_BYTES = 16 << 20
+_PARTITION_BYTES = 28 << 20
+_CACHE_LIMIT = 900_000
+_GROUP_BYTES = 8 << 20
 
-_U1, _U2, _U4, _U16, _U32, _U48 = (np.uint64(i) for i in (1, 2, 4, 16, 32, 48))
+_U0, _U1, _U2, _U4, _U16, _U32, _U48 = (np.uint64(i) for i in (0, 1, 2, 4, 16, 32, 48))
 _BITS, _TOTAL = np.uint64(PAYLOAD), np.uint64(14 + PAYLOAD)
 #: Bits of the share of 2^PAYLOAD that each symbol of four leaves to the second one's value.
 _SPARE, _U_SPARE, _WIDTHS = np.uint32(PAYLOAD - RECENT), np.uint64(PAYLOAD - RECENT), np.array([PAYLOAD, PAYLOAD, PAYLOAD - RECENT, 0], np.uint64)
@@ -103,8 +103,8 @@ class _Lanes:
         # What flooring took goes to the fourth symbol.
         return out + ((_FULL - (out * _ONES >> _U48)) << _U48)
 
-    def judged(self, now: np.ndarray, flag: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """(flag, distribution, hash) of a slice of ids, which is then learnt.  flag: if it is known already."""
+    def judged(self, now: np.ndarray, flag: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray | None, np.ndarray]:
+        """(flag, distribution, hash) of a slice of ids, which is then learnt.  flag: if it is known already; there is no distribution then."""
         before = np.concatenate([self.before[:, None], now[:, :-1]], 1)
         earlier = np.concatenate([self.earlier[:, None], before[:, :-1]], 1)
         at_two, at_one = self.places(before, earlier, self.base[:, None])
@@ -112,7 +112,7 @@ class _Lanes:
         right_two, right_one = (two & _NO_ID) == now, (one & _NO_ID) == now
         slot = now * _SPREAD >> _RARE
         at_zero = slot + self.recent[:, None]
-        if flag is None:
+        if coding := flag is None:
             flag = np.where(right_two, 0, np.where(right_one, 1, np.where(self.zero.take(at_zero) == now, 2, 3)))
         self.zero[at_zero.ravel()] = now.ravel()
         sure_two, sure_one = two >> _HIGH, one >> _HIGH
@@ -120,7 +120,7 @@ class _Lanes:
         last = np.concatenate([self.history[:, None] & 3, flag[:, :-1]], 1)
         row_b = (np.concatenate([self.history[:, None] >> 2, last[:, :-1]], 1) << 2 | last) + self.lane[:, None]
         a, b = self.sure.take(row_a), self.past.take(row_b)
-        out = self.mixed(a, b, self.better[:, None])
+        out = self.mixed(a, b, self.better[:, None]) if coding else None
         at = flag.astype(np.uint64) << _U4
         gain = ((a >> at) & _FIELD).astype(np.int64) - ((b >> at) & _FIELD).astype(np.int64)
         self.score += gain.sum(1) - (self.score >> 1)
@@ -246,12 +246,12 @@ def decode_lanes(blocks: list[bytes], lengths: list[int]) -> np.ndarray:
             a, b = lanes.sure.take((two >> _HIGH << 2 | one >> _HIGH) + lanes.lane), lanes.past.take(history + lanes.lane)
             which, target = lanes.mixed(a, b, lanes.better), coder.look()
             ends, upper = which * _ONES, target >> _BITS
-            flag = (upper >= ends & _FIELD).astype(np.int64) + (upper >= (ends >> _U16) & _FIELD) + (upper >= (ends >> _U32) & _FIELD)
+            flag = sum((upper >= (ends >> shift) & _FIELD).view(np.uint8) for shift in (_U0, _U16, _U32)).astype(np.int64)
             c, f = _span(which, flag)
             c <<= _BITS
             low = (target - c) // f
             drawn = lanes.zero.take((low >> _U_SPARE).astype(np.int64) + lanes.recent)
-            now = np.where(flag < 2, np.where(flag == 0, two, one) & _NO_ID, np.where(flag == 2, drawn, low)).astype(np.uint32)
+            now = np.where(flag < 2, np.where(flag == 0, two, one) & _NO_ID, np.where(flag == 2, drawn, low.astype(np.uint32)))
             low &= _LEFT.take(flag)
             c += f * low
             f <<= _WIDTHS.take(flag)
@@ -261,7 +261,7 @@ def decode_lanes(blocks: list[bytes], lengths: list[int]) -> np.ndarray:
             earlier, before = before, now
         rows[:, start:end] = columns.T
         lanes.judged(np.ascontiguousarray(columns.T), np.ascontiguousarray(flags.T))
-    return np.concatenate([rows[i, :m] for i, m in enumerate(lengths)]).astype(np.int64)
+    return np.concatenate([rows[i, :m] for i, m in enumerate(lengths)])
 
 
 def write_file(ids: np.ndarray) -> bytes:
@@ -279,7 +279,7 @@ def write_file(ids: np.ndarray) -> bytes:
 
 
 def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -> np.ndarray:
-    """The ids of a file, or of some of its blocks; every block is held against its checksum."""
+    """The ids (16 bits each) of a file, or of some of its blocks; every block is held against its checksum."""
     if data[:4] != MAGIC or len(data) < 24:
         raise ValueError("not a file of ids")
     version, total, count, _ = struct.unpack_from("<IQII", data, 4)
@@ -307,7 +307,7 @@ def read_file(data: bytes, first_block: int = 0, end_block: int | None = None) -
                 raise ValueError(f"block {i} is damaged")
             done += len(own)
         out.append(ids)
-    ids = np.concatenate(out) if out else np.empty(0, np.int64)
+    ids = (out[0] if len(out) == 1 else np.concatenate(out)) if out else np.empty(0, np.uint16)
     if first_block == 0 and end_block is None and len(ids) != total:
         raise ValueError("ids are missing")
     return ids
@@ -490,12 +490,12 @@ def _read_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         for row in batch.to_pylist():
             ids = read_file(row["file"])
-            raw = ids.astype("<u4").tobytes()
+            raw = ids.astype("<u4")
             lengths = np.frombuffer(row["lengths"], "<i8")
             marks = np.frombuffer(row["doc_ids"], "<i8").reshape(-1, 2)
             ends = np.cumsum(lengths)
             starts = ends - lengths
-            sums = [zlib.crc32(raw[4 * a : 4 * b]) for a, b in zip(starts.tolist(), ends.tolist(), strict=True)]
+            sums = [zlib.crc32(raw[a:b]) for a, b in zip(starts.tolist(), ends.tolist(), strict=True)]
             n = len(lengths)
             yield pa.RecordBatch.from_arrays([pa.array([row["part"]] * n, pa.int32()), pa.array([row["shard"]] * n, pa.int32()), pa.array(marks[:, 1], mask=marks[:, 0] == 0), pa.array(starts), pa.array(lengths.astype(np.int64)), pa.array(sums, pa.int64())], ["part", "shard", "doc_id", "inside", "n_tokens", "ids_crc32"])
 
