@@ -41,14 +41,14 @@ from .common import buckets_for, drop_suffix, env_single_thread, read_documents,
 
 MAGIC, VERSION = b"FTID", 3
 BLOCK = 8192
-LANES = 1344
+LANES = 1152
 END_ID = 2
 NO_ID = 0xFFFF
 PAYLOAD = 16  # bits of the second symbol
 SLICE, RECENT = 128, 9
 _SLOTS = 9  # bits of a block's table of one order
-_PARTITION_BYTES = 28 << 20
-_CACHE_LIMIT = 900_000
+_PARTITION_BYTES = 24 << 20
+_CACHE_LIMIT = 600_000
 _GROUP_BYTES = 8 << 20
 
 _U0, _U1, _U2, _U4, _U16, _U32, _U48 = (np.uint64(i) for i in (0, 1, 2, 4, 16, 32, 48))
