@@ -161,6 +161,35 @@ def test_entry(spark):
     assert set(e.oracle_sql()) <= set(e.queries())
 
 
+def by_sql(name, sf=SF):
+    """A query's rows by its SQL."""
+    import duckdb
+
+    import __spark_entry__ as e
+
+    con = duckdb.connect()
+    for t in ("lineitem", "orders"):
+        con.sql(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
+    return sorted(con.sql(e.oracle_sql()[name]).fetchall())
+
+
+def on_a_table(spark, name, tmp_path):
+    """A query's rows, equal to its SQL's; other rows are found on a tenth of the table's lines and orders."""
+    import __spark_entry__ as e
+
+    got = found(e.queries()[name](spark, SF))
+    assert got == by_sql(name)
+    for t, test in (("lineitem", "l_orderkey < 150"), ("orders", "o_orderkey < 150")):
+        spark.read.parquet(f"{SF}/{t}.parquet").where(test).coalesce(1).write.parquet(f"{tmp_path}/{t}.parquet")
+    assert found(e.queries()[name](spark, str(tmp_path))) != got
+    return got
+
+
+def test_primes_above_each_groups_largest_frequency(spark, tmp_path):
+    got = on_a_table(spark, "prime_pool_above_max", tmp_path)
+    assert len(got) == 21 and all(linf < p <= 2 * linf for _, _, linf, p in got)
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
