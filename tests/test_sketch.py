@@ -190,6 +190,20 @@ def test_primes_above_each_groups_largest_frequency(spark, tmp_path):
     assert len(got) == 21 and all(linf < p <= 2 * linf for _, _, linf, p in got)
 
 
+def groups(spark):
+    """Order of a field -> groups of lines that it counts without loss."""
+    import collections
+
+    import __spark_entry__ as e
+
+    return collections.Counter(r["p"] for r in e.queries()["prime_pool_above_max"](spark, SF).collect())
+
+
+def test_constants_of_the_groups_fields(spark, tmp_path):
+    got = on_a_table(spark, "constants_table", tmp_path)
+    assert {r[0]: r[-1] for r in got if r[-1]} == groups(spark) and {2, 2**32, 0} <= {r[0] for r in got}
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
