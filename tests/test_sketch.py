@@ -214,6 +214,11 @@ def test_finite_factors_of_the_groups_fields(spark, tmp_path):
     assert {r[0]: r[-1] for r in got if r[-1]} == groups(spark) and len(got) == 4 * len({r[0] for r in got})
 
 
+def test_memory_of_the_groups_fields(spark, tmp_path):
+    got = on_a_table(spark, "memory_bits", tmp_path)
+    assert {r[0]: r[-1] for r in got if r[-1]} == groups(spark) and (101, 64, 64 * 48 * 7) in {r[:3] for r in got}
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
