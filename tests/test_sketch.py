@@ -219,6 +219,13 @@ def test_memory_of_the_groups_fields(spark, tmp_path):
     assert {r[0]: r[-1] for r in got if r[-1]} == groups(spark) and (101, 64, 64 * 48 * 7) in {r[:3] for r in got}
 
 
+def test_periodic_part_at_the_parts_supports(spark, tmp_path):
+    got = on_a_table(spark, "periodic_part", tmp_path)
+    of = {(q, n): e for q, n, _, e in got}
+    assert all(abs(e - of[q, 2 * n]) < 2e-7 for (q, n), e in of.items() if (q, 2 * n) in of)
+    assert sum(r[2] for r in got) == 5 * spark.read.parquet(f"{SF}/lineitem.parquet").select("l_partkey").distinct().count()
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
