@@ -226,6 +226,12 @@ def test_periodic_part_at_the_parts_supports(spark, tmp_path):
     assert sum(r[2] for r in got) == 5 * spark.read.parquet(f"{SF}/lineitem.parquet").select("l_partkey").distinct().count()
 
 
+def test_moment_identity_over_the_parts(spark, tmp_path):
+    got = on_a_table(spark, "moment_identity", tmp_path)
+    assert len(got) == 15 and all(abs(seen - known) < 2e-6 for *_, seen, known in got)
+    assert {r[2] for r in got} == {spark.read.parquet(f"{SF}/lineitem.parquet").select("l_partkey").distinct().count()}
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
