@@ -232,6 +232,11 @@ def test_moment_identity_over_the_parts(spark, tmp_path):
     assert {r[2] for r in got} == {spark.read.parquet(f"{SF}/lineitem.parquet").select("l_partkey").distinct().count()}
 
 
+def test_field_laws_on_the_orders_residues(spark, tmp_path):
+    got = on_a_table(spark, "field_laws", tmp_path)
+    assert got == [(q, q, 1, 1) for q in (2, 3, 4, 5, 7, 8, 9, 256)]
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
