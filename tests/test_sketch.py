@@ -237,6 +237,18 @@ def test_field_laws_on_the_orders_residues(spark, tmp_path):
     assert got == [(q, q, 1, 1) for q in (2, 3, 4, 5, 7, 8, 9, 256)]
 
 
+def test_orders_of_fields_among_the_quantities(spark, tmp_path):
+    from fieldtally.functions.algebra import characteristic, prime_power
+
+    got = on_a_table(spark, "field_orders", tmp_path)
+    assert sum(r[2] for r in got) == spark.read.parquet(f"{SF}/lineitem.parquet").count() and len(got) == 128
+    for n, p in spark.range(-2, 1100).select("id", characteristic(F.col("id"))).collect():
+        try:
+            assert prime_power(n)[0] == p
+        except ValueError:
+            assert p == 0
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
