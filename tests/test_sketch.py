@@ -249,6 +249,11 @@ def test_orders_of_fields_among_the_quantities(spark, tmp_path):
             assert p == 0
 
 
+def test_ideal_construction_counts_the_lines_kinds(spark, tmp_path):
+    (row,) = on_a_table(spark, "ideal_construction", tmp_path)
+    assert row == (spark.read.parquet(f"{SF}/lineitem.parquet").select("l_quantity", "l_linenumber").distinct().count(), 40, 1)
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
