@@ -254,6 +254,11 @@ def test_ideal_construction_counts_the_lines_kinds(spark, tmp_path):
     assert row == (spark.read.parquet(f"{SF}/lineitem.parquet").select("l_quantity", "l_linenumber").distinct().count(), 40, 1)
 
 
+def test_irreducible_polynomials_of_the_keys_degrees(spark, tmp_path):
+    got = on_a_table(spark, "irreducible_polynomials", tmp_path)
+    assert [(r[0], r[2]) for r in got][:7] == [(2, 0x7), (3, 0xB), (4, 0x13), (5, 0x25), (6, 0x43), (7, 0x83), (8, 0x11B)]
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
