@@ -259,6 +259,14 @@ def test_irreducible_polynomials_of_the_keys_degrees(spark, tmp_path):
     assert [(r[0], r[2]) for r in got][:7] == [(2, 0x7), (3, 0xB), (4, 0x13), (5, 0x25), (6, 0x43), (7, 0x83), (8, 0x11B)]
 
 
+def test_monoids_over_the_parts_lines(spark, tmp_path):
+    from fieldtally.functions.algebra import MONOIDS
+
+    got = {r[0]: r[1:] for r in on_a_table(spark, "monoids", tmp_path)}
+    assert {n: r[0] for n, r in got.items()} == {m.name: int(m.sketchable) for m in MONOIDS.values()}
+    assert got["natural"][1] == got["natural"][2] == got["boolean"][2] > got["toggle"][2] > 0
+
+
 def test_stream_equals_batch(spark):
     from fieldtally.queries_stream import stream_vs_batch
 
