@@ -256,6 +256,9 @@ def test_ideal_construction_counts_the_lines_kinds(spark, tmp_path):
 
 def test_irreducible_polynomials_of_the_keys_degrees(spark, tmp_path):
     got = on_a_table(spark, "irreducible_polynomials", tmp_path)
+    import __spark_entry__ as e
+
+    assert found(e.queries()["rows_for_error"](spark, SF)) == by_sql("rows_for_error")  # registered before it, from names of its own
     assert [(r[0], r[2]) for r in got][:7] == [(2, 0x7), (3, 0xB), (4, 0x13), (5, 0x25), (6, 0x43), (7, 0x83), (8, 0x11B)]
 
 
